@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from wsample.llm import packing, store, tokens
+from wsample.llm import avi, decontaminate, langid, packing, simhash, store, tokens
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
@@ -20,6 +20,19 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+@query
+def op2_simhash_duplicates(spark, sf_dir):
+    return simhash.near_duplicates(documents(spark, sf_dir), shingle=3, max_bits=2)
+
+
+@query
+def op3_language_id(spark, sf_dir):
+    docs = documents(spark, sf_dir).withColumn("held_out", langid.held_out("doc_id"))
+    profiles = langid.train(docs.where("not held_out"))
+    told = langid.identify(docs, profiles)
+    return told.select("doc_id", langid.held_out("doc_id").alias("held_out"), "lang_pred", "score")
+
+
 @query
 def op4_pack_sequences(spark, sf_dir):
     return packing.pack_documents(documents(spark, sf_dir), public_tokenizers.path("byte_bpe_50k.json"), capacity=1024, end_id=2)
@@ -30,6 +43,16 @@ def op5_token_store(spark, sf_dir):
     return store.read_documents(store.write_store(documents(spark, sf_dir), public_tokenizers.path("word_bpe_49k.json"), end_id=1))
 
 
+@query
+def op6_decontamination(spark, sf_dir):
+    return decontaminate.contamination(documents(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"), span=10)
+
+
 @query
 def op7_token_counts(spark, sf_dir):
     return tokens.token_counts(documents(spark, sf_dir), public_tokenizers.path("word_bpe_49k.json"), limit=2048)
+
+
+@query
+def op9_motion_jpeg(spark, sf_dir):
+    return avi.media_features(avi.to_media(documents(spark, sf_dir)))
