@@ -5,7 +5,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from wsample.llm import avi, decontaminate, langid, packing, simhash, store, tokens
+from wsample.llm import avi, decontaminate, langid, packing, pii, simhash, store, tokens
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
@@ -56,3 +56,8 @@ def op7_token_counts(spark, sf_dir):
 @query
 def op9_motion_jpeg(spark, sf_dir):
     return avi.media_features(avi.to_media(documents(spark, sf_dir)))
+
+
+@query
+def op10_personal_data(spark, sf_dir):
+    return pii.personal_data(documents(spark, sf_dir))
