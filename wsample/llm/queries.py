@@ -4,8 +4,9 @@ from __future__ import annotations
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
-from wsample.llm import avi, decontaminate, langid, packing, pii, simhash, store, tokens
+from wsample.llm import avi, decontaminate, langid, lines, packing, pii, simhash, store, tokens
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
@@ -20,6 +21,12 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+@query
+def op1_line_dedup(spark, sf_dir):
+    done = lines.dedup_lines(documents(spark, sf_dir))
+    return done.select("doc_id", "n_lines", "n_exact", "n_near", F.crc32(F.coalesce("text", F.lit(""))).alias("text_crc32"))
+
+
 @query
 def op2_simhash_duplicates(spark, sf_dir):
     return simhash.near_duplicates(documents(spark, sf_dir), shingle=3, max_bits=2)
