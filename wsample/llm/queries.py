@@ -6,7 +6,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from wsample.llm import avi, decontaminate, langid, lines, packing, pii, simhash, store, tokens
+from wsample.llm import avi, decontaminate, langid, lines, packing, pii, quality, simhash, store, tokens
 
 QUERIES: dict = {}
 SQL: dict[str, str] = {}
@@ -60,6 +60,13 @@ def op7_token_counts(spark, sf_dir):
     return tokens.token_counts(documents(spark, sf_dir), public_tokenizers.path("word_bpe_49k.json"), limit=2048)
 
 
+@query
+def op8_quality(spark, sf_dir):
+    labels = spark.read.parquet(f"{sf_dir}/labels.parquet")
+    judged = quality.classify(documents(spark, sf_dir), labels, host="source", path="lang")
+    return judged.select("doc_id", "p_doc", "host_rate", "path_rate", "p_good", "keep")
+
+
 @query
 def op9_motion_jpeg(spark, sf_dir):
     return avi.media_features(avi.to_media(documents(spark, sf_dir)))

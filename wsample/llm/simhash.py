@@ -153,7 +153,7 @@ def allot(costs: list[list[float]], total: int) -> tuple[float, list[int]]:
     return best[total]
 
 
-def plan_parts(n: int, both: np.ndarray, max_bits: int, *, most_parts: int = 8) -> list[Part]:
+def plan_parts(n: int, both: np.ndarray, max_bits: int, *, most_parts: int = 16) -> list[Part]:
     """Parts and thresholds of least expected cost over all numbers of parts."""
     p, plans = np.diag(both) / max(n, 1), []
     for m in range(1, min(max_bits + 2, most_parts) + 1):
