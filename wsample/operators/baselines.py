@@ -27,8 +27,8 @@ def sequential_draw(df: DataFrame, m: int, *, weight: Column | str, id_cols: Seq
         total = left.agg(F.sum("__w")).first()[0]
         if total is None:
             break
-        sums = running(left, order_by or list(id_cols), {"__W": F.col("__w")})
-        hit = sums.where(F.col("__W") > F.lit(u * total)).orderBy("__W").select(*id_cols).first()
+        sums = running(left, order_by or list(id_cols), {"__run": F.col("__w")})
+        hit = sums.where(F.col("__run") > F.lit(u * total)).orderBy("__run").select(*id_cols).first()
         drawn.append((r, *hit))
         left = left.where(~_same(id_cols, hit))
     kinds = ", ".join(f"`{c}` {df.schema[c].dataType.simpleString()}" for c in id_cols)
@@ -59,9 +59,9 @@ def systematic_sample(df: DataFrame, m: int, *, units: Column, id_cols: Sequence
     """Items over which the running sum of integer ``units`` crosses one of m evenly spaced points: exactly m, if none is overweight."""
     total = df.agg(F.sum(units)).first()[0]
     u = int(slot_uniforms(1, seed, tag)[0] * total)
-    sums = running(df.withColumn("__c", units), order_by or list(id_cols), {"__C": F.col("__c")})
+    sums = running(df.withColumn("__c", units), order_by or list(id_cols), {"__csum": F.col("__c")})
     crossed = lambda c: F.floor((c.cast("decimal(20,0)") * F.lit(m) + F.lit(u).cast("decimal(20,0)")) / F.lit(total).cast("decimal(20,0)"))
-    return sums.where(crossed(F.col("__C")) > crossed(F.col("__C") - F.col("__c"))).drop("__c", "__C")
+    return sums.where(crossed(F.col("__csum")) > crossed(F.col("__csum") - F.col("__c"))).drop("__c", "__csum")
 
 
 def uniform_jump_sample(df: DataFrame, m: int, *, id_cols: Sequence[str], seed: int = 0) -> DataFrame:

@@ -42,10 +42,10 @@ def draw_inclusion_m2(df: DataFrame, *, weight: Column | str, id_cols: list[str]
     """Draw-role chances at two draws, in closed form: one aggregate."""
     good, w = positive_weight(df, weight)
     rows = good.select(*id_cols, w.alias("w"))
-    total = rows.agg(F.sum("w").alias("W"))
-    odds = rows.crossJoin(F.broadcast(total)).select(*id_cols, "w", "W", (F.col("w") / (F.col("W") - F.col("w"))).alias("odds"))
+    total = rows.agg(F.sum("w").alias("total"))
+    odds = rows.crossJoin(F.broadcast(total)).select(*id_cols, "w", "total", (F.col("w") / (F.col("total") - F.col("w"))).alias("odds"))
     over = odds.agg(F.sum("odds").alias("all_odds"))
-    return odds.crossJoin(F.broadcast(over)).select(*id_cols, (F.col("w") / F.col("W") * (1 + F.col("all_odds") - F.col("odds"))).alias("inclusion_prob"))
+    return odds.crossJoin(F.broadcast(over)).select(*id_cols, (F.col("w") / F.col("total") * (1 + F.col("all_odds") - F.col("odds"))).alias("inclusion_prob"))
 
 
 def enumerate_draws(weights, m: int) -> np.ndarray:
@@ -144,6 +144,6 @@ def overweight_trace(df: DataFrame, m: int, ks: list[int], *, weight: Column | s
     cut = good.sparkSession.createDataFrame([(k,) for k in ks], "k int")
     pairs = numbered.join(F.broadcast(cut), F.col("i") <= F.col("k"))
     by = Window.partitionBy("k").orderBy(F.desc("w"), "i")
-    ranked = pairs.select("k", "w", F.row_number().over(by).alias("r"), F.sum("w").over(Window.partitionBy("k")).alias("W"), F.sum("w").over(by.rowsBetween(Window.unboundedPreceding, -1)).alias("above"))
-    rest = F.col("W") - F.coalesce("above", F.lit(0.0))
+    ranked = pairs.select("k", "w", F.row_number().over(by).alias("r"), F.sum("w").over(Window.partitionBy("k")).alias("total"), F.sum("w").over(by.rowsBetween(Window.unboundedPreceding, -1)).alias("above"))
+    rest = F.col("total") - F.coalesce("above", F.lit(0.0))
     return ranked.groupBy("k").agg(F.count(F.when((F.col("r") <= m) & ((m - F.col("r") + 1) * F.col("w") > rest), 1)).cast("int").alias("n_overweight"))

@@ -62,8 +62,8 @@ def role_gap_m2(df: DataFrame, *, weight: Column | str, id_cols: list[str]) -> D
 def expected_insertions(df: DataFrame, m: int, *, weight: Column | str, order_by: Sequence[str]) -> DataFrame:
     """(n, expected): acceptances of the inclusion role over an order, the sum of min(1, m * weight / running weight)."""
     w = (F.col(weight) if isinstance(weight, str) else weight).cast("double")
-    sums = running(df.withColumn("__w", w), order_by, {"__W": F.col("__w")})
-    return sums.agg(F.count("*").alias("n"), F.sum(F.least(F.lit(1.0), F.lit(m) * F.col("__w") / F.col("__W"))).alias("expected"))
+    sums = running(df.withColumn("__w", w), order_by, {"__run": F.col("__w")})
+    return sums.agg(F.count("*").alias("n"), F.sum(F.least(F.lit(1.0), F.lit(m) * F.col("__w") / F.col("__run"))).alias("expected"))
 
 
 def plan_cost(df: DataFrame) -> dict:

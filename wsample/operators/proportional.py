@@ -60,10 +60,10 @@ def merge_reservoirs(rows: DataFrame, m: int, schema: str, *, seed: int, tasks:
     while True:
         level += 1
 
-        def merge(key, table, level=level):
+        def merge(key, table):
             items, adjusted, w = table.column("item").to_pylist(), table.column("adjusted").to_numpy(), table.column("w").to_pylist()
             order = sorted(range(len(items)), key=lambda i: (table.column("node")[i].as_py(), -adjusted[i], repr(items[i])))
-            sampler = ProportionalSampler(m, keyed_rng(seed, level, key[0].as_py()))
+            sampler = ProportionalSampler(m, keyed_rng(seed, level, key[0].as_py()))  # noqa: B023
             sampler.offer(order, adjusted[order])
             kept = sampler.snapshot()
             nodes = key[0].as_py()
@@ -134,16 +134,16 @@ def windowed_sample(df: DataFrame, m: int, *, weight: Column | str, id_cols: Seq
     """
     good, w = positive_weight(df, weight, on_bad_weight=on_bad_weight)
     base = good.withColumn("__w", w)
-    steps = running(base, order_by, {"__W": F.col("__w")}, largest={"__big": F.col("__w")}, number="__k")
-    steps = steps.select(*id_cols, "__w", "__W", "__big", "__k", keyed_uniform([F.lit("u"), *id_cols], seed=seed, tag=tag, source=source).alias("__u"), keyed_uniform([F.lit("v"), *id_cols], seed=seed, tag=tag, source=source).alias("__v"))
-    last = steps.where(F.lit(m) * F.col("__big") >= F.col("__W")).agg(F.max("__k")).first()[0] or 0
+    steps = running(base, order_by, {"__run": F.col("__w")}, largest={"__big": F.col("__w")}, number="__k")
+    steps = steps.select(*id_cols, "__w", "__run", "__big", "__k", keyed_uniform([F.lit("u"), *id_cols], seed=seed, tag=tag, source=source).alias("__u"), keyed_uniform([F.lit("v"), *id_cols], seed=seed, tag=tag, source=source).alias("__v"))
+    last = steps.where(F.lit(m) * F.col("__big") >= F.col("__run")).agg(F.max("__k")).first()[0] or 0
     until = max(last, m) + 1
     start = steps.where(F.col("__k") <= until).orderBy("__k").collect()
     sampler = ProportionalSampler(m)
     sampler.offer([tuple(r[c] for c in id_cols) for r in start], np.array([r["__w"] for r in start]), ([r["__u"] for r in start], [r["__v"] for r in start]))
     kinds = ", ".join(f"`{c}` {df.schema[c].dataType.simpleString()}" for c in id_cols)
     held = df.sparkSession.createDataFrame([(i, 0, *e.item) for i, e in enumerate(sampler.snapshot())], f"slot int, __k long, {kinds}")
-    later = steps.where((F.col("__k") > until) & (F.col("__u") * F.col("__W") < F.lit(m) * F.col("__w"))).select(F.floor(F.col("__v") * m).cast("int").alias("slot"), F.col("__k").cast("long").alias("__k"), *id_cols)
+    later = steps.where((F.col("__k") > until) & (F.col("__u") * F.col("__run") < F.lit(m) * F.col("__w"))).select(F.floor(F.col("__v") * m).cast("int").alias("slot"), F.col("__k").cast("long").alias("__k"), *id_cols)
     best = held.unionByName(later).groupBy("slot").agg(F.max_by(F.struct(*id_cols), "__k").alias("item"))
     return best.select("slot", *[F.col(f"item.{c}").alias(c) for c in id_cols])
 

@@ -8,6 +8,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from wsample.functions.randomness import keyed_uniform
+from wsample.functions.times import micros
 from wsample.operators.prefix import running
 from wsample.operators.proportional import proportional_sample
 from wsample.operators.race import race_sample
@@ -17,7 +18,7 @@ LN2 = 0.6931471805599453
 
 def seconds(time: Column | str) -> Column:
     """A timestamp as seconds since 1970, a double."""
-    return F.unix_micros(F.col(time) if isinstance(time, str) else time) / F.lit(1e6)
+    return micros(time) / F.lit(1e6)
 
 
 def exp_decay(time: Column | str, *, half_life: float, landmark: float = 0.0) -> Column:

@@ -57,14 +57,14 @@ def _race_jump(df, m, id_cols, order, seed, tag, source):
 
 
 def _proportional(df, m, id_cols, order, seed, tag, source):
-    steps = running(df.select("__w", *dict.fromkeys([*id_cols, *[c for c in order if isinstance(c, str)]])), order, {"__W": F.col("__w")}, number="__k")
-    each = steps.select(*id_cols, "__w", "__W", "__k", F.explode(F.sequence(F.lit(1), F.lit(m))).alias("slot"))
-    taken = each.where(keyed_uniform([*id_cols, "slot"], seed=seed, tag=tag, source=source) * F.col("__W") < F.col("__w"))
+    steps = running(df.select("__w", *dict.fromkeys([*id_cols, *[c for c in order if isinstance(c, str)]])), order, {"__run": F.col("__w")}, number="__k")
+    each = steps.select(*id_cols, "__w", "__run", "__k", F.explode(F.sequence(F.lit(1), F.lit(m))).alias("slot"))
+    taken = each.where(keyed_uniform([*id_cols, "slot"], seed=seed, tag=tag, source=source) * F.col("__run") < F.col("__w"))
     return _out(taken.groupBy("slot").agg(F.max_by(F.struct(*id_cols), "__k").alias("item")), id_cols)
 
 
 def _sums(df, id_cols, order):
-    return running(df.select("__w", *dict.fromkeys([*id_cols, *[c for c in order if isinstance(c, str)]])), order, {"__W": F.col("__w")})
+    return running(df.select("__w", *dict.fromkeys([*id_cols, *[c for c in order if isinstance(c, str)]])), order, {"__run": F.col("__w")})
 
 
 def _points(df: DataFrame, points: list[tuple[int, float]], id_cols: list[str], order) -> DataFrame:
@@ -77,7 +77,7 @@ def _points(df: DataFrame, points: list[tuple[int, float]], id_cols: list[str],
         turn = np.argsort(at)
         at, slot = at[turn], slot[turn]
         for batch in batches:
-            hi = batch.column("__W").to_numpy()
+            hi = batch.column("__run").to_numpy()
             lo = hi - batch.column("__w").to_numpy()
             first, last = np.searchsorted(at, lo, side="left"), np.searchsorted(at, hi, side="left")
             row = np.repeat(np.arange(len(hi)), last - first)
@@ -86,7 +86,7 @@ def _points(df: DataFrame, points: list[tuple[int, float]], id_cols: list[str],
                 yield pa.RecordBatch.from_arrays([pa.array(slot[which]), *[batch.column(c).take(pa.array(row)) for c in id_cols]], ["slot", *id_cols])
 
     kinds = ", ".join(f"`{c}` {df.schema[c].dataType.simpleString()}" for c in id_cols)
-    return steps.select("__w", "__W", *id_cols).mapInArrow(search, f"slot int, {kinds}")
+    return steps.select("__w", "__run", *id_cols).mapInArrow(search, f"slot int, {kinds}")
 
 
 def slot_uniforms(m: int, seed: int, tag: str) -> list[float]:
@@ -109,7 +109,7 @@ def _proportional_jump(df, m, id_cols, order, seed, tag, source):
     Points are drawn upwards from the first item's weight until they pass the total, about log(total / first) a slot.
     """
     steps = _sums(df, id_cols, order)
-    first = steps.agg(F.min("__W"), F.max("__W")).first()
+    first = steps.agg(F.min("__run"), F.max("__run")).first()
     if first[0] is None:
         return df.select(F.lit(1).alias("slot"), *id_cols).limit(0)
     now, total = float(first[0]), float(first[1])

@@ -383,8 +383,8 @@ class BoundedSampler(ReservoirSampler):
         waiting = [number]
         while waiting:
             x = waiting.pop()
-            entry = self.item[x]
-            while entry[3] < self.m and entry[4] < entry[2]:
+            entry = self.item.get(x)
+            while entry is not None and entry[3] < self.m and entry[4] < entry[2]:
                 j = entry[3]
                 entry[3] += 1
                 u = self._uniforms(1)[0] if entry[5] is None else entry[5][j]
@@ -397,8 +397,8 @@ class BoundedSampler(ReservoirSampler):
                     if lost is not None:
                         self.item[lost[1]][4] -= 1
                         waiting.append(lost[1])
-            if entry[3] >= self.m and entry[4] == 0:
-                del self.item[x]
+            if entry is not None and entry[3] >= self.m and entry[4] == 0:
+                self.item.pop(x, None)
 
     def snapshot(self) -> list[SampleEntry]:
         return [SampleEntry(self.item[s[1]][0], self.item[s[1]][1], s[0]) for s in self.slot if s is not None]
