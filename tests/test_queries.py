@@ -30,7 +30,7 @@ def rows(df):
 
 
 def test_twins_name_queries():
-    assert set(oracles.SQL) <= set(workloads.QUERIES) and set(workloads.QUERIES) - set(oracles.SQL) == {"spark_sample_contrast"}
+    assert set(oracles.SQL) <= set(workloads.QUERIES) and set(workloads.QUERIES) - set(oracles.SQL) == {"spark_sample_contrast", "weight_sketches"}
 
 
 @pytest.mark.parametrize("name", sorted(oracles.SQL))
@@ -44,6 +44,11 @@ def test_contrast(spark, sf):
     assert {r.method for r in workloads.QUERIES["spark_sample_contrast"](spark, sf).collect()} >= {"sample", "tablesample_rows"}
 
 
+def test_sketches(spark, sf):
+    r = workloads.QUERIES["weight_sketches"](spark, sf).first()
+    assert r.median <= r.p90 <= r.p99 and abs(r.kll_median - r.median) < 0.1 * r.p99 and abs(r.n_distinct - 1500) < 150
+
+
 def test_golden_winners(spark, sf):
     top = workloads.QUERIES["race_orders_m50"](spark, sf).orderBy("position").limit(5).collect()
     assert [r.o_orderkey for r in top] == [266, 701, 646, 193, 794]

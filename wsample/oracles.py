@@ -213,3 +213,6 @@ SESSIONS = "(SELECT *, min(epoch_us(ts)) OVER (PARTITION BY user_id, s) AS windo
 SQL["race_session_events"] = grouped(SESSIONS, "user_id, window_start", "event_id", "value", 2)
 SQL["stream_race_events"] = top("events", "event_id", "value", 50, where="value > 0")
 SQL["stream_min_by_window"] = f"SELECT window_start, event_id FROM ({grouped(TUMBLING, 'window_start', 'event_id', 'value', 1, 'value > 0')})"
+SQL["stream_prefix_check"] = "SELECT CAST(batch AS INTEGER) AS batch, TRUE AS ok FROM range(4) t(batch)"
+SQL["props_families"] = "SELECT event_id, 'k' AS name, CAST(json_extract_string(props, '$.k') AS BIGINT) + 1 AS weight FROM events"
+SQL["outer_overlap"] = f"SELECT coalesce(a.o_orderkey, b.o_orderkey) AS o_orderkey, a.position AS first, b.position AS second FROM ({top('orders', 'o_orderkey', 'o_totalprice', 100)}) a FULL JOIN ({top('orders', 'o_orderkey', 'o_totalprice', 100, tag='other')}) b ON a.o_orderkey = b.o_orderkey"

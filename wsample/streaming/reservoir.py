@@ -51,6 +51,11 @@ class StreamingRace:
         return self.spark.read.parquet(f"{self.folder}/reservoir").select("batch", *self.id_cols)
 
 
+def drain(stream: DataFrame, state: StreamingRace) -> None:
+    """Run a stream until its source has no more."""
+    stream.writeStream.foreachBatch(state.foreach).option("checkpointLocation", f"{state.folder}/log").trigger(availableNow=True).start().awaitTermination()
+
+
 def drain_race(spark: SparkSession, path: str, m: int, *, weight: str, id_cols: Sequence[str], keep: str | None = None, files_per_batch: int = 1, **kw) -> DataFrame:
     """Read files as a stream until none is left; the reservoir then equals the batch sample."""
     schema = spark.read.parquet(path).schema
@@ -58,8 +63,7 @@ def drain_race(spark: SparkSession, path: str, m: int, *, weight: str, id_cols:
     if keep:
         stream = stream.where(keep)
     state = StreamingRace(spark, m, weight=weight, id_cols=id_cols, **kw)
-    run = stream.writeStream.foreachBatch(state.foreach).option("checkpointLocation", f"{state.folder}/log").trigger(availableNow=True).start()
-    run.awaitTermination()
+    drain(stream, state)
     return state.sample()
 
 

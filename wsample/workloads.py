@@ -578,6 +578,47 @@ def stream_min_by_window(spark, sf_dir):
     return reservoir.drain_window_winner(spark, f"{sf_dir}/events.parquet", weight="value", id_col="event_id", time="ts", width="1 day", keep="value > 0", **MD5)
 
 
+@query
+def stream_prefix_check(spark, sf_dir):
+    """Four files of events, in order: after each, the reservoir is the batch sample of all so far."""
+    events = _events(spark, sf_dir)
+    last = events.agg(F.max("event_id")).first()[0]
+    cut = [last * (i + 1) // 4 for i in range(4)]
+    state = reservoir.StreamingRace(spark, 50, weight="value", id_cols=["event_id"], **MD5)
+    low = -1
+    for high in cut:
+        events.where((F.col("event_id") > low) & (F.col("event_id") <= high)).coalesce(1).write.mode("append").parquet(f"{state.folder}/in")
+        low = high
+    reservoir.drain(spark.readStream.schema(events.schema).option("maxFilesPerTrigger", 1).parquet(f"{state.folder}/in"), state)
+    sample = lambda df: race.race_sample(df, 50, weight="value", id_cols=["event_id"], **MD5)
+    return measures.prefix_check(state.history(), events, sample, batch="batch", order="event_id", ids=["event_id"], last=dict(enumerate(cut)))
+
+
+@query
+def weight_sketches(spark, sf_dir):
+    """Sketches of a weight: distinct count, quantiles and a mergeable quantile sketch, for a first guess of thresholds."""
+    orders = _orders_cents(spark, sf_dir)
+    got = orders.agg(F.approx_count_distinct("cents").alias("n_distinct"), F.percentile_approx("cents", [0.5, 0.9, 0.99], 10_000).alias("q"), F.expr("kll_sketch_get_quantile_bigint(kll_sketch_agg_bigint(cents), 0.5)").alias("kll_median"))
+    return got.select("n_distinct", F.col("q")[0].alias("median"), F.col("q")[1].alias("p90"), F.col("q")[2].alias("p99"), "kll_median")
+
+
+@query
+def props_families(spark, sf_dir):
+    """JSON, map and array functions around a weight."""
+    parsed = table(spark, sf_dir, "events").select("event_id", F.from_json("props", "map<string,long>").alias("m"))
+    made = parsed.select("event_id", F.map_entries(F.map_from_arrays(F.map_keys("m"), F.transform(F.map_values("m"), lambda x: x + 1))).alias("e"))
+    flat = made.select("event_id", F.explode("e").alias("e")).select("event_id", F.col("e.key").alias("name"), F.col("e.value").alias("weight"))
+    return flat.where(F.to_json(F.struct("weight")).isNotNull())
+
+
+@query
+def outer_overlap(spark, sf_dir):
+    """Two samples side by side, a full outer join of whole-table hash joins."""
+    a = _sample_orders(spark, sf_dir, 100).select("o_orderkey", F.col("position").alias("first")).hint("shuffle_hash")
+    b = _sample_orders(spark, sf_dir, 100, "other").select("o_orderkey", F.col("position").alias("second"))
+    return a.join(b, "o_orderkey", "full_outer")
+
+
 @query
 def spark_sample_contrast(spark, sf_dir):
     found = baselines.spark_samples(table(spark, sf_dir, "orders"), 0.1, seed=SEED)
