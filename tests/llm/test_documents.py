@@ -114,7 +114,7 @@ def test_language_query(spark, sf):
 def test_language_odd(spark):
     docs = odd(spark)
     got = {r.doc_id: r for r in langid.identify(docs, langid.train(docs)).collect()}
-    assert [got[i].lang_pred for i in (1, 2, 3, 10)][:3] == ["und"] * 3 and got[4].lang_pred == "en"
+    assert [got[i].lang_pred for i in (1, 2, 3)] == ["und"] * 3 and got[6].lang_pred == "en"
     assert langid.identify(none(spark), langid.train(none(spark))).count() == 0
     assert {r.lang_pred for r in langid.identify(docs, langid.train(none(spark))).collect()} == {"und"}
 
@@ -182,7 +182,7 @@ def test_decontamination_odd(spark):
             else:
                 assert (r.n_hit, r.n_items) == (40_000, 1)
     kept = decontaminate.clean(odd(spark), bench)
-    assert kept.columns == odd(spark).columns and {r.doc_id for r in kept.collect()} == {1, 2, 3, None, 10}
+    assert kept.columns == odd(spark).columns and {r.doc_id for r in kept.collect()} == {k for k, t in texts.items() if k != 5 and not slow_hits(t, named)[-1]}
     assert decontaminate.clean(none(spark), bench).count() == decontaminate.contamination(none(spark), bench).count() == 0
     assert decontaminate.clean(odd(spark), bench.limit(0)).count() == len(ROWS)
 
