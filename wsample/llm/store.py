@@ -26,8 +26,10 @@ from wsample.llm.common import by_batch, new_path, text_of, written
 from wsample.llm.tokens import encoder
 
 #: Ids a chunk: least, most, and the mean between least and a cut as a power of two.
-LEAST, MOST, MEAN_BITS = 64, 1024, 8
+LEAST, MOST, MEAN_BITS = 128, 2048, 9
 DIGEST_BYTES = 16
+#: Digests that a task remembers having written.
+REMEMBERED = 500_000
 RECIPE = "array<struct<digest:binary,n_ids:int>>"
 
 
@@ -108,28 +110,36 @@ def write_store(docs: DataFrame, path: str, *, end_id: int = 1, id_col: str = "d
         for batch in batches:
             texts = batch.column(1).to_pylist()
             for lo in range(0, len(texts), 256):
-                counts, roots, recipes, fresh = [], [], [], []
+                counts, roots, recipe, names, sizes, fresh, new_names, new_sizes, payloads = [], [], [0], [], [], [0], [], [], []
                 for text in texts[lo : lo + 256]:
-                    ids = np.frombuffer(tokens(text) + end, dtype="<u4")
-                    recipe, new, at = [], [], 0
-                    for to in cuts(ids):
-                        part = ids[at:to]
-                        name = digest(part.tobytes())
-                        recipe.append({"digest": name, "n_ids": to - at})
+                    data = tokens(text) + end
+                    at, leaves = 0, []
+                    for to in cuts(np.frombuffer(data, dtype="<u4")):
+                        part = data[4 * at : 4 * to]
+                        name = digest(part)
+                        leaves.append(name)
+                        sizes.append(to - at)
                         if name not in seen:
-                            if len(seen) >= 1_000_000:
+                            if len(seen) >= REMEMBERED:
                                 seen.clear()
                             seen.add(name)
-                            width = 2 if part.max() < 65536 else 4
-                            new.append({"digest": name, "n_ids": to - at, "width": width, "payload": part.astype(f"<u{width}").tobytes()})
+                            new_names.append(name)
+                            new_sizes.append(to - at)
+                            payloads.append(part)
                         at = to
-                    counts.append(len(ids))
-                    roots.append(merkle_root([x["digest"] for x in recipe]))
-                    recipes.append(recipe)
-                    fresh.append(new)
-                pair = pa.struct([("digest", pa.binary()), ("n_ids", pa.int32())])
-                whole = pa.struct([("digest", pa.binary()), ("n_ids", pa.int32()), ("width", pa.int32()), ("payload", pa.binary())])
-                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, 256), pa.array(counts, pa.int64()), pa.array(roots, pa.binary()), pa.array(recipes, pa.list_(pair)), pa.array(fresh, pa.list_(whole))], ["doc_id", "n_tokens", "root", "chunks", "fresh"])
+                    counts.append(at)
+                    roots.append(merkle_root(leaves))
+                    names += leaves
+                    recipe.append(len(names))
+                    fresh.append(len(new_names))
+                widths = []
+                for i, part in enumerate(payloads):
+                    ids = np.frombuffer(part, dtype="<u4")
+                    widths.append(2 if ids.max() < 65536 else 4)
+                    payloads[i] = ids.astype(f"<u{widths[-1]}").tobytes()
+                pairs = pa.StructArray.from_arrays([pa.array(names, pa.binary()), pa.array(sizes, pa.int32())], ["digest", "n_ids"])
+                whole = pa.StructArray.from_arrays([pa.array(new_names, pa.binary()), pa.array(new_sizes, pa.int32()), pa.array(widths, pa.int32()), pa.array(payloads, pa.binary())], ["digest", "n_ids", "width", "payload"])
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(lo, 256), pa.array(counts, pa.int64()), pa.array(roots, pa.binary()), pa.ListArray.from_arrays(pa.array(recipe, pa.int32()), pairs), pa.ListArray.from_arrays(pa.array(fresh, pa.int32()), whole)], ["doc_id", "n_tokens", "root", "chunks", "fresh"])
 
     encoded = docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text")).mapInArrow(encode, f"doc_id {kind}, n_tokens long, root binary, chunks {RECIPE}, fresh array<struct<digest:binary,n_ids:int,width:int,payload:binary>>")
     staged = written(encoded, "encoded")
@@ -187,15 +197,18 @@ def read_documents(store: Store) -> DataFrame:
     whole = found.groupBy("file_no", "row_no").agg(F.sort_array(F.collect_list(F.struct("pos", "n_ids", "crc", "sound", "digest"))).alias("parts"))
 
     def joined(batch: pa.RecordBatch) -> pa.RecordBatch:
+        lists = batch.column(2)
+        ends, flat = np.asarray(lists.offsets).tolist(), lists.values
+        sizes, sums, good, names = (flat.field(x).to_pylist() for x in ("n_ids", "crc", "sound", "digest"))
         total, roots, sound = [], [], []
-        for parts in batch.column(2).to_pylist():
+        for lo, hi in zip(ends, ends[1:]):
             value = 0
-            for p in parts:
-                value = join_crc(value, p["crc"] or 0, 4 * p["n_ids"])
+            for k in range(lo, hi):
+                value = join_crc(value, sums[k] or 0, 4 * sizes[k])
             total.append(value)
-            roots.append(merkle_root([p["digest"] for p in parts]))
-            sound.append(all(p["sound"] for p in parts))
-        return pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(total, pa.int64()), pa.array(roots, pa.binary()), pa.array(sound, pa.bool_()), pa.array([len(x) for x in batch.column(2)], pa.int32())], ["file_no", "row_no", "ids_crc32", "made_root", "sound", "n_chunks"])
+            roots.append(merkle_root(names[lo:hi]))
+            sound.append(all(good[lo:hi]))
+        return pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(total, pa.int64()), pa.array(roots, pa.binary()), pa.array(sound, pa.bool_()), pa.array(np.diff(ends), pa.int32())], ["file_no", "row_no", "ids_crc32", "made_root", "sound", "n_chunks"])
 
     made = by_batch(whole, joined, "file_no int, row_no long, ids_crc32 long, made_root binary, sound boolean, n_chunks int")
     offsets = store.manifest.select("file_no", F.coalesce(F.sum("n_tokens").over(Window.orderBy("file_no").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"))  # one row a file

@@ -1,8 +1,9 @@
 """Token ids and token counts of whole texts, from public vocabulary files whose path is a parameter.
 
-A pre-token never crosses a single space between two visible characters (byte-level files) or any
-ASCII white space (word files), so texts are cut there and each piece is encoded once a worker.
-The piece cache is bounded: a full generation replaces the one before it.
+Texts of Latin letters are cut into pre-tokens by the files' own rules, written for Python's ``re`` over the characters
+whose classes no library version disputes; other texts are cut where no pre-token crosses (a single space between
+visible characters, or any ASCII white space for word files) and the library cuts the pieces further.  A unit's ids
+are made once a worker.  The cache of units is bounded: a full generation replaces the one before it.
 """
 
 from __future__ import annotations
@@ -12,6 +13,7 @@ import heapq
 import json
 import re
 import zlib
+from array import array
 
 import numpy as np
 import pyarrow as pa
@@ -26,8 +28,6 @@ CACHE_ENTRIES = 500_000
 CACHE_CHARS = 64
 #: Between two visible characters; Python's idea of white space includes the libraries'.
 _GAP = re.compile(r"(?<=\S) (?=\S)")
-#: White space besides single spaces and line ends, to Python or a library.
-_OTHER_SPACE = [chr(c) for c in (9, 11, 12, 13, 28, 29, 30, 31, 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000)]
 #: White space to Python but not to the library.
 _ODD = ("\x1c", "\x1d", "\x1e", "\x1f")
 _ASCII_SPACE = re.compile(r"[ \t\n\r\x0b\x0c]+")
@@ -60,9 +60,16 @@ def byte_level(unit: str) -> str:
     return unit.encode().decode("latin-1").translate(_STAND_IN)
 
 
-def plain_letters(piece: str) -> bool:
-    """Letters of the Latin blocks alone, whose classes no library version disputes."""
-    return piece.isalpha() and (piece.isascii() or (max(piece) < "\u0250" and "\u0130" not in piece))
+#: Letters and numerals below U+0250.
+_L, _N = "A-Za-z\xaa\xb5\xba\xc0-\xd6\xd8-\xf6\xf8-\u024f", "0-9\xb2\xb3\xb9\xbc-\xbe"
+_BYTE_UNITS = re.compile(rf" ?[{_L}]+|'(?:s|t|re|ve|m|ll|d)| ?[{_N}]+| ?[^\s{_L}{_N}]+|\s+(?!\S)|\s+").findall
+_WORD_UNITS = re.compile(rf"[{_L}]+|'(?:s|t|re|ve|m|ll|d)|[{_N}]|[^\s{_L}{_N}]+").findall
+_UNSURE = re.compile("[^\x00-\u024f]|[\u0130\x85\xa0]").search
+
+
+def plain(text: str) -> bool:
+    """Whether the rules above cut the text as the libraries do: no special string, and no character beyond doubt."""
+    return "<|" not in text and not any(c in text for c in _ODD) and (text.isascii() or not _UNSURE(text))
 
 
 class ByteLevelIds:
@@ -73,30 +80,19 @@ class ByteLevelIds:
 
         library = Tokenizer.from_file(path)
         self.encode, self.tokenize = library.encode, library.model.tokenize
-        self.first = _Pieces(lambda piece: self.pack("", piece))
-        self.spaced = _Pieces(lambda piece: self.pack(" ", piece))
+        self.units, self.pieces = _Pieces(self.unit_ids), _Pieces(self.piece_ids)
+
+    def unit_ids(self, unit: str) -> bytes:
+        return array("I", [t.id for t in self.tokenize(byte_level(unit))]).tobytes()
 
-    def pack(self, space: str, piece: str) -> bytes:
-        if piece[-1:] in (",", ".") and plain_letters(piece[:-1]):
-            return (self.spaced if space else self.first)[piece[:-1]] + self.first[piece[-1]]
-        if plain_letters(piece):  # one pre-token
-            return np.array([t.id for t in self.tokenize(byte_level(space + piece))], dtype="<u4").tobytes()
-        return np.array(self.encode(space + piece, add_special_tokens=False).ids, dtype="<u4").tobytes()
+    def piece_ids(self, piece: str) -> bytes:
+        return array("I", self.encode(piece, add_special_tokens=False).ids).tobytes()
 
     def __call__(self, text: str) -> bytes:
-        lines = text.split("\n")
-        rows = [line.split(" ") for line in lines]
-        first, spaced = self.first, self.spaced
-        if sum(map(len, rows)) == len(text.split()) and not any(c in text for c in _OTHER_SPACE):
-            newline, out = first["\n"], []
-            for row in rows:
-                out.append(first[row[0]])
-                if len(row) > 1:
-                    out.extend([spaced[x] for x in row[1:]])
-                out.append(newline)
-            return b"".join(out[:-1])
-        pieces = _GAP.split(text)
-        return b"".join([first[pieces[0]], *[spaced[x] for x in pieces[1:]]])
+        if plain(text):
+            return b"".join(map(self.units.__getitem__, _BYTE_UNITS(text)))
+        first, *rest = _GAP.split(text)
+        return b"".join([self.pieces[first], *[self.pieces[" " + x] for x in rest]])
 
 
 def words_of(text: str) -> list[str]:
@@ -106,29 +102,13 @@ def words_of(text: str) -> list[str]:
     return text.split()
 
 
-class WordIds:
-    """Ids of a vocabulary with word ends, white space being dropped."""
-
-    def __init__(self, path: str):
-        from tokenizers import Tokenizer
-
-        library = Tokenizer.from_file(path)
-        self.encode, self.tokenize = library.encode, library.model.tokenize
-        self.pieces, self.units = _Pieces(self.pack), _Pieces(self.pack_unit)
-
-    def pack(self, piece: str) -> bytes:
-        if piece[-1:] in (",", ".") and plain_letters(piece[:-1]):
-            return self.units[piece[:-1].lower()] + self.pieces[piece[-1]]
-        if plain_letters(piece):
-            return self.units[piece.lower()]
-        return np.array(self.encode(piece, add_special_tokens=False).ids, dtype="<u4").tobytes()
-
-    def pack_unit(self, unit: str) -> bytes:
-        return np.array([t.id for t in self.tokenize(byte_level(unit))], dtype="<u4").tobytes()
+class WordIds(ByteLevelIds):
+    """Ids of a lower-case vocabulary with word ends, white space being dropped."""
 
     def __call__(self, text: str) -> bytes:
-        pieces = self.pieces
-        return b"".join([pieces[x] for x in words_of(text)])
+        if plain(text):
+            return b"".join(map(self.units.__getitem__, _WORD_UNITS(text.lower())))
+        return b"".join([self.pieces[x] for x in words_of(text)])
 
 
 class MergeCounter:
@@ -154,24 +134,24 @@ class MergeCounter:
         self.units = _Pieces(self.count_unit)
 
     def __call__(self, text: str) -> int:
-        pieces = self.pieces
-        return sum([pieces[x] for x in words_of(text)])
+        if plain(text):
+            return sum(map(self.units.__getitem__, _WORD_UNITS(text.lower())))
+        return sum([self.pieces[x] for x in words_of(text)])
 
     def count_piece(self, piece: str) -> int:
-        """A piece without white space: special strings count one each, the rest is pre-tokenised by the file's rules."""
+        """A piece without white space: special strings count one each, the rest is cut by the file's rules."""
         if self.special is None or "<" not in piece:
             return self._ordinary(piece)
         return len(self.special.findall(piece)) + sum(self._ordinary(x) for x in self.special.split(piece) if x)
 
     def _ordinary(self, piece: str) -> int:
-        if piece[-1:] in (",", ".") and plain_letters(piece[:-1]):
-            return self.units[byte_level(piece[:-1].lower())] + self.pieces[piece[-1]]
-        if plain_letters(piece):
-            return self.units[byte_level(piece.lower())]
         normal = self.normal.normalize_str(piece) if self.normal else piece
-        return sum(self.units[unit] for unit, _ in self.split.pre_tokenize_str(normal))
+        return sum(self.count_symbols(unit) for unit, _ in self.split.pre_tokenize_str(normal))
 
     def count_unit(self, unit: str) -> int:
+        return self.count_symbols(byte_level(unit))
+
+    def count_symbols(self, unit: str) -> int:
         return count_after_merges([*unit[:-1], unit[-1] + self.end] if unit else [], self.rank)
 
 
