@@ -24,8 +24,9 @@ from wsample.llm.common import by_batch, text_of, written
 from wsample.llm.graph import components
 
 BITS = 64
-#: Rows of a bucket that are compared at once; larger buckets are cut into blocks and compared block by block.
-BLOCK = 2048
+#: Rows of a bucket that are compared at once; larger buckets are cut into blocks and compared block by block, each row
+#: going to as many block pairs as its bucket has blocks, so large blocks shuffle less.
+BLOCK = 16384
 #: A shuffled row costs about as much as this many comparisons.
 ROW_COST = 100
 _LANES = np.uint64(0x0101010101010101)
