@@ -6,8 +6,8 @@ another is that other's variant, so they meet under the variant itself.  Either
 its earliest line, and no pairs within a key are made.
 
 A line makes variants only if another line has its first or its second half of words: the one edit leaves one of two
-halves as it was, so nothing is lost.  The halves that lines share go to the tasks as a bitmap of fixed size; a bit
-that is set by chance costs variants, not results.
+halves as it was, so nothing is lost, and words of the untouched half are not deleted.  The halves that lines share,
+and the hashes of whole lines, go to the tasks as bitmaps of fixed size; a bit that is set by chance costs variants, not results.
 
 A line goes if an earlier line (by document id, then line number) equals it or is within one word of it.
 """
@@ -33,6 +33,26 @@ def _hash(data: bytes) -> int:
     return xxhash.xxh64_intdigest(data) - 2**63
 
 
+_BASE = np.uint64(0x9E3779B97F4A7C15)
+_BACK = np.uint64(pow(0x9E3779B97F4A7C15, -1, 2**64))
+
+
+def _mixed(x: np.ndarray, n: int) -> np.ndarray:
+    x = x + np.uint64(n) * np.uint64(0xD6E8FEB86659FD93 % 2**63)
+    x = (x ^ (x >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
+    return ((x ^ (x >> np.uint64(32))) * np.uint64(0x94D049BB133111EB)).view(np.int64)
+
+
+def rest_hashes(words: list[bytes]) -> tuple[int, np.ndarray]:
+    """Hash of the words, and of the words without each of them: sums of word hashes times powers, so all take one pass."""
+    n = len(words)
+    hashes = np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, n)
+    powers = np.multiply.accumulate(np.concatenate([np.ones(1, np.uint64), np.full(n - 1, _BASE)]))
+    upto = np.concatenate([np.zeros(1, np.uint64), np.cumsum(hashes * powers, dtype=np.uint64)])
+    rest = upto[:-1] + (upto[-1] - upto[1:]) * _BACK
+    return int(_mixed(upto[-1:], n)[0]), _mixed(rest, n - 1)
+
+
 def words_of(line: str) -> list[bytes]:
     return line.encode().split()
 
@@ -54,16 +74,24 @@ def halves(words: list[bytes]) -> list[int]:
     return keys
 
 
-def variants(words: list[bytes]) -> list[tuple[int, int, int, bool]]:
-    """(key, place, words, whole): the line itself; and for each deleted word the rest, once with the place and once as the line it may be."""
+def variants(words: list[bytes], shared: list[bool], is_line) -> list[tuple[int, int, int, bool]]:
+    """(key, place, words, whole): the line itself, and what is left without a word, where a partner may need it.
+
+    ``shared`` says which of the line's halves others have, in their order: with the first half untouched the edit is
+    behind it, else before.  The rest is kept once with its place, for lines of as many words, and once as the
+    shorter line that it may be, if ``is_line`` finds one.
+    """
     n = len(words)
-    out = [(_hash(b" ".join(words)), -1, n, True)]
-    for p in range(n):
-        rest = _hash(b" ".join(words[:p] + words[p + 1 :]))
-        out.append((rest, p, n, False))
-        if p == 0 or words[p] != words[p - 1]:  # equal neighbours leave equal rests
-            out.append((rest, -1, n - 1, False))
-    return out
+    whole, rests = rest_hashes(words)
+    out = {(whole, -1, n, True): None}
+    for p, rest in enumerate(rests.tolist()):
+        replaced = shared[2] if p >= n // 2 else shared[3]
+        dropped = shared[0] if p >= (n - 1) // 2 else shared[1]
+        if replaced:
+            out[rest, p, n, False] = None
+        if dropped and is_line(rest):
+            out[rest, -1, n - 1, False] = None
+    return list(out)
 
 
 def within_one_word(a: list[bytes], b: list[bytes]) -> bool:
@@ -77,42 +105,46 @@ def within_one_word(a: list[bytes], b: list[bytes]) -> bool:
 
 
 def occurrences(docs: DataFrame, near_words: int, id_col: str, text_col: str) -> DataFrame:
-    """(doc_id, line_no, digest, h0 .. h3) of every line that is not blank; halves only of lines long enough."""
+    """(doc_id, line_no, digest, h0 .. h3, whole) of every line that is not blank; halves and hash only of lines long enough."""
 
     def cut(batch: pa.RecordBatch) -> pa.RecordBatch:
-        row, number, names, keys = [], [], [], ([], [], [], [])
+        row, number, names, keys = [], [], [], ([], [], [], [], [])
         for i, text in enumerate(batch.column(1).to_pylist()):
             for k, line in enumerate(text.split("\n")):
                 if words := words_of(line):
                     row.append(i)
                     number.append(k)
                     names.append(digest(words))
-                    for to, h in zip(keys, halves(words) if len(words) >= near_words else (None,) * 4, strict=True):
+                    for to, h in zip(keys, [*halves(words), rest_hashes(words)[0]] if len(words) >= near_words else (None,) * 5, strict=True):
                         to.append(h)
-        return pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(row, pa.int64())), pa.array(number, pa.int32()), pa.array(names, pa.binary()), *(pa.array(k, pa.int64()) for k in keys)], ["doc_id", "line_no", "digest", "h0", "h1", "h2", "h3"])
+        return pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(row, pa.int64())), pa.array(number, pa.int32()), pa.array(names, pa.binary()), *(pa.array(k, pa.int64()) for k in keys)], ["doc_id", "line_no", "digest", "h0", "h1", "h2", "h3", "whole"])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return by_batch(docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text")), cut, f"doc_id {kind}, line_no int, digest binary, h0 long, h1 long, h2 long, h3 long", size_by="text")
+    return by_batch(docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text")), cut, f"doc_id {kind}, line_no int, digest binary, h0 long, h1 long, h2 long, h3 long, whole long", size_by="text")
 
 
-def shared_halves(distinct: DataFrame) -> np.ndarray:
-    """Bitmap of the half keys that more than one distinct line has: BITMAP_BITS bits, however many there are."""
-    half = distinct.select(F.explode(F.array_distinct(F.array("h0", "h1", "h2", "h3"))).alias("h")).where("h is not null")
+def bitmap(hashes: DataFrame) -> np.ndarray:
+    """BITMAP_BITS bits, those of the hashes (column h) set, however many there are; at most a word for each 64 bits comes to the driver."""
     bit = F.pmod("h", F.lit(BITMAP_BITS))
-    many = half.groupBy("h").agg(F.count("*").alias("n")).where("n > 1")
-    words = many.groupBy(F.shiftright(bit, 6).alias("w")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod(bit, F.lit(64)).cast("int"))).alias("b")).toArrow()
+    words = hashes.groupBy(F.shiftright(bit, 6).alias("w")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod(bit, F.lit(64)).cast("int"))).alias("b")).toArrow()
     out = np.zeros(BITMAP_BITS // 64, np.int64)
     out[words["w"].to_numpy()] = words["b"].to_numpy()
     return out.view(np.uint64)
 
 
-def variant_rows(docs: DataFrame, bitmap: np.ndarray, near_words: int, id_col: str, text_col: str) -> DataFrame:
+def shared_halves(distinct: DataFrame) -> DataFrame:
+    """The half keys (h) that more than one distinct line has."""
+    half = distinct.select(F.explode(F.array_distinct(F.array("h0", "h1", "h2", "h3"))).alias("h")).where("h is not null")
+    return half.groupBy("h").agg(F.count("*").alias("n")).where("n > 1").select("h")
+
+
+def variant_rows(docs: DataFrame, halved: np.ndarray, whole: np.ndarray, near_words: int, text_col: str) -> DataFrame:
     """(digest, key, place, size, whole, line) of the lines that share a half; the line itself in its whole row only."""
-    shared = docs.sparkSession.sparkContext.broadcast(bitmap)
+    maps = docs.sparkSession.sparkContext.broadcast((halved, whole))  # two bitmaps of fixed size
 
     def spread(batches):
-        bits, done = shared.value, set()
-        mask = np.int64(BITMAP_BITS - 1)
+        (bits, lines), done, mask = maps.value, set(), BITMAP_BITS - 1
+        is_line = lambda h: int(lines[(h & mask) >> 6]) >> (h & 63) & 1
         for batch in batches:
             texts = batch.column(0).to_pylist()
             out: list[tuple] = []
@@ -121,8 +153,8 @@ def variant_rows(docs: DataFrame, bitmap: np.ndarray, near_words: int, id_col: s
                     words = words_of(line)
                     if len(words) < near_words:
                         continue
-                    h = np.array(halves(words), np.int64) & mask
-                    if not (bits[h >> 6] >> (h & 63).astype(np.uint64) & np.uint64(1)).any():
+                    shared = [bool(int(bits[(h & mask) >> 6]) >> (h & 63) & 1) for h in halves(words)]
+                    if not any(shared):
                         continue
                     name = digest(words)
                     if name in done:
@@ -130,7 +162,7 @@ def variant_rows(docs: DataFrame, bitmap: np.ndarray, near_words: int, id_col: s
                     if len(done) >= REMEMBERED:
                         done.clear()
                     done.add(name)
-                    out += [(name, key, p, n, whole, line if whole else None) for key, p, n, whole in variants(words)]
+                    out += [(name, key, p, n, whole, line if whole else None) for key, p, n, whole in variants(words, shared, is_line)]
                     if len(out) > 20_000:
                         yield _rows(out)
                         out = []
@@ -145,9 +177,10 @@ def _rows(out: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], ["digest", "key", "place", "size", "whole", "line"])
 
 
-def near_lines(docs: DataFrame, distinct: DataFrame, near_words: int, id_col: str, text_col: str) -> DataFrame:
+def near_lines(docs: DataFrame, distinct: DataFrame, near_words: int, text_col: str) -> DataFrame:
     """(digest) of the lines with an earlier line within one word."""
-    made = variant_rows(docs, shared_halves(distinct), near_words, id_col, text_col)
+    whole = bitmap(distinct.where("whole is not null").select(F.col("whole").alias("h")))
+    made = variant_rows(docs, bitmap(shared_halves(distinct)), whole, near_words, text_col)
     rows = written(made.join(distinct.select("digest", "at"), "digest"), "variants")
     keys = ["key", "place", "size"]
     who = F.struct("at", "digest")
@@ -169,8 +202,8 @@ def removals(docs: DataFrame, *, near_words: int = NEAR_WORDS, id_col: str = "do
     """(doc_id, line_no, digest, near) of every line occurrence that goes."""
     found = written(occurrences(docs, near_words, id_col, text_col), "lines")
     at = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "line_no")
-    distinct = written(found.groupBy("digest").agg(F.min(at).alias("at"), F.count("*").alias("n"), *[F.first(f"h{i}").alias(f"h{i}") for i in range(4)]), "distinct")
-    near = near_lines(docs, distinct, near_words, id_col, text_col).withColumn("near", F.lit(True))
+    distinct = written(found.groupBy("digest").agg(F.min(at).alias("at"), F.count("*").alias("n"), *[F.first(c).alias(c) for c in ("h0", "h1", "h2", "h3", "whole")]), "distinct")
+    near = near_lines(docs, distinct, near_words, text_col).withColumn("near", F.lit(True))
     marked = distinct.select("digest", "at", "n").join(near, "digest", "left").where("n > 1 or near").select("digest", "at", F.coalesce("near", F.lit(False)).alias("near"))
     return found.select("doc_id", "line_no", "digest").join(marked, "digest").where(F.col("near") | (at > F.col("at"))).select("doc_id", "line_no", "digest", "near")
 
