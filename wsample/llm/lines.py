@@ -132,10 +132,10 @@ def bitmap(hashes: DataFrame) -> np.ndarray:
     return out.view(np.uint64)
 
 
-def shared_halves(distinct: DataFrame) -> DataFrame:
-    """The half keys (h) that more than one distinct line has."""
-    half = distinct.select(F.explode(F.array_distinct(F.array("h0", "h1", "h2", "h3"))).alias("h")).where("h is not null")
-    return half.groupBy("h").agg(F.count("*").alias("n")).where("n > 1").select("h")
+def shared_halves(found: DataFrame) -> DataFrame:
+    """The half keys (h) that lines of more than one hash have."""
+    half = found.where("whole is not null").select("whole", F.explode(F.array_distinct(F.array("h0", "h1", "h2", "h3"))).alias("h"))
+    return half.groupBy("h").agg(F.min("whole").alias("lo"), F.max("whole").alias("hi")).where("lo <> hi").select("h")
 
 
 def variant_rows(docs: DataFrame, halved: np.ndarray, whole: np.ndarray, near_words: int, text_col: str) -> DataFrame:
@@ -177,10 +177,10 @@ def _rows(out: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], ["digest", "key", "place", "size", "whole", "line"])
 
 
-def near_lines(docs: DataFrame, distinct: DataFrame, near_words: int, text_col: str) -> DataFrame:
+def near_lines(docs: DataFrame, found: DataFrame, distinct: DataFrame, near_words: int, text_col: str) -> DataFrame:
     """(digest) of the lines with an earlier line within one word."""
-    whole = bitmap(distinct.where("whole is not null").select(F.col("whole").alias("h")))
-    made = variant_rows(docs, bitmap(shared_halves(distinct)), whole, near_words, text_col)
+    whole = bitmap(found.where("whole is not null").select(F.col("whole").alias("h")))
+    made = variant_rows(docs, bitmap(shared_halves(found)), whole, near_words, text_col)
     rows = written(made.join(distinct.select("digest", "at"), "digest"), "variants")
     keys = ["key", "place", "size"]
     who = F.struct("at", "digest")
@@ -202,8 +202,8 @@ def removals(docs: DataFrame, *, near_words: int = NEAR_WORDS, id_col: str = "do
     """(doc_id, line_no, digest, near) of every line occurrence that goes."""
     found = written(occurrences(docs, near_words, id_col, text_col), "lines")
     at = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "line_no")
-    distinct = written(found.groupBy("digest").agg(F.min(at).alias("at"), F.count("*").alias("n"), *[F.first(c).alias(c) for c in ("h0", "h1", "h2", "h3", "whole")]), "distinct")
-    near = near_lines(docs, distinct, near_words, text_col).withColumn("near", F.lit(True))
+    distinct = written(found.groupBy("digest").agg(F.min(at).alias("at"), F.count("*").alias("n")), "distinct")
+    near = near_lines(docs, found, distinct, near_words, text_col).withColumn("near", F.lit(True))
     marked = distinct.select("digest", "at", "n").join(near, "digest", "left").where("n > 1 or near").select("digest", "at", F.coalesce("near", F.lit(False)).alias("near"))
     return found.select("doc_id", "line_no", "digest").join(marked, "digest").where(F.col("near") | (at > F.col("at"))).select("doc_id", "line_no", "digest", "near")
 
