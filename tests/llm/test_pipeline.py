@@ -60,10 +60,13 @@ def test_stages(spark, sf):
 
 
 def test_stages_on_odd_rows(spark, sf):
-    for make in (odd, none):
-        docs = make(spark)
-        for name, stage in corpus_pipeline.STAGES:
-            docs = written(stage(spark, docs, sf), name)
-        docs.count()
+    """Empty tables are in each operator's own tests."""
+    docs = odd(spark)
+    for name, stage in corpus_pipeline.STAGES:
+        docs = written(stage(spark, docs, sf), name)
+    docs.count()
+
+
+def test_equal_rows_once(spark, sf):
     exact = corpus_pipeline.drop_copies(spark, odd(spark), sf).collect()
     assert sorted(r.doc_id or 0 for r in exact) == [0, 1, 4, 5, 6, 9, 10]
