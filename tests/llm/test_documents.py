@@ -1,4 +1,5 @@
 import hashlib
+import itertools
 import re
 import zlib
 
@@ -97,6 +98,47 @@ def test_verified_similarity(spark):
     assert got == {1: 1, 2: 1, 3: 3, 4: 1}
 
 
+def similar_components(texts, least=0.8, most=64, k=5):
+    """id -> least id reachable over pairs of that Jaccard similarity and at most ``most`` bits, by all pairs."""
+    cut = {i: ascii_lower(t).encode().split() for i, t in texts.items()}
+    sets = {i: {tuple(w[j : j + k]) for j in range(max(1, len(w) - k + 1))} if w else set() for i, w in cut.items()}
+    fps = {i: slow_fingerprint(t, k) for i, t in texts.items()}
+    root = {i: i for i in texts}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for i, j in itertools.combinations(sorted(texts), 2):
+        if len(sets[i] & sets[j]) >= least * len(sets[i] | sets[j]) and (fps[i] ^ fps[j]).bit_count() <= most:
+            x, y = find(i), find(j)
+            root[max(x, y)] = min(x, y)
+    return {i: find(i) for i in texts}
+
+
+def family(rng, n, core, own, copies):
+    """Texts with a long passage in common and an own rest, and copies of some with a few words changed."""
+    word = lambda: f"w{rng.integers(0, 50_000)}"
+    base = [word() for _ in range(core)]
+    out = [[*base, *(word() for _ in range(own))] for _ in range(n)]
+    for i in range(copies):
+        near = list(out[i])
+        for p in rng.choice(len(near), len(near) // 48, replace=False):
+            near[p] = word()
+        out.append(near)
+    return {i: " ".join(out[j]) for i, j in enumerate(rng.permutation(len(out)).tolist())}
+
+
+def test_copies_in_a_family_of_one_template(spark):
+    """Most pairs are within 12 bits and no copies; those of copies must not be thinned out by them."""
+    texts = family(np.random.default_rng(5), 60, 240, 55, 30)
+    want = similar_components(texts, most=12)
+    df = spark.createDataFrame(list(texts.items()), "doc_id long, text string").repartition(3)
+    got = {r.doc_id: r.component_id for r in simhash.near_duplicates(df, shingle=5, max_bits=12, min_similarity=0.8).collect()}
+    assert got == want and 60 <= len(set(want.values())) < 90
+
+
 def test_components_of_a_path(spark):
     df = spark.createDataFrame([(i, i + 1) for i in range(50)] + [(100, 100)], "a long, b long")
     assert {r.node: r.root for r in graph.components(df, "a", "b").collect()} == {i: 0 for i in range(1, 51)}

@@ -7,11 +7,15 @@ bits of some part.  Thresholds come from dynamic programming over the expected c
 which the bit counts of the whole corpus give.  Equal part values (and flips of up to t_i bits) meet in
 buckets; every bucket is compared in blocks and leaves a spanning forest of its links, so that a group
 of n copies costs n rows, not n squared.
+
+Links by the Jaccard similarity of word shingles are not sought among fingerprints: texts that are similar enough share one
+of their rarest shingles, so all that share one are compared, but for those that are joined already.
 """
 
 from __future__ import annotations
 
 import itertools
+import math
 from dataclasses import dataclass
 
 import numpy as np
@@ -29,6 +33,10 @@ BITS = 64
 BLOCK = 16384
 #: A shuffled row costs about as much as this many comparisons.
 ROW_COST = 100
+#: Texts in which common shingles are counted, about, and how many of those are kept.
+SAMPLED, COMMON = 20_000, 1_000_000
+#: For products of similarities and counts, which are rounded.
+SLACK = 1e-6
 _LANES = np.uint64(0x0101010101010101)
 
 
@@ -63,8 +71,8 @@ def fingerprints_of(hashes: np.ndarray, counts: np.ndarray) -> np.ndarray:
     return out
 
 
-def fingerprints(docs: DataFrame, *, shingle: int = 3, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, fp, text_key): fingerprint as a long and a digest of the lower-cased words.  Null texts are empty."""
+def fingerprints(docs: DataFrame, *, shingle: int = 3, id_col: str = "doc_id", text_col: str = "text", with_text: bool = False) -> DataFrame:
+    """(doc_id, fp, text_key): fingerprint as a long and a digest of the lower-cased words, and the text if asked for.  Null texts are empty."""
 
     def make(batch: pa.RecordBatch) -> pa.RecordBatch:
         hashes, counts, keys = [], [], []
@@ -74,10 +82,10 @@ def fingerprints(docs: DataFrame, *, shingle: int = 3, id_col: str = "doc_id", t
             counts.append(len(found))
             keys.append(xxhash.xxh128_hexdigest(b" ".join(text.encode().lower().split())))
         fp = fingerprints_of(np.array(hashes, np.uint64), np.array(counts, np.int64))
-        return pa.RecordBatch.from_arrays([batch.column(0), pa.array(fp.view(np.int64)), pa.array(keys)], ["doc_id", "fp", "text_key"])
+        return pa.RecordBatch.from_arrays([batch.column(0), pa.array(fp.view(np.int64)), pa.array(keys), *([batch.column(1)] if with_text else [])], ["doc_id", "fp", "text_key", *(["text"] if with_text else [])])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return by_batch(docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text")), make, f"doc_id {kind}, fp long, text_key string", size_by="text")
+    return by_batch(docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text")), make, f"doc_id {kind}, fp long, text_key string" + ", text string" * with_text, size_by="text")
 
 
 @dataclass(frozen=True)
@@ -265,11 +273,13 @@ def links(nodes: DataFrame, max_bits: int) -> DataFrame:
     return cut.repartition(*place).sortWithinPartitions(*place).mapInArrow(compare, f"a {kind}, b {kind}, bits int")
 
 
-def similar(edges: DataFrame, texts: DataFrame, *, shingle: int, least: float) -> DataFrame:
-    """The edges (a, b) whose texts share at least that part of their distinct word shingles (Jaccard); texts: (key, text)."""
-    used = edges.select(F.explode(F.array("a", "b")).alias("key")).distinct()
-    some = texts.join(used, "key", "left_semi")
-    pairs = edges.select("a", "b").distinct().join(some.select(F.col("key").alias("a"), F.col("text").alias("ta")), "a").join(some.select(F.col("key").alias("b"), F.col("text").alias("tb")), "b")
+def similar(pairs: DataFrame, texts: DataFrame, *, shingle: int, least: float, max_bits: int | None) -> DataFrame:
+    """The pairs (a, b) whose texts share at least that part of their distinct word shingles (Jaccard), and whose fingerprints differ in at most max_bits bits if given; texts: (key, fp, text)."""
+    some = texts.join(pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct(), "key", "left_semi")
+    side = lambda k: some.select(F.col("key").alias(k), F.col("fp").alias(f"f{k}"), F.col("text").alias(f"t{k}"))
+    pairs = pairs.select("a", "b").distinct().join(side("a"), "a").join(side("b"), "b")
+    if max_bits is not None:
+        pairs = pairs.where(F.bit_count(F.col("fa").bitwiseXOR(F.col("fb"))) <= max_bits)
 
     def compare(batch: pa.RecordBatch) -> pa.RecordBatch:
         keep = []
@@ -278,30 +288,163 @@ def similar(edges: DataFrame, texts: DataFrame, *, shingle: int, least: float) -
             keep.append(len(s & t) >= least * len(s | t) if s or t else True)
         return batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
-    kind = edges.schema["a"].dataType.simpleString()
-    return by_batch(pairs.select("a", "b", "ta", "tb"), compare, f"a {kind}, b {kind}", size_by="ta")
+    return by_batch(pairs.select("a", "b", "ta", "tb"), compare, "a long, b long", size_by="ta")
+
+
+def common_shingles(texts: DataFrame, shingle: int) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted hashes and counts of the shingles that several texts of a sample have; they only order shingles, so the sample costs no links."""
+    share = max(1, texts.count() // SAMPLED)
+    some = texts.where(F.pmod(F.xxhash64("key"), F.lit(share)) == 0).select("text")
+
+    def spread(batch: pa.RecordBatch) -> pa.RecordBatch:
+        found = [np.unique(np.array(shingle_hashes(t, shingle), np.uint64)) for t in batch.column(0).to_pylist()]
+        return pa.RecordBatch.from_arrays([pa.array(np.concatenate(found).view(np.int64))], ["h"])
+
+    counted = by_batch(some, spread, "h long", size_by="text").groupBy("h").agg(F.count("*").alias("n")).where("n > 1").orderBy(F.desc("n"), "h").limit(COMMON).toArrow()  # COMMON rows
+    h, n = counted["h"].to_numpy().view(np.uint64), counted["n"].to_numpy()
+    at = np.argsort(h)
+    return h[at], n[at]
+
+
+def prefixes(texts: DataFrame, shingle: int, least: float) -> DataFrame:
+    """(token, key, size, pos): the rarest shingles of each text, so many that two texts of that similarity share one.
+
+    Of the n distinct shingles of a text, another of Jaccard similarity ``least`` or more holds at least least * n; so both hold
+    one of the first n - least * n + 1 in an order that is the same for all texts: by count in the sample, then by hash.
+    """
+    shared = texts.sparkSession.sparkContext.broadcast(common_shingles(texts, shingle))  # COMMON rows
+
+    def make(batch: pa.RecordBatch) -> pa.RecordBatch:
+        common, counts = shared.value
+        tokens, rows, sizes, places = [np.zeros(0, np.uint64)], [], [], [np.zeros(0, np.int32)]
+        for text in batch.column(1).to_pylist():
+            h = np.unique(np.array(shingle_hashes(text, shingle), np.uint64))
+            n = np.zeros(len(h), np.int64)
+            if len(common) and len(h):
+                at = np.minimum(np.searchsorted(common, h), len(common) - 1)
+                n = np.where(common[at] == h, counts[at], 0)
+            most = len(h) - math.ceil(least * len(h) - SLACK) + 1 if len(h) else 0
+            tokens.append(h[np.argsort(n, kind="stable")[:most]])
+            places.append(np.arange(len(tokens[-1]), dtype=np.int32))
+            rows.append(len(tokens[-1]))
+            sizes.append(len(h))
+        row = np.repeat(np.arange(len(rows)), rows)
+        return pa.RecordBatch.from_arrays([pa.array(np.concatenate(tokens).view(np.int64)), batch.column(0).take(pa.array(row)), pa.array(np.array(sizes, np.int32)[row]), pa.array(np.concatenate(places))], ["token", "key", "size", "pos"])
+
+    return by_batch(texts.select("key", "text"), make, "token long, key long, size int, pos int", size_by="text")
+
+
+def runs(batches):
+    """(batch, starts, ends) of the runs of equal tokens, of two rows or more; rows come sorted, and the last run of a batch waits for the next."""
+    rest = None
+    for batch in itertools.chain(batches, [None]):
+        if batch is not None:
+            rest = batch if rest is None or not rest.num_rows else pa.Table.from_batches([rest, batch]).combine_chunks().to_batches()[0]
+        if rest is None or not rest.num_rows:
+            continue
+        token = rest.column("token").to_numpy()
+        starts = np.flatnonzero(token[1:] != token[:-1]) + 1
+        ends = np.append(starts, rest.num_rows) if batch is None else starts
+        if len(ends):
+            starts = np.append(0, starts)[: len(ends)]
+            several = ends - starts > 1
+            yield rest, starts[several], ends[several]
+            rest = rest.slice(int(ends[-1]))
+
+
+def repeated(rows: DataFrame) -> DataFrame:
+    """The rows whose token others have."""
+
+    def keep(batches):
+        for batch, starts, ends in runs(batches):
+            n = ends - starts
+            yield batch.take(pa.array(np.arange(n.sum()) + np.repeat(starts - np.cumsum(n) + n, n)))
+
+    return rows.repartition("token").sortWithinPartitions("token").mapInArrow(keep, rows.schema)
+
+
+def met(key: np.ndarray, size: np.ndarray, pos: np.ndarray, root: np.ndarray, least: float, star: bool):
+    """Pairs of different roots among the rows of one token that may be similar, some at once.
+
+    The first token that two texts share leaves room for the overlap that they need; places that leave too little are no pair.
+    """
+    need, last = least / (1 + least), 1
+    if not star:  # the root of most rows comes last, and is not paired with itself
+        _, of, n = np.unique(root, return_inverse=True, return_counts=True)
+        order = np.lexsort((of, n[of]))
+        key, size, pos, root = key[order], size[order], pos[order], root[order]
+        last = int(np.flatnonzero(root == root[-1])[0])
+    for i in range(last):
+        rest = slice(i + 1, None)
+        room = np.minimum(size[i] - pos[i], size[rest] - pos[rest])
+        ok = np.flatnonzero((room >= need * (float(size[i]) + size[rest]) - SLACK) & (root[rest] != root[i])) + i + 1
+        if len(ok):
+            yield np.minimum(key[i], key[ok]), np.maximum(key[i], key[ok])
+
+
+def meeting(rows: DataFrame, least: float, *, star: bool) -> DataFrame:
+    """(a, b), a < b: pairs of different roots that meet under a token and may be similar; rows: (token, key, size, pos, root).
+
+    With ``star`` each token's rows are only paired with one of them.
+    """
+
+    def compare(batches):
+        for batch, starts, ends in runs(batches):
+            key, size, pos, root = (batch.column(c).to_numpy() for c in ("key", "size", "pos", "root"))
+            a, b, made = [], [], 0
+            for lo, hi in zip(starts, ends, strict=True):
+                for x, y in met(key[lo:hi], size[lo:hi], pos[lo:hi], root[lo:hi], least, star):
+                    a.append(x)
+                    b.append(y)
+                    made += len(x)
+                    if made > 100_000:
+                        yield _distinct(a, b)
+                        a, b, made = [], [], 0
+            if made:
+                yield _distinct(a, b)
+
+    kept = rows.select("token", "key", "size", "pos", "root").repartition("token").sortWithinPartitions("token", F.xxhash64("key"))
+    return kept.mapInArrow(compare, "a long, b long").distinct()
+
+
+def _distinct(a: list[np.ndarray], b: list[np.ndarray]) -> pa.RecordBatch:
+    found = np.unique(np.stack([np.concatenate(a), np.concatenate(b)]), axis=1)
+    return pa.RecordBatch.from_arrays([pa.array(found[0]), pa.array(found[1])], ["a", "b"])
+
+
+def similar_roots(texts: DataFrame, *, shingle: int, least: float, max_bits: int | None) -> DataFrame:
+    """(node, root) over all links of :func:`similar`; ``texts`` is a written table (key, fp, text), keys unique longs.
+
+    Every pair that may be similar is compared by its texts, but for those that links found before have joined: first each
+    token's rows with one of them, so that a group of n copies costs n pairs, then what is still apart.
+    """
+    rows = written(repeated(prefixes(texts, shingle, least)), "tokens")
+    near = lambda pairs: written(similar(pairs, texts, shingle=shingle, least=least, max_bits=max_bits), "links")
+    tried = written(meeting(rows.withColumn("root", F.col("key")), least, star=True), "pairs")
+    found = near(tried)
+    roots = components(found, "a", "b").withColumnRenamed("node", "key")
+    apart = meeting(rows.join(roots, "key", "left").withColumn("root", F.coalesce("root", "key")), least, star=False)
+    more = near(written(apart.join(tried, ["a", "b"], "left_anti"), "pairs"))
+    return components(found.union(more), "a", "b")
 
 
-def near_duplicates(docs: DataFrame, *, shingle: int = 3, max_bits: int = 2, min_similarity: float | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def near_duplicates(docs: DataFrame, *, shingle: int = 3, max_bits: int | None = 2, min_similarity: float | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, fingerprint, component_id): component_id is the smallest id that links reach, a document's own included.
 
-    Without ``min_similarity`` fingerprints link at ``max_bits`` or fewer differing bits; with it, the forest's links also need that
-    Jaccard similarity of their word shingles.  Texts without words link with each other.  Null ids get a component
-    but name none, so a group of null ids alone has a null component.  One row an input row.
+    Without ``min_similarity`` fingerprints link at ``max_bits`` or fewer differing bits; with it, texts link that also have that
+    Jaccard similarity of their word shingles, and ``max_bits`` may be None.  Texts without words link with each other.  Null ids
+    get a component but name none, so a group of null ids alone has a null component.  One row an input row.
     """
-    made = written(fingerprints(docs, shingle=shingle, id_col=id_col, text_col=text_col), "fingerprints")
-    key = "fp" if min_similarity is None else "text_key"
-    classes = written(made.groupBy(F.col(key).alias("key")).agg(F.first("fp").alias("fp"), F.min("doc_id").alias("least")), "classes")
-    edges = links(classes, max_bits)
-    if min_similarity is not None:
-        edges = written(edges, "links")
-        # one text for each class that a link names
-        named = edges.select(F.explode(F.array("a", "b")).alias("key")).distinct()
-        holders = classes.join(named, "key", "left_semi").select("key", F.col("least").alias("doc_id"))
-        texts = docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text")).join(holders, "doc_id").dropDuplicates(["key"]).select("key", "text")
-        edges = similar(edges, texts, shingle=shingle, least=min_similarity)
-    roots = components(edges, "a", "b")
-    rooted = classes.join(roots.withColumnRenamed("node", "key"), "key", "left").withColumn("root", F.coalesce("root", "key"))
+    by_text = min_similarity is not None
+    made = written(fingerprints(docs, shingle=shingle, id_col=id_col, text_col=text_col, with_text=by_text), "fingerprints")
+    name = "text_key" if by_text else "fp"
+    classes = made.groupBy(F.col(name).alias("name")).agg(F.first("fp").alias("fp"), F.min("doc_id").alias("least"), *([F.first("text").alias("text")] if by_text else []))
+    classes = written(classes.withColumn("key", F.monotonically_increasing_id() if by_text else F.col("fp")), "classes")
+    if by_text:
+        roots = similar_roots(classes.select("key", "fp", "text"), shingle=shingle, least=min_similarity, max_bits=max_bits)
+    else:
+        roots = components(links(classes.select("key", "fp"), max_bits), "a", "b")
+    rooted = classes.select("name", "key", "least").join(roots.withColumnRenamed("node", "key"), "key", "left").withColumn("root", F.coalesce("root", "key"))
     least = rooted.groupBy("root").agg(F.min("least").alias("component_id"))
-    named = rooted.join(least, "root").select(F.col("key").alias(key), "component_id")
-    return made.join(named, key).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
+    named = rooted.join(least, "root").select(F.col("name").alias(name), "component_id")
+    return made.select("doc_id", "fp", "text_key").join(named, name).select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
