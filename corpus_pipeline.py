@@ -13,8 +13,8 @@ from pyspark.sql import functions as F
 from wsample.llm import decontaminate, lines, packing, quality, simhash
 from wsample.llm.common import written
 
-#: Differing bits within which pairs are compared by their shingles, and the similarity at which they are copies.
-MAX_BITS, SIMILARITY = 12, 0.8
+#: Jaccard similarity of their shingles at which documents are copies.
+SIMILARITY = 0.8
 
 
 
@@ -37,7 +37,7 @@ def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
     Rows with a null id cannot be named and stay.
     """
-    found = simhash.near_duplicates(docs, shingle=5, max_bits=MAX_BITS, min_similarity=SIMILARITY)
+    found = simhash.near_duplicates(docs, shingle=5, max_bits=None, min_similarity=SIMILARITY)
     keep = found.where("doc_id = component_id").select("doc_id").distinct()
     named = docs.where("doc_id is not null").join(keep, "doc_id", "left_semi").dropDuplicates(["doc_id", "text"])
     return named.select(*docs.columns).unionByName(docs.where("doc_id is null"))

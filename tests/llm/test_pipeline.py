@@ -1,5 +1,7 @@
 import itertools
 
+import numpy as np
+
 import corpus_pipeline
 from tests.llm.frames import ROWS, none, odd
 from tests.llm.test_documents import slow_hits
@@ -39,6 +41,40 @@ def shingles(text, k=5):
     return {tuple(w[i : i + k]) for i in range(max(1, len(w) - k + 1))}
 
 
+def similar_pairs(texts, least=0.8):
+    """All pairs (i, j) of places in a list of texts whose shingle sets have that Jaccard similarity."""
+    ids, names = [], {}
+    for t in texts:
+        ids.append(np.array([names.setdefault(s, len(names)) for s in shingles(t)] if t.split() else [], np.int64))
+    n, owner = np.array([len(x) for x in ids]), np.repeat(np.arange(len(ids)), [len(x) for x in ids])
+    order = np.argsort(np.concatenate(ids), kind="stable")
+    holders, upto = owner[order], np.concatenate([[0], np.cumsum(np.bincount(np.concatenate(ids), minlength=len(names)))])
+    for i, own in enumerate(ids):
+        both = np.bincount(np.concatenate([holders[upto[s] : upto[s + 1]] for s in own] or [np.zeros(0, np.int64)]), minlength=len(ids))
+        for j in np.flatnonzero((both > 0) & (both >= least * (n + n[i] - both))).tolist():
+            if j > i:
+                yield i, j
+
+
+def test_copies_of_all_pairs(spark, sf):
+    """On 10,000 documents, the near-dedup stage keeps what all pairs at 0.8 leave, however far fingerprints are apart."""
+    docs = spark.read.parquet(f"{sf.replace('0.001', '0.1')}/documents.parquet")
+    rows = docs.select("doc_id", "text").orderBy("doc_id").collect()
+    root = list(range(len(rows)))
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for i, j in similar_pairs([r.text for r in rows]):
+        x, y = find(i), find(j)
+        root[max(x, y)] = min(x, y)
+    empty = [i for i, r in enumerate(rows) if not r.text.split()]
+    want = {r.doc_id for i, r in enumerate(rows) if find(i) == i and i not in empty[1:]}
+    assert {r.doc_id for r in corpus_pipeline.drop_copies(spark, docs, sf).collect()} == want
+
+
 def test_stages(spark, sf):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     columns, items = docs.columns, [(r.item_id, r.text) for r in spark.read.parquet(f"{sf}/benchmark.parquet").collect()]
