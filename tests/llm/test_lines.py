@@ -65,6 +65,13 @@ def test_random_lines(spark):
     assert sum(x[3] for x in want.values()) > 20
 
 
+def test_short_lines(spark):
+    """Three to eight words, against every pair by the table; lines of one or two words go only if equal."""
+    texts = ["a b c d e f g h", "a b c d e f g", "Anat with by of nteres atre are.", "Tolyoued with by of nteres atre are.", "one two three", "one two four", "five one two three", "Yes.", "No.", "page one", "page two", "No.", "six seven"]
+    want = check(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3), list(enumerate(texts)))
+    assert [k for k, x in want.items() if x[3]] == [1, 3, 5, 6] and [k for k, x in want.items() if x[2]] == [11]
+
+
 def test_odd(spark):
     docs = [(r[0], r[1]) for r in ROWS if r[0] != 7] + [(8, ROWS[6][1])]
     check(spark.createDataFrame(docs, "doc_id long, text string"), docs)

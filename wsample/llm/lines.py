@@ -22,8 +22,8 @@ from pyspark.sql import functions as F
 
 from wsample.llm.common import by_batch, text_of, written
 
-#: Shorter lines are compared as they are: one word of a few makes another line.
-NEAR_WORDS = 8
+#: Shorter lines are compared as they are: one word of two is half of the line, and any two lines of one word are within one.
+NEAR_WORDS = 3
 BITMAP_BITS = 2**27
 #: Lines of which a task remembers that it made their variants.
 REMEMBERED = 1_000_000
