@@ -54,3 +54,9 @@ def test_golden_winners(spark, sf):
     assert [r.o_orderkey for r in top] == [266, 701, 646, 193, 794]
     slots = workloads.QUERIES["replacement_prop_orders"](spark, sf).orderBy("slot").limit(5).collect()
     assert [r.o_orderkey for r in slots] == [1167, 1054, 1432, 333, 930]
+
+
+def test_frequencies_of_all_suppliers(spark, sf):
+    hits = {r.s_suppkey: r.hits for r in workloads.QUERIES["freq_all_suppliers"](spark, sf.replace("0.001", "0.01")).collect()}
+    every = spark.read.parquet(f"{sf.replace('0.001', '0.01')}/supplier.parquet").where("s_acctbal > 0").collect()
+    assert set(hits) == {r.s_suppkey for r in every} and max(hits) >= 20 and sum(hits.values()) == 2 * 500

@@ -167,6 +167,7 @@ SQL["role_gap_m2"] = " UNION ALL ".join(
     for src, i, w in ((SUPPLIERS, "s_suppkey", "s_acctbal"), (f"(SELECT * FROM customer WHERE {POSITIVE_C})", "c_custkey", "c_acctbal"), ("orders", "o_orderkey", "o_totalprice"))
 )
 SQL["freq_supplier"] = f"SELECT s_suppkey, count(*) FILTER (r <= 2) AS hits FROM (SELECT s_suppkey, row_number() OVER (PARTITION BY rep ORDER BY -ln({keyed('s_suppkey, rep', 'rep')}) / s_acctbal, s_suppkey) AS r FROM supplier, range(500) t(rep) WHERE {POSITIVE_S} AND s_suppkey < 20) GROUP BY s_suppkey"
+SQL["freq_all_suppliers"] = f"SELECT s_suppkey, count(*) FILTER (r <= 2) AS hits FROM (SELECT s_suppkey, row_number() OVER (PARTITION BY rep ORDER BY -ln({keyed('s_suppkey, rep', 'rep')}) / s_acctbal, s_suppkey) AS r FROM supplier, range(500) t(rep) WHERE {POSITIVE_S}) GROUP BY s_suppkey"
 SQL["pair_order_rate"] = f"WITH k AS (SELECT s_suppkey, -ln({keyed('s_suppkey')}) / s_acctbal AS e FROM supplier WHERE {POSITIVE_S}) SELECT count(*) AS n_pairs, count(*) FILTER (a.e < b.e) AS n_ordered FROM k a JOIN k b ON a.s_suppkey < b.s_suppkey"
 SQL["ratio_law"] = f"SELECT count(*) AS n_pairs, CAST(0 AS BIGINT) AS n_errors FROM {SUPPLIERS} a JOIN {SUPPLIERS} b ON a.s_suppkey < b.s_suppkey"
 SQL["sequential_draw_supplier"] = f"""

@@ -392,6 +392,11 @@ def freq_supplier(spark, sf_dir):
     return measures.inclusion_frequency(some, 2, 500, weight="s_acctbal", id_cols=["s_suppkey"], **MD5)
 
 
+@query
+def freq_all_suppliers(spark, sf_dir):
+    return measures.inclusion_frequency(_suppliers(spark, sf_dir), 2, 500, weight="s_acctbal", id_cols=["s_suppkey"], **MD5)
+
+
 @query
 def pair_order_rate(spark, sf_dir):
     return measures.pair_order_rate(_suppliers(spark, sf_dir), weight="s_acctbal", id_cols=["s_suppkey"], **MD5).select("n_pairs", "n_ordered")
