@@ -60,3 +60,10 @@ def test_frequencies_of_all_suppliers(spark, sf):
     hits = {r.s_suppkey: r.hits for r in workloads.QUERIES["freq_all_suppliers"](spark, sf.replace("0.001", "0.01")).collect()}
     every = spark.read.parquet(f"{sf.replace('0.001', '0.01')}/supplier.parquet").where("s_acctbal > 0").collect()
     assert set(hits) == {r.s_suppkey for r in every} and max(hits) >= 20 and sum(hits.values()) == 2 * 500
+
+
+def test_trace_reaches_the_whole_table(spark, sf):
+    sf = sf.replace("0.001", "0.1")
+    got = {r.k: r.n_overweight for r in workloads.QUERIES["overweight_trace_all_documents"](spark, sf).collect()}
+    n = spark.read.parquet(f"{sf}/documents.parquet").where("n_chars > 0").count()
+    assert max(got) == n > 2000 and len([k for k in got if k > 2000]) >= 7

@@ -90,6 +90,12 @@ WITH d AS (SELECT CAST(n_chars AS DOUBLE) AS w, row_number() OVER (ORDER BY doc_
 r AS (SELECT k, w, row_number() OVER (PARTITION BY k ORDER BY w DESC, i) AS r, sum(w) OVER (PARTITION BY k) - coalesce(sum(w) OVER (PARTITION BY k ORDER BY w DESC, i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS rest FROM d JOIN c ON i <= k)
 SELECT CAST(k AS INTEGER) AS k, CAST(count(*) FILTER (r <= 50 AND (50 - r + 1) * w > rest) AS INTEGER) AS n_overweight FROM r GROUP BY k"""
 
+SQL["overweight_trace_all_documents"] = f"""
+WITH d AS (SELECT CAST(n_chars AS DOUBLE) AS w, row_number() OVER (ORDER BY doc_id) AS i FROM {DOCS}), n AS (SELECT count(*) AS n FROM d),
+c AS (SELECT k FROM (SELECT unnest([60, 100, 150, 200, 300, 500, 700, 900, 1000, 2000]) AS k), n WHERE k <= n UNION SELECT (n * j + 9) // 10 FROM n, range(1, 11) t(j)),
+r AS (SELECT k, w, row_number() OVER (PARTITION BY k ORDER BY w DESC, i) AS r, sum(w) OVER (PARTITION BY k) - coalesce(sum(w) OVER (PARTITION BY k ORDER BY w DESC, i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS rest FROM d JOIN c ON i <= k)
+SELECT CAST(k AS INTEGER) AS k, CAST(count(*) FILTER (r <= 50 AND (50 - r + 1) * w > rest) AS INTEGER) AS n_overweight FROM r GROUP BY k"""
+
 
 def reservoir(source: str, ids: str, weight: str, order: str, m: int, tag: str) -> str:
     """The inclusion role over an order in which only the first m are ever overweight: one step of victims by share, then the last writer."""

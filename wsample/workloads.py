@@ -203,6 +203,15 @@ def overweight_trace_documents(spark, sf_dir):
     return inclusion.overweight_trace(table(spark, sf_dir, "documents").where("n_chars > 0").orderBy("doc_id").limit(max(TRACE)), 50, list(TRACE), weight="n_chars", order=["doc_id"])
 
 
+@query
+def overweight_trace_all_documents(spark, sf_dir):
+    """The early prefixes of the trace, and tenths of the table up to all of it."""
+    docs = table(spark, sf_dir, "documents").where("n_chars > 0")
+    n = docs.count()
+    ks = sorted({k for k in TRACE if k <= n} | {(n * j + 9) // 10 for j in range(1, 11)})
+    return inclusion.overweight_trace(docs, 50, ks, weight="n_chars", order=["doc_id"])
+
+
 @query
 def uniform_reservoir_window(spark, sf_dir):
     return proportional.windowed_sample(table(spark, sf_dir, "orders"), 50, weight=F.lit(1.0), id_cols=["o_orderkey"], order_by=["o_orderkey"], tag="unif", **MD5)
