@@ -23,14 +23,22 @@ def race_kernel(df: DataFrame, m: int, *, weight: Column | str, id_cols: Sequenc
 
     def keep(batches):
         sampler = (RaceJumpSampler if jump else RaceSampler)(m, keyed_rng(seed, TaskContext.get().partitionId()))
+        ids: dict[int, tuple] = {}  # of the items kept, by their number in the task
         types = None
         for batch in batches:
             types = [batch.schema.field(c).type for c in id_cols]
-            ids = list(zip(*(batch.column(c).to_pylist() for c in id_cols), strict=True))
-            sampler.offer(ids, batch.column("__w").to_numpy(), None if jump else batch.column("__u").to_numpy())
+            base, before = sampler.seen, sampler.insertions
+            sampler.offer(range(base, base + batch.num_rows), batch.column("__w").to_numpy(), None if jump else batch.column("__u").to_numpy())
+            if sampler.insertions > before:
+                kept = [x[2] for x in sampler.heap]
+                new = [i for i in kept if i >= base]
+                rows = pa.array([i - base for i in new], pa.int64())
+                found = zip(new, zip(*(batch.column(c).take(rows).to_pylist() for c in id_cols), strict=True), strict=True)
+                ids = {i: ids[i] for i in kept if i < base} | dict(found)
         kept = sampler.snapshot()
         if kept:
-            yield pa.RecordBatch.from_arrays([*[pa.array(c, t) for c, t in zip(zip(*[e.item for e in kept], strict=True), types, strict=True)], pa.array([e.key for e in kept])], [*id_cols, "race_key"])
+            columns = zip(*[ids[e.item] for e in kept], strict=True)
+            yield pa.RecordBatch.from_arrays([*[pa.array(c, t) for c, t in zip(columns, types, strict=True)], pa.array([e.key for e in kept])], [*id_cols, "race_key"])
 
     return top_m(rows.mapInArrow(keep, f"{kinds}, race_key double"), m, id_cols).drop("race_key")
 

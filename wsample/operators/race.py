@@ -9,11 +9,14 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from wsample.functions.randomness import keyed_uniform
 from wsample.functions.weights import positive_weight
+from wsample.operators.prefix import running
 
 KEY = "race_key"
 #: Beyond this many winners the driver-side top-k gives way to a threshold filter and a range sort.
@@ -45,6 +48,11 @@ def with_race_key(df: DataFrame, *, weight: Column | str | None, id_cols: Sequen
     return df.withColumn(KEY, race_key(u, w, form=form, log_weight=log_weight))
 
 
+def group_limit(df: DataFrame) -> int:
+    """Up to this rank Spark cuts a ranking window before its shuffle."""
+    return int(df.sparkSession.conf.get("spark.sql.optimizer.windowGroupLimitThreshold", "1000"))
+
+
 def top_m(keyed: DataFrame, m: int, id_cols: Sequence[str], *, key: str = KEY, position: str = "position") -> DataFrame:
     """The m smallest keys with their rank; ties fall to the ids, so placement does not matter."""
     if m < 0:
@@ -84,17 +92,42 @@ def big_top_m(keyed: DataFrame, m: int, id_cols: Sequence[str], *, position: str
 
 
 def global_rank(df: DataFrame, order: Sequence[str], position: str) -> DataFrame:
-    """1-based rank over a total order by range partitions and their offsets."""
-    part = df.repartitionByRange(*order).withColumn("__p", F.spark_partition_id())
-    sizes = part.groupBy("__p").agg(F.count("*").alias("__n"))
-    offsets = sizes.withColumn("__off", F.coalesce(F.sum("__n").over(Window.orderBy("__p").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
-    w = Window.partitionBy("__p").orderBy(*order)
-    return part.withColumn("__r", F.row_number().over(w)).join(offsets.select("__p", "__off"), "__p").withColumn(position, (F.col("__r") + F.col("__off")).cast("int")).drop("__p", "__r", "__off")
+    """1-based rank over a total order, by one range shuffle."""
+    return running(df, order, {}, number=position).withColumn(position, F.col(position).cast("int"))
+
+
+def surviving(keyed: DataFrame, m: int, group: Sequence[str], *, key: str = KEY) -> DataFrame:
+    """Rows that are among their group's m smallest keys of their task so far: a cut before the shuffle, about m log(n / m) rows a group and task.
+
+    Spark cuts ranks before a shuffle for small m only (``spark.sql.optimizer.windowGroupLimitThreshold``).  A task holds m keys a group.
+    """
+    named = keyed.withColumn("__g", F.to_json(F.struct(*group)))
+
+    def cut(batches):
+        best: dict[str, np.ndarray] = {}
+        for batch in batches:
+            codes = batch.column("__g").dictionary_encode()
+            names, code = codes.dictionary.to_pylist(), codes.indices.to_numpy()
+            e, keep = batch.column(key).to_numpy(), np.zeros(batch.num_rows, bool)
+            for c, name in enumerate(names):
+                rows = np.flatnonzero(code == c)
+                held = best.get(name, np.zeros(0))
+                if len(held) >= m:
+                    rows = rows[e[rows] <= held[-1]]
+                held = np.sort(np.concatenate([held, e[rows]]))[:m]
+                keep[rows[e[rows] <= held[-1]] if len(held) else rows] = True
+                best[name] = held
+            yield batch.filter(pa.array(keep)).select(kept)
+
+    kept = keyed.columns
+    return named.mapInArrow(cut, keyed.schema)
 
 
 def race_by_group(df: DataFrame, m: int, group: Sequence[str], *, weight: Column | str | None, id_cols: Sequence[str], seed: int = 0, tag: str = "race", source: str = "xxhash", form: str = "log", on_bad_weight: str = "error") -> DataFrame:
-    """One race sample a stratum.  The plan cuts each stratum to m rows a task before the shuffle."""
+    """One race sample a stratum.  The plan cuts each stratum before the shuffle: to m rows a task, or for large m by :func:`surviving`."""
     keyed = with_race_key(df, weight=weight, id_cols=id_cols, seed=seed, tag=tag, source=source, form=form, on_bad_weight=on_bad_weight)
+    if m > group_limit(df):
+        keyed = surviving(keyed, m, group)
     w = Window.partitionBy(*group).orderBy(F.col(KEY).asc(), *[F.col(c).asc() for c in id_cols])
     return keyed.withColumn("position", F.row_number().over(w)).where(F.col("position") <= m).drop(KEY)
 

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import zlib
 from collections.abc import Sequence
 
 import numpy as np
@@ -13,14 +14,15 @@ from pyspark.sql import functions as F
 from wsample.functions.randomness import keyed_uniform
 from wsample.functions.weights import positive_weight
 from wsample.operators.prefix import running
-from wsample.samplers import RaceJumpSampler, keyed_rng
+from wsample.samplers import SlotRaces, keyed_rng
 
 
 def replacement_sample(df: DataFrame, m: int, *, weight: Column | str, id_cols: Sequence[str], method: str = "auto", order_by: Sequence[Column | str] | None = None, seed: int = 0, tag: str = "slot", source: str = "xxhash", on_bad_weight: str = "error") -> DataFrame:
     """(slot, ids), slots 1..m.  ``race``: n * m keys.  ``race_jump``: a few draws a slot and task.  ``proportional``: last acceptance by running sums.
-    ``proportional_jump``: acceptances alone, found in the running sums.  ``lookup``: m uniforms in the running sums.  ``auto``: race up to 64 slots, else lookup."""
+    ``proportional_jump``: acceptances alone, found in the running sums.  ``lookup``: m uniforms in the running sums.  ``auto``: jumps of the
+    race, one pass without a shuffle of rows, up to 1,000 slots; beyond that jumps over the running sums."""
     if method == "auto":
-        method = "race" if m <= 64 else "lookup"
+        method = "race_jump" if m <= 1000 else "proportional_jump"
     f = {"race": _race, "race_jump": _race_jump, "proportional": _proportional, "proportional_jump": _proportional_jump, "lookup": _lookup}[method]
     good, w = positive_weight(df, weight, on_bad_weight=on_bad_weight)
     if m <= 0:
@@ -42,15 +44,20 @@ def _race_jump(df, m, id_cols, order, seed, tag, source):
     kinds = ",".join(f"`{c}`:{df.schema[c].dataType.simpleString()}" for c in id_cols)
 
     def keep(batches):
-        part, struct = TaskContext.get().partitionId(), None
-        samplers = [RaceJumpSampler(1, keyed_rng(seed, j, part)) for j in range(m)]
+        races, held = SlotRaces(m, keyed_rng(seed, TaskContext.get().partitionId())), None
         for batch in batches:
-            items, w, struct = batch.column(0).to_pylist(), batch.column(1).to_numpy(), batch.schema.field(0).type
-            for s in samplers:
-                s.offer(items, w)
-        found = [(j + 1, e) for j, s in enumerate(samplers) for e in s.snapshot()]
-        if struct is not None and found:
-            yield pa.RecordBatch.from_arrays([pa.array([j for j, _ in found], pa.int32()), pa.array([e.item for _, e in found], struct), pa.array([e.key for _, e in found])], ["slot", "item", "e"])
+            if not batch.num_rows:
+                continue
+            base = races.seen
+            races.offer(batch.column(1).to_numpy())
+            new = np.flatnonzero(races.item >= base)  # slots that this batch won; only their rows are kept
+            rows = batch.column(0).take(pa.array(races.item[new] - base))
+            if held is None:
+                held = np.empty(m, object)
+            held[new] = rows.to_pylist()
+            struct = rows.type
+        if held is not None:
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(1, m + 1, dtype=np.int32)), pa.array(held.tolist(), struct), pa.array(races.time)], ["slot", "item", "e"])
 
     best = df.select(F.struct(*id_cols).alias("item"), "__w").mapInArrow(keep, f"slot int, item struct<{kinds}>, e double")
     return _out(best.groupBy("slot").agg(F.min_by("item", F.struct("e", "item")).alias("item")), id_cols)
@@ -64,29 +71,30 @@ def _proportional(df, m, id_cols, order, seed, tag, source):
 
 
 def _sums(df, id_cols, order):
-    return running(df.select("__w", *dict.fromkeys([*id_cols, *[c for c in order if isinstance(c, str)]])), order, {"__run": F.col("__w")})
+    """Items with the ends of their share of the running sum: neighbours meet at the very same number."""
+    return running(df.select("__w", *dict.fromkeys([*id_cols, *[c for c in order if isinstance(c, str)]])), order, {"__run": F.col("__w")}, lower=True)
 
 
-def _points(df: DataFrame, points: list[tuple[int, float]], id_cols: list[str], order) -> DataFrame:
-    """(slot, ids) of the items whose share of the running sum holds each point: m points, found by bisection in broadcast order within a task."""
-    steps, spark = _sums(df, id_cols, order), df.sparkSession
-    shared = spark.sparkContext.broadcast((np.array([p for _, p in points]), np.array([s for s, _ in points], np.int32)))  # m numbers
+def _points(steps: DataFrame, points: np.ndarray, id_cols: list[str], *, closed: str) -> DataFrame:
+    """(slot, ids) of the item whose share of the running sum holds each point: m points, found by bisection within a task.
+
+    ``closed`` says which end belongs to a share.  Shares cover (0, total] or [0, total) without gaps, so each point has one item.
+    """
+    shared = steps.sparkSession.sparkContext.broadcast((np.sort(points), np.argsort(points, kind="stable").astype(np.int32) + 1))  # m numbers
+    side = "right" if closed == "upper" else "left"
 
     def search(batches):
         at, slot = shared.value
-        turn = np.argsort(at)
-        at, slot = at[turn], slot[turn]
         for batch in batches:
-            hi = batch.column("__run").to_numpy()
-            lo = hi - batch.column("__w").to_numpy()
-            first, last = np.searchsorted(at, lo, side="left"), np.searchsorted(at, hi, side="left")
+            lo, hi = batch.column("__run_lower").to_numpy(), batch.column("__run").to_numpy()
+            first, last = np.searchsorted(at, lo, side=side), np.searchsorted(at, hi, side=side)
             row = np.repeat(np.arange(len(hi)), last - first)
             if len(row):
-                which = np.concatenate([np.arange(a, b) for a, b in zip(first, last, strict=True) if b > a])
+                which = np.arange(len(row)) + np.repeat(first - np.cumsum(last - first) + (last - first), last - first)
                 yield pa.RecordBatch.from_arrays([pa.array(slot[which]), *[batch.column(c).take(pa.array(row)) for c in id_cols]], ["slot", *id_cols])
 
-    kinds = ", ".join(f"`{c}` {df.schema[c].dataType.simpleString()}" for c in id_cols)
-    return steps.select("__w", "__run", *id_cols).mapInArrow(search, f"slot int, {kinds}")
+    kinds = ", ".join(f"`{c}` {steps.schema[c].dataType.simpleString()}" for c in id_cols)
+    return steps.select("__run_lower", "__run", *id_cols).mapInArrow(search, f"slot int, {kinds}")
 
 
 def slot_uniforms(m: int, seed: int, tag: str) -> list[float]:
@@ -96,29 +104,44 @@ def slot_uniforms(m: int, seed: int, tag: str) -> list[float]:
     return [(int(hashlib.md5(f"{seed}|{tag}|{j}".encode()).hexdigest()[:13], 16) + 0.5) / 2**52 for j in range(1, m + 1)]
 
 
+def _ends(steps: DataFrame) -> tuple[float, float] | None:
+    """The first and the last running sum."""
+    first = steps.agg(F.min("__run"), F.max("__run")).first()
+    return None if first[0] is None else (float(first[0]), float(first[1]))
+
+
+def _none(df, id_cols):
+    return df.select(F.lit(1).alias("slot"), *id_cols).limit(0)
+
+
 def _lookup(df, m, id_cols, order, seed, tag, source):
-    total = df.agg(F.sum("__w")).first()[0]
-    if total is None:
-        return df.select(F.lit(1).alias("slot"), *id_cols).limit(0)
-    return _points(df, [(j, u * total) for j, u in enumerate(slot_uniforms(m, seed, tag), 1)], id_cols, order)
+    steps = _sums(df, id_cols, order)
+    ends = _ends(steps)
+    if ends is None:
+        return _none(df, id_cols)
+    # a product may round up to the total, which no share holds
+    points = np.minimum(np.array(slot_uniforms(m, seed, tag)) * ends[1], np.nextafter(ends[1], 0))
+    return _points(steps, points, id_cols, closed="lower")
 
 
-def _proportional_jump(df, m, id_cols, order, seed, tag, source):
-    """A slot's next holder is the first item whose running sum passes now / (1 - u); the last before the end stays.
+def jump_points(m: int, first: float, total: float, rng: np.random.Generator) -> np.ndarray:
+    """The last point of each slot's chain of jumps: first, then each the one before over a uniform, up to total.
 
-    Points are drawn upwards from the first item's weight until they pass the total, about log(total / first) a slot.
+    A chain has a point in a share (lo, hi] with chance (hi - lo) / hi, whatever came before it: the chance with which the
+    single-slot sampler accepts that item.  So the item of the last point is the holder.  About log(total / first) rounds.
     """
+    held = np.full(m, first)
+    at, live = held.copy(), np.arange(m)
+    while len(live):
+        at[live] /= (rng.integers(0, 2**52, len(live)) + 0.5) / 2**52
+        live = live[at[live] <= total]
+        held[live] = at[live]
+    return held
+
+
+def _proportional_jump(df, m, id_cols, order, seed, tag, source):
     steps = _sums(df, id_cols, order)
-    first = steps.agg(F.min("__run"), F.max("__run")).first()
-    if first[0] is None:
-        return df.select(F.lit(1).alias("slot"), *id_cols).limit(0)
-    now, total = float(first[0]), float(first[1])
-    # jumps in the running sum multiply it by 1 / (1 - u); an item holds a point with chance weight / running sum, whatever came before
-    points = []
-    for j in range(1, m + 1):
-        rng, at, held = keyed_rng(seed, j), now, now / 2
-        while at < total:
-            held = at
-            at = at / (1 - (rng.integers(0, 2**52) + 0.5) / 2**52)
-        points.append((j, min(held, total * (1 - 1e-15))))
-    return _points(df, points, id_cols, order)
+    ends = _ends(steps)
+    if ends is None:
+        return _none(df, id_cols)
+    return _points(steps, jump_points(m, *ends, keyed_rng(seed, zlib.crc32(tag.encode()))), id_cols, closed="upper")

@@ -15,6 +15,10 @@ from dataclasses import dataclass
 import numpy as np
 
 
+#: Items that are compared with the worst kept one at once.
+BLOCK = 4096
+
+
 def keyed_rng(seed: int, *key: int) -> np.random.Generator:
     """A generator that depends on the seed and a group, bucket or partition number only."""
     return np.random.Generator(np.random.Philox(np.random.SeedSequence([seed & (2**63 - 1), *(k & (2**63 - 1) for k in key)])))
@@ -81,8 +85,13 @@ class RaceSampler(ReservoirSampler):
         self.seen += len(w)
         if not self.m:
             return
-        if len(self.heap) >= self.m:  # most items of a batch lose against the worst kept time at once
-            at = np.flatnonzero(e / self.scale < -self.heap[0][0])
+        free = min(self.m - len(self.heap), len(w))
+        self._push(items, w, e, at[:free], base)
+        for lo in range(free, len(w), BLOCK):  # most items of a block lose against the worst kept time at once
+            rows = at[lo : lo + BLOCK]
+            self._push(items, w, e, rows[e[rows] / self.scale <= -self.heap[0][0]], base)
+
+    def _push(self, items, w, e, at, base: int) -> None:
         for i in at.tolist():
             entry = (-float(e[i]) / self.scale, -(base + i), items[i], float(w[i]))
             if len(self.heap) < self.m:
@@ -128,8 +137,19 @@ class RaceJumpSampler(RaceSampler):
         super().__init__(m, rng)
         self.skip: float | None = None  # weight still to be passed over
 
+    @property
+    def worst(self) -> float:
+        """The latest kept time; kept times are stored without the common factor."""
+        return -self.heap[0][0] * self.scale
+
     def _next(self) -> float:
-        return -np.log(self._uniforms(1)[0]) / -self.heap[0][0]
+        return -np.log(self._uniforms(1)[0]) / self.worst
+
+    def age(self, c: float) -> None:
+        """Kept times grow by 1 / c, so the weight still to be passed over shrinks by c: what is left of it stays exponential."""
+        super().age(c)
+        if self.skip is not None:
+            self.skip *= c
 
     def offer(self, items, weights, uniforms=None) -> None:
         w = self._weights(weights)
@@ -148,9 +168,9 @@ class RaceJumpSampler(RaceSampler):
         while total[-1] - done >= self.skip:
             i = int(np.searchsorted(total, done + self.skip))
             i = min(i, len(total) - 1)
-            worst, weight = -self.heap[0][0], float(w[start + i])
-            e = -np.log1p(-self._uniforms(1)[0] * -np.expm1(-weight * worst)) / weight
-            heapq.heapreplace(self.heap, (-float(e), -(base + i), items[start + i], weight))
+            weight = float(w[start + i])
+            e = -np.log1p(-self._uniforms(1)[0] * -np.expm1(-weight * self.worst)) / weight
+            heapq.heapreplace(self.heap, (-float(e) / self.scale, -(base + i), items[start + i], weight))
             self.insertions += 1
             self.heap_steps += max(1, self.m.bit_length())
             done, self.skip = float(total[i]), self._next()
@@ -158,6 +178,59 @@ class RaceJumpSampler(RaceSampler):
                 return
         self.skip -= float(total[-1]) - done
 
+    def to_state(self) -> dict:
+        return super().to_state() | {"skip": self.skip}
+
+    @classmethod
+    def from_state(cls, state: dict, rng=None) -> RaceJumpSampler:
+        out = super().from_state(state, rng)
+        out.skip = state.get("skip")
+        return out
+
+
+class SlotRaces:
+    """m races of one winner each with jumps, all slots at once: O(n) for the running weights and a few draws a slot, not n * m."""
+
+    def __init__(self, m: int, rng: np.random.Generator):
+        self.m, self.rng = m, rng
+        self.seen = self.draws = self.insertions = 0
+        self.item, self.time, self.skip = np.full(m, -1), np.full(m, np.inf), np.zeros(m)
+
+    def _exponentials(self, n: int) -> np.ndarray:
+        self.draws += n
+        return -np.log((self.rng.integers(0, 2**52, n) + 0.5) / 2**52)
+
+    def offer(self, weights: np.ndarray) -> None:
+        """Items in order; ``item`` holds their numbers from 0."""
+        if not self.m or not len(weights):
+            return
+        total, base = np.cumsum(weights), self.seen
+        done, live = np.zeros(self.m), np.arange(self.m)
+        if not base:
+            self.item[:] = 0
+            self.time = self._exponentials(self.m) / weights[0]
+            self.skip = self._exponentials(self.m) / self.time
+            self.insertions += self.m
+            done[:] = total[0]
+        self.seen += len(weights)
+        while True:
+            live = live[total[-1] - done[live] >= self.skip[live]]
+            live = live[done[live] < total[-1]]
+            if not len(live):
+                break
+            # the item after the weight passed over; at least the one after what is done
+            at = np.maximum(np.searchsorted(total, done[live] + self.skip[live]), np.searchsorted(total, done[live], side="right"))
+            at = np.minimum(at, len(total) - 1)
+            w = weights[at]
+            self.draws += len(live)
+            u = (self.rng.integers(0, 2**52, len(live)) + 0.5) / 2**52
+            self.time[live] = -np.log1p(u * np.expm1(-w * self.time[live])) / w
+            self.item[live] = base + at
+            self.insertions += len(live)
+            done[live] = total[at]
+            self.skip[live] = self._exponentials(len(live)) / self.time[live]
+        self.skip -= np.where(done < total[-1], total[-1] - done, 0)
+
 
 class ProportionalSampler(ReservoirSampler):
     """Inclusion role: an item's chance to be in the sample is min(1, weight / threshold) after every item.

@@ -7,7 +7,6 @@ in a written table of m rows that each micro-batch merges with its own m best, s
 from __future__ import annotations
 
 import tempfile
-import uuid
 from collections.abc import Sequence
 
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -15,12 +14,12 @@ from pyspark.sql import functions as F
 
 from wsample.functions.times import instant
 from wsample.operators.race import KEY, race_sample, top_m, with_race_key
+from wsample.plans.shared import new_path
 
 
 def state_dir(spark: SparkSession) -> str:
-    """The cluster's shared checkpoint folder; a local one only where the session names none."""
-    named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
-    return f"{named or tempfile.mkdtemp(prefix='stream-')}/stream-{uuid.uuid4().hex}"
+    """A new folder under the cluster's shared checkpoint folder."""
+    return new_path(spark, "stream")
 
 
 class StreamingRace:
@@ -82,7 +81,7 @@ def drain_window_winner(spark: SparkSession, path: str, *, keep: str | None = No
     stream = spark.readStream.schema(schema).parquet(path + "*")
     if keep:
         stream = stream.where(keep)
-    name = f"winners_{uuid.uuid4().hex}"
+    name = "winners_" + state_dir(spark).rsplit("-", 1)[1]
     run = window_winner(stream, **kw).writeStream.outputMode("complete").format("memory").queryName(name).option("checkpointLocation", f"{state_dir(spark)}/log").trigger(availableNow=True).start()
     run.awaitTermination()
     return spark.table(name)

@@ -219,8 +219,7 @@ def uniform_reservoir_window(spark, sf_dir):
 
 @query
 def prop_orders_m50_window(spark, sf_dir):
-    orders = table(spark, sf_dir, "orders").withColumn("cents", cents("o_totalprice"))
-    return proportional.windowed_sample(orders, 50, weight="cents", id_cols=["o_orderkey"], order_by=[F.col("cents").desc(), F.col("o_orderkey")], tag="prop", **MD5)
+    return proportional.windowed_sample(_orders_cents(spark, sf_dir), 50, weight="cents", id_cols=["o_orderkey"], order_by=[F.col("cents").desc(), F.col("o_orderkey")], tag="prop", **MD5)
 
 
 @query
@@ -252,13 +251,13 @@ _add("prop_jump_orders", _prop("jump"))
 @query
 def prop_by_segment(spark, sf_dir):
     people = positive(table(spark, sf_dir, "customer"), "c_acctbal")
-    return _invariants(proportional.by_group(people, 20, ["c_mktsegment"], weight="c_acctbal", id_cols=["c_custkey"], order_by=["c_custkey"], seed=SEED), people, ["c_custkey"], ["c_mktsegment"])
+    return _invariants(proportional.by_group(people, 20, ["c_mktsegment"], weight="c_acctbal", id_cols=["c_custkey"], seed=SEED), people, ["c_custkey"], ["c_mktsegment"])
 
 
 @query
 def ads_equal_slots(spark, sf_dir):
     people = positive(table(spark, sf_dir, "customer"), "c_acctbal")
-    return _invariants(proportional.by_group(people, 5, ["c_mktsegment"], weight="c_acctbal", id_cols=["c_custkey"], order_by=["c_custkey"], seed=SEED), people, ["c_custkey"], ["c_mktsegment"])
+    return _invariants(proportional.by_group(people, 5, ["c_mktsegment"], weight="c_acctbal", id_cols=["c_custkey"], seed=SEED), people, ["c_custkey"], ["c_mktsegment"])
 
 
 @query
