@@ -17,9 +17,17 @@ def near(a, b):
     return row[-1] <= 1
 
 
-def slow(docs, least=lines.NEAR_WORDS):
+def units(w):
+    """The brute force's own rule: words from three on, else the characters of five or more."""
+    if len(w) >= 3:
+        return "words", w
+    line = b" ".join(w).decode()
+    return ("characters", tuple(line)) if len(line) >= 5 else None
+
+
+def slow(docs):
     """id -> (kept text, lines, exact, near) for unique ids."""
-    seen, first, out = [], set(), {}
+    seen, first, out = [], {}, {}
     for key, text in sorted(docs, key=lambda x: (x[0] is None, x[0] or 0)):
         kept, full, exact, close = [], 0, 0, 0
         for line in (text or "").split("\n"):
@@ -28,16 +36,20 @@ def slow(docs, least=lines.NEAR_WORDS):
                 kept.append(line)
                 continue
             full += 1
-            is_near = len(w) >= least and any(len(v) >= least and v != w and abs(len(v) - len(w)) < 2 and near(v, w) for v in seen if w not in first or seen.index(v) < seen.index(w))
-            if is_near:
+            if w not in first:
+                mine = units(w)
+                before = [v for v in seen if mine and v and v[0] == mine[0] and abs(len(v[1]) - len(mine[1])) < 2]
+                first[w] = any(near(v[1], mine[1]) for v in before)
+                again = False
+                seen.append(mine)
+            else:
+                again = True
+            if first[w]:
                 close += 1
-            elif w in first:
+            elif again:
                 exact += 1
             else:
                 kept.append(line)
-            if w not in first:
-                first.add(w)
-                seen.append(w)
         out[key] = ("\n".join(kept) if text is not None else None, full, exact, close)
     return out
 
@@ -66,10 +78,30 @@ def test_random_lines(spark):
 
 
 def test_short_lines(spark):
-    """Three to eight words, against every pair by the table; lines of one or two words go only if equal."""
-    texts = ["a b c d e f g h", "a b c d e f g", "Anat with by of nteres atre are.", "Tolyoued with by of nteres atre are.", "one two three", "one two four", "five one two three", "Yes.", "No.", "page one", "page two", "No.", "six seven"]
+    """One to eight words, against every pair by the table; edits of lines of one or two words are characters."""
+    texts = ["a b c d e f g h", "a b c d e f g", "Anat with by of nteres atre are.", "Tolyoued with by of nteres atre are.", "one two three", "one two four", "five one two three", "Yes.", "No.", "page one", "page two", "No.", "six seven", "six sevem", "sx seven", "Ωmegas", "Ωmega", "1", "2", "12345", "1234", "6 789", "6789", "a b c"]
     want = check(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3), list(enumerate(texts)))
-    assert [k for k, x in want.items() if x[3]] == [1, 3, 5, 6] and [k for k, x in want.items() if x[2]] == [11]
+    assert [k for k, x in want.items() if x[3]] == [1, 3, 5, 6, 13, 14, 16] and [k for k, x in want.items() if x[2]] == [11]
+
+
+def test_long_lines_and_words(spark):
+    """Words and lines longer than the hash tables, and lines that differ in their last byte."""
+    word, line = "ab" * 700, " ".join(f"w{i}" for i in range(3000))
+    texts = [word, word[:-1] + "c", word + " x", line, line + " end", line.replace("w1500 ", ""), line.replace("w7 ", "w8 w8 "), word + " y z", word[:-1] + "d y z"]
+    check(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(2), list(enumerate(texts)))
+
+
+def test_clashing_names(spark):
+    docs = spark.createDataFrame([(1, "a b c d", 5, 6, 7), (2, "a b c d", 5, 6, 7)], "doc_id long, text string, __gone int, __id int, n_lines int")
+    got = sorted((r.doc_id, r["__gone"], r["__id"], r.n_lines, r.n_exact) for r in lines.dedup_lines(docs).collect())
+    assert got == [(1, 5, 6, 1, 0), (2, 5, 6, 1, 1)]
+
+
+def test_hot_lines(spark, monkeypatch):
+    """Lines looked up in the broadcast table and the others give the same result."""
+    docs = [(i, "same old line here\n" + f"line number {i % 7} of it all {i % 3}") for i in range(60)]
+    monkeypatch.setattr(lines, "HOT", 0.1)
+    check(spark.createDataFrame(docs, "doc_id long, text string").repartition(4), docs)
 
 
 def test_odd(spark):
@@ -88,9 +120,8 @@ def test_query(spark, sf):
     assert got == {k: (zlib.crc32((t or "").encode()), *rest) for k, (t, *rest) in want.items()}
 
 
-def test_one_word():
-    cut = lambda s: s.encode().split()
-    for a, b in (("a b c", "a b c"), ("a b c", "a x c"), ("a b c", "a c"), ("a b c", "a b c d"), ("", "a"), ("a a a", "a a")):
-        assert lines.within_one_word(cut(a), cut(b)) and lines.within_one_word(cut(b), cut(a))
-    for a, b in (("a b c", "x b d"), ("a b c", "b a c"), ("a b", "c"), ("a b c", "a")):
-        assert not lines.within_one_word(cut(a), cut(b)) and not lines.within_one_word(cut(b), cut(a))
+def test_one_edit():
+    for a, b in (("a b c", "a b c"), ("a b c", "a x c"), ("a b c", "a b c d"), ("a a a a", "a a a"), ("abcde", "abcdef"), ("ab cd", "ab ce")):
+        assert lines.are_near(a, b) and lines.are_near(b, a)
+    for a, b in (("a b c d", "x b d e"), ("a b c", "b a c"), ("a b", "c"), ("a b c", "a b"), ("abcd", "abce"), ("abcdef", "abdcef")):
+        assert not lines.are_near(a, b) and not lines.are_near(b, a)

@@ -2,38 +2,35 @@
 
 from __future__ import annotations
 
-import tempfile
-import uuid
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import pyarrow as pa
 import pyarrow.compute
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-_own: list[str] = []
+from wsample.plans.shared import new_path, shared_dir, written
 
+__all__ = ["by_batch", "fitting", "new_path", "release", "shared_dir", "small_enough", "text_of", "unused", "written"]
 
-def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared checkpoint folder; a local one only where the session names none (tests)."""
-    named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
-    if named:
-        return named.rstrip("/")
-    if not _own:
-        _own.append(tempfile.mkdtemp(prefix="shared-"))
-    return _own[0]
 
+def release(*tables: DataFrame) -> None:
+    """Remove tables that :func:`written` made and nothing reads any more, and let Spark drop shuffle files of plans that are gone."""
+    for table in tables:
+        jvm = table.sparkSession._jvm
+        for file in table.inputFiles()[:1]:
+            folder = jvm.org.apache.hadoop.fs.Path(file).getParent()
+            folder.getFileSystem(table.sparkSession._jsc.hadoopConfiguration()).delete(folder, True)
+    if tables:
+        tables[0].sparkSession._jvm.System.gc()
 
-def new_path(spark: SparkSession, name: str) -> str:
-    return f"{shared_dir(spark)}/{name}-{uuid.uuid4().hex}"
 
-
-def written(df: DataFrame, name: str, *, compression: str = "zstd") -> DataFrame:
-    """``df`` as a Parquet table in the shared folder, read again: lineage is cut and lost executors cost no recompute."""
-    spark = df.sparkSession
-    path = new_path(spark, name)
-    df.write.option("compression", compression).parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+def unused(name: str, taken: Iterable[str]) -> str:
+    """The name, with underscores until no column has it (Spark compares without case)."""
+    low = {t.lower() for t in taken}
+    while name.lower() in low:
+        name += "_"
+    return name
 
 
 def text_of(column: str = "text") -> Column:

@@ -1,251 +1,260 @@
 """Line deduplication by a deletion-neighbourhood join.
 
-Lines within one word of each other (inserted, dropped or replaced) share a variant with a word deleted.  Two lines of
-n words that differ in word p are equal without it, so they meet under (variant, p, n); a line that lacks word p of
-another is that other's variant, so they meet under the variant itself.  Either way all that meet under a key link to
-its earliest line, and no pairs within a key are made.
+Two lines are near if one edit makes one the other: a word inserted, dropped or replaced where both have three words or
+more; a character where both have fewer, and five characters or more (so an edit is at most a fifth of such a line).
+Near lines share a variant with a unit deleted.  Two lines of n units that differ in unit p are equal without it, so they
+meet under (variant, p, n); a line that lacks unit p of another is that other's variant, so they meet under the variant
+itself.  Either way all that meet under a key link to its earliest line, and no pairs within a key are made.
 
-A line makes variants only if another line has its first or its second half of words: the one edit leaves one of two
-halves as it was, so nothing is lost, and words of the untouched half are not deleted.  The halves that lines share,
-and the hashes of whole lines, go to the tasks as bitmaps of fixed size; a bit that is set by chance costs variants, not results.
+A line makes variants only if another line has its first or its second half of units: the one edit leaves one of two
+halves as it was, so nothing is lost, and units of the untouched half are not deleted.  The halves that lines share,
+and the hashes of whole lines, go to the tasks as one bitmap; a bit that is set by chance costs variants, not results.
 
-A line goes if an earlier line (by document id, then line number) equals it or is within one word of it.
+A line goes if an earlier line (by document id, then line number) equals it or is near it.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-import xxhash
+import pyarrow.compute
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from wsample.llm.common import by_batch, text_of, written
+from wsample.llm.common import by_batch, fitting, release, text_of, unused, written
+from wsample.llm.linehash import LEAST_CHARS, WORDS, Lines, lines_of
 
-#: Shorter lines are compared as they are: one word of two is half of the line, and any two lines of one word are within one.
-NEAR_WORDS = 3
-BITMAP_BITS = 2**27
-#: Lines of which a task remembers that it made their variants.
-REMEMBERED = 1_000_000
+#: The bitmap has this many bits a line, a power of two of them, and no more than the most (128 MB): beyond that it lets more through.
+BITS_A_LINE, LEAST_BITS, MOST_BITS = 16, 2**20, 2**30
+#: Lines of which a task remembers that it had them.
+REMEMBERED = 2**20
+#: Bytes of text that are hashed at once.
+AT_ONCE = 400_000
+#: A line that is more than this share of all occurrences is looked up in a broadcast table: of those there are at most 1 / HOT.
+HOT = 1e-3
 
 
-def _hash(data: bytes) -> int:
-    return xxhash.xxh64_intdigest(data) - 2**63
+class Seen:
+    """Which hashes a task has had lately: exact when it says so."""
 
+    def __init__(self):
+        self.kept = np.arange(REMEMBERED, dtype=np.uint64) + np.uint64(1)  # no hash has its place there
 
-_BASE = np.uint64(0x9E3779B97F4A7C15)
-_BACK = np.uint64(pow(0x9E3779B97F4A7C15, -1, 2**64))
+    def new(self, hashes: np.ndarray) -> np.ndarray:
+        """Places of the hashes not had lately, each once."""
+        _, at = np.unique(hashes, return_index=True)
+        slot = (hashes[at] & np.uint64(REMEMBERED - 1)).astype(np.int64)
+        at = at[self.kept[slot] != hashes[at]]
+        self.kept[(hashes[at] & np.uint64(REMEMBERED - 1)).astype(np.int64)] = hashes[at]
+        return np.sort(at)
 
 
-def _mixed(x: np.ndarray, n: int) -> np.ndarray:
-    x = x + np.uint64(n) * np.uint64(0xD6E8FEB86659FD93 % 2**63)
-    x = (x ^ (x >> np.uint64(29))) * np.uint64(0xBF58476D1CE4E5B9)
-    return ((x ^ (x >> np.uint64(32))) * np.uint64(0x94D049BB133111EB)).view(np.int64)
+def unit_list(line: str) -> tuple[str, list]:
+    """What the edits of a line count: words as bytes, or the characters of its words joined by spaces."""
+    words = line.encode().split()
+    if len(words) >= WORDS:
+        return "words", words
+    return "characters", list(b" ".join(words).decode())
 
 
-def rest_hashes(words: list[bytes]) -> tuple[int, np.ndarray]:
-    """Hash of the words, and of the words without each of them: sums of word hashes times powers, so all take one pass."""
-    n = len(words)
-    hashes = np.fromiter(map(xxhash.xxh64_intdigest, words), np.uint64, n)
-    powers = np.multiply.accumulate(np.concatenate([np.ones(1, np.uint64), np.full(n - 1, _BASE)]))
-    upto = np.concatenate([np.zeros(1, np.uint64), np.cumsum(hashes * powers, dtype=np.uint64)])
-    rest = upto[:-1] + (upto[-1] - upto[1:]) * _BACK
-    return int(_mixed(upto[-1:], n)[0]), _mixed(rest, n - 1)
+def within_one(a: list, b: list) -> bool:
+    """Whether the edit distance is at most one."""
+    if abs(len(a) - len(b)) > 1:
+        return False
+    same = 0
+    while same < min(len(a), len(b)) and a[same] == b[same]:
+        same += 1
+    return a[same + (len(a) >= len(b)) :] == b[same + (len(b) >= len(a)) :]
 
 
-def words_of(line: str) -> list[bytes]:
-    return line.encode().split()
+def are_near(a: str, b: str) -> bool:
+    (kind, x), (other, y) = unit_list(a), unit_list(b)
+    return kind == other and (kind == "words" or min(len(x), len(y)) >= LEAST_CHARS) and within_one(x, y)
 
 
-def digest(words: list[bytes]) -> bytes:
-    return xxhash.xxh128_digest(b" ".join(words))
+def _long(x: np.ndarray) -> pa.Array:
+    return pa.array(x.view(np.int64))
 
 
-def halves(words: list[bytes]) -> list[int]:
-    """Four keys; two lines within one word of each other share one.
+def occurrences(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
+    """(doc_id, line_no, whole, check) of every line that is not blank; whole and check are two hashes of its words."""
 
-    Of lengths n and n, or n and n + 1: the first n // 2 words or the last n - n // 2 are untouched.
-    """
-    n, keys = len(words), []
-    for short in (n - 1, n):  # the other line may be the shorter one, or not
-        half = short // 2
-        keys.append(_hash(b" ".join(words[:half]) + b"\x00%d" % short))
-        keys.append(_hash(b" ".join(words[n - (short - half) :]) + b"\x01%d" % short))
-    return keys
+    def cut(batches):
+        for batch in batches:
+            for part in fitting(batch, "text", AT_ONCE):
+                found = lines_of(part.column(1))
+                yield pa.RecordBatch.from_arrays([part.column(0).take(pa.array(found.text)), pa.array(found.number.astype(np.int32)), _long(found.whole()), _long(found.check)], ["doc_id", "line_no", "whole", "check"])
 
+    kind = docs.schema[id_col].dataType.simpleString()
+    return docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text")).mapInArrow(cut, f"doc_id {kind}, line_no int, whole long, check long")
 
-def variants(words: list[bytes], shared: list[bool], is_line) -> list[tuple[int, int, int, bool]]:
-    """(key, place, words, whole): the line itself, and what is left without a word, where a partner may need it.
 
-    ``shared`` says which of the line's halves others have, in their order: with the first half untouched the edit is
-    behind it, else before.  The rest is kept once with its place, for lines of as many words, and once as the
-    shorter line that it may be, if ``is_line`` finds one.
-    """
-    n = len(words)
-    whole, rests = rest_hashes(words)
-    out = {(whole, -1, n, True): None}
-    for p, rest in enumerate(rests.tolist()):
-        replaced = shared[2] if p >= n // 2 else shared[3]
-        dropped = shared[0] if p >= (n - 1) // 2 else shared[1]
-        if replaced:
-            out[rest, p, n, False] = None
-        if dropped and is_line(rest):
-            out[rest, -1, n - 1, False] = None
-    return list(out)
-
-
-def within_one_word(a: list[bytes], b: list[bytes]) -> bool:
-    """Whether the word edit distance is at most one."""
-    if abs(len(a) - len(b)) > 1:
-        return False
-    same = 0
-    while same < min(len(a), len(b)) and a[same] == b[same]:
-        same += 1
-    return a[same + (len(a) >= len(b)) :] == b[same + (len(b) >= len(a)) :]
+def _fresh(batches):
+    """(lines, places of those that may have near ones and that the task has not had lately, their hashes)."""
+    seen = Seen()
+    for batch in batches:
+        for part in fitting(batch, "text", AT_ONCE):
+            found: Lines = lines_of(part.column(0))
+            i = np.flatnonzero(found.comparable())
+            whole = found.whole()
+            i = i[seen.new(whole[i])]
+            if len(i):
+                yield found, i, whole[i]
 
 
-def occurrences(docs: DataFrame, near_words: int, id_col: str, text_col: str) -> DataFrame:
-    """(doc_id, line_no, digest, h0 .. h3, whole) of every line that is not blank; halves and hash only of lines long enough."""
+def half_rows(docs: DataFrame, text_col: str) -> DataFrame:
+    """(h, lo, hi) of the halves of lines, lo and hi being the line's hash, and of whole lines, where they differ."""
 
-    def cut(batch: pa.RecordBatch) -> pa.RecordBatch:
-        row, number, names, keys = [], [], [], ([], [], [], [], [])
-        for i, text in enumerate(batch.column(1).to_pylist()):
-            for k, line in enumerate(text.split("\n")):
-                if words := words_of(line):
-                    row.append(i)
-                    number.append(k)
-                    names.append(digest(words))
-                    for to, h in zip(keys, [*halves(words), rest_hashes(words)[0]] if len(words) >= near_words else (None,) * 5, strict=True):
-                        to.append(h)
-        return pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(row, pa.int64())), pa.array(number, pa.int32()), pa.array(names, pa.binary()), *(pa.array(k, pa.int64()) for k in keys)], ["doc_id", "line_no", "digest", "h0", "h1", "h2", "h3", "whole"])
+    def spread(batches):
+        for found, i, whole in _fresh(batches):
+            halves = found.halves(i)
+            named = np.repeat(whole, 4)
+            ends = np.zeros(len(whole), np.uint64)
+            yield pa.RecordBatch.from_arrays([_long(np.concatenate([halves.ravel(), whole])), _long(np.concatenate([named, ends])), _long(np.concatenate([named, ends + np.uint64(1)]))], ["h", "lo", "hi"])
 
-    kind = docs.schema[id_col].dataType.simpleString()
-    return by_batch(docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text")), cut, f"doc_id {kind}, line_no int, digest binary, h0 long, h1 long, h2 long, h3 long, whole long", size_by="text")
+    return docs.select(text_of(text_col).alias("text")).mapInArrow(spread, "h long, lo long, hi long")
 
 
-def bitmap(hashes: DataFrame) -> np.ndarray:
-    """BITMAP_BITS bits, those of the hashes (column h) set, however many there are; at most a word for each 64 bits comes to the driver."""
-    bit = F.pmod("h", F.lit(BITMAP_BITS))
-    words = hashes.groupBy(F.shiftright(bit, 6).alias("w")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod(bit, F.lit(64)).cast("int"))).alias("b")).toArrow()
-    out = np.zeros(BITMAP_BITS // 64, np.int64)
+def bitmap(rows: DataFrame, bits: int) -> np.ndarray:
+    """``bits`` bits, those of the keys set that several lines have; at most a word for each 64 bits comes to the driver."""
+    shared = rows.groupBy("h").agg(F.min("lo").alias("lo"), F.max("hi").alias("hi")).where("lo <> hi").select(F.pmod("h", F.lit(bits)).alias("bit"))
+    words = shared.groupBy(F.shiftright("bit", 6).alias("w")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), F.pmod("bit", F.lit(64)).cast("int"))).alias("b")).toArrow()
+    out = np.zeros(bits // 64, np.int64)
     out[words["w"].to_numpy()] = words["b"].to_numpy()
     return out.view(np.uint64)
 
 
-def shared_halves(found: DataFrame) -> DataFrame:
-    """The half keys (h) that lines of more than one hash have."""
-    half = found.where("whole is not null").select("whole", F.explode(F.array_distinct(F.array("h0", "h1", "h2", "h3"))).alias("h"))
-    return half.groupBy("h").agg(F.min("whole").alias("lo"), F.max("whole").alias("hi")).where("lo <> hi").select("h")
+def bits_for(lines: int) -> int:
+    return min(MOST_BITS, max(LEAST_BITS, 1 << (BITS_A_LINE * lines - 1).bit_length() if lines else 0))
 
 
-def variant_rows(docs: DataFrame, halved: np.ndarray, whole: np.ndarray, near_words: int, text_col: str) -> DataFrame:
-    """(digest, key, place, size, whole, line) of the lines that share a half; the line itself in its whole row only."""
-    maps = docs.sparkSession.sparkContext.broadcast((halved, whole))  # two bitmaps of fixed size
+def variant_rows(docs: DataFrame, bits: np.ndarray, text_col: str) -> DataFrame:
+    """(key, place, size, line, own, text) of the lines that share a half; the text in a line's own row only."""
+    shared = docs.sparkSession.sparkContext.broadcast(bits)  # at most MOST_BITS bits
 
     def spread(batches):
-        (bits, lines), done, mask = maps.value, set(), BITMAP_BITS - 1
-        is_line = lambda h: int(lines[(h & mask) >> 6]) >> (h & 63) & 1
-        for batch in batches:
-            texts = batch.column(0).to_pylist()
-            out: list[tuple] = []
-            for text in texts:
-                for line in text.split("\n"):
-                    words = words_of(line)
-                    if len(words) < near_words:
-                        continue
-                    shared = [bool(int(bits[(h & mask) >> 6]) >> (h & 63) & 1) for h in halves(words)]
-                    if not any(shared):
-                        continue
-                    name = digest(words)
-                    if name in done:
-                        continue
-                    if len(done) >= REMEMBERED:
-                        done.clear()
-                    done.add(name)
-                    out += [(name, key, p, n, whole, line if whole else None) for key, p, n, whole in variants(words, shared, is_line)]
-                    if len(out) > 20_000:
-                        yield _rows(out)
-                        out = []
-            if out:
-                yield _rows(out)
-
-    return docs.select(text_of(text_col).alias("text")).mapInArrow(spread, "digest binary, key long, place int, size int, whole boolean, line string")
-
-
-def _rows(out: list[tuple]) -> pa.RecordBatch:
-    kinds = [pa.binary(), pa.int64(), pa.int32(), pa.int32(), pa.bool_(), pa.string()]
-    return pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*out, strict=True), kinds, strict=True)], ["digest", "key", "place", "size", "whole", "line"])
-
-
-def near_lines(docs: DataFrame, found: DataFrame, distinct: DataFrame, near_words: int, text_col: str) -> DataFrame:
-    """(digest) of the lines with an earlier line within one word."""
-    whole = bitmap(found.where("whole is not null").select(F.col("whole").alias("h")))
-    made = variant_rows(docs, bitmap(shared_halves(found)), whole, near_words, text_col)
-    rows = written(made.join(distinct.select("digest", "at"), "digest"), "variants")
-    keys = ["key", "place", "size"]
-    who = F.struct("at", "digest")
-    met = rows.groupBy(*keys).agg(F.min(F.when(F.col("whole"), who)).alias("w"), F.min(F.when(~F.col("whole"), who)).alias("v"), F.min("digest").alias("lo"), F.max("digest").alias("hi")).where("lo <> hi").select(*keys, "w", "v")
-    # a whole line and the lines that have it as a variant link to each other only; under a place all link
-    other = F.when((F.col("place") >= 0) | F.col("whole"), F.col("v")).otherwise(F.col("w"))
-    linked = rows.select("digest", "at", "whole", *keys).join(met, keys).select("digest", "at", other.alias("o")).where("o.at < at").select("digest", F.col("o.digest").alias("other")).distinct()
-    lines = rows.where("whole").select("digest", "line").dropDuplicates(["digest"])
-    pairs = linked.join(lines, "digest").join(lines.select(F.col("digest").alias("other"), F.col("line").alias("other_line")), "other").select("digest", "line", "other_line")
+        held = shared.value
+        mask = np.uint64(64 * len(held) - 1)
 
-    def verify(batch: pa.RecordBatch) -> pa.RecordBatch:
-        keep = [within_one_word(words_of(a), words_of(b)) for a, b in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True)]
-        return batch.select(["digest"]).filter(pa.array(keep, pa.bool_()))
+        def told(h: np.ndarray) -> np.ndarray:
+            at = h & mask
+            return (held[(at >> np.uint64(6)).astype(np.int64)] >> (at & np.uint64(63)) & np.uint64(1)).astype(bool)
 
-    return by_batch(pairs, verify, "digest binary").distinct()
+        for found, i, whole in _fresh(batches):
+            halves = told(found.halves(i))
+            some = halves.any(axis=1)
+            i, whole, halves = i[some], whole[some], halves[some]
+            for lo in range(0, len(i), 2000):
+                cut = slice(lo, lo + 2000)
+                yield _variants(found, i[cut], whole[cut], halves[cut], told)
 
+    return docs.select(text_of(text_col).alias("text")).mapInArrow(spread, "key long, place int, size int, line long, own boolean, text string")
 
-def removals(docs: DataFrame, *, near_words: int = NEAR_WORDS, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """(doc_id, line_no, digest, near) of every line occurrence that goes."""
-    found = written(occurrences(docs, near_words, id_col, text_col), "lines")
-    at = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "line_no")
-    distinct = written(found.groupBy("digest").agg(F.min(at).alias("at"), F.count("*").alias("n")), "distinct")
-    near = near_lines(docs, found, distinct, near_words, text_col).withColumn("near", F.lit(True))
-    marked = distinct.select("digest", "at", "n").join(near, "digest", "left").where("n > 1 or near").select("digest", "at", F.coalesce("near", F.lit(False)).alias("near"))
-    return found.select("doc_id", "line_no", "digest").join(marked, "digest").where(F.col("near") | (at > F.col("at"))).select("doc_id", "line_no", "digest", "near")
 
+def _variants(found: Lines, i: np.ndarray, whole: np.ndarray, halves: np.ndarray, told) -> pa.RecordBatch:
+    """Own rows, and what is left without a unit where a partner may need it: with the first half untouched the edit is behind it, else before.
 
-def dedup_lines(docs: DataFrame, *, near_words: int = NEAR_WORDS, id_col: str = "doc_id", text_col: str = "text", keep_empty: bool = True) -> DataFrame:
+    The rest is kept once with its place, for lines of as many units, and once as the shorter line that it may be.
+    """
+    n = found.size[i]
+    of, place, rest = found.rests(i)
+    size = n[of]
+    replaced = np.flatnonzero(np.where(place >= size // 2, halves[of, 2], halves[of, 3]))
+    dropped = np.flatnonzero(np.where(place >= (size - 1) // 2, halves[of, 0], halves[of, 1]))
+    dropped = dropped[told(rest[dropped])]
+    key = np.concatenate([whole, rest[replaced], rest[dropped]])
+    at = np.concatenate([np.full(len(i), -1), place[replaced], np.full(len(dropped), -1)]).astype(np.int32)
+    sizes = np.concatenate([n, size[replaced], size[dropped] - 1]).astype(np.int32)
+    line = np.concatenate([whole, whole[of[replaced]], whole[of[dropped]]])
+    own = np.arange(len(key)) < len(i)
+    text = pa.concat_arrays([found.texts(i), pa.nulls(len(key) - len(i), pa.string())])
+    return pa.RecordBatch.from_arrays([_long(key), pa.array(at), pa.array(sizes), _long(line), pa.array(own), text], ["key", "place", "size", "line", "own", "text"])
+
+
+def near_lines(docs: DataFrame, lines: int, distinct: DataFrame, text_col: str) -> DataFrame:
+    """(whole) of the lines with an earlier line near them, as a written table."""
+    rows = written(variant_rows(docs, bitmap(half_rows(docs, text_col), bits_for(lines)), text_col), "variants")
+    keys = ["key", "place", "size"]
+    met = rows.groupBy(*keys).agg(F.min("line").alias("lo"), F.max("line").alias("hi")).where("lo <> hi").select(*keys)
+    places = distinct.select(F.col("whole").alias("line"), "at")
+    some = written(rows.select(*keys, "line", "own").join(met, keys, "left_semi").join(places, "line"), "meeting")
+    who = F.struct("at", "line")
+    best = some.groupBy(*keys).agg(F.min(F.when(F.col("own"), who)).alias("w"), F.min(F.when(~F.col("own"), who)).alias("v"))
+    # a whole line and the lines that have it as a variant link to each other only; under a place all link
+    other = F.when((F.col("place") >= 0) | F.col("own"), F.col("v")).otherwise(F.col("w"))
+    linked = written(some.join(best, keys).select("line", "at", other.alias("o")).where("o.at < at").select("line", F.col("o.line").alias("other")).distinct(), "linked")
+    wanted = linked.select(F.explode(F.array("line", "other")).alias("line")).distinct()
+    texts = rows.where("own").select("line", "text").join(wanted, "line", "left_semi").dropDuplicates(["line"])
+    pairs = linked.join(texts, "line").join(texts.select(F.col("line").alias("other"), F.col("text").alias("other_text")), "other").select("line", "text", "other_text")
+
+    def verify(batch: pa.RecordBatch) -> pa.RecordBatch:
+        keep = [are_near(a, b) for a, b in zip(batch.column(1).to_pylist(), batch.column(2).to_pylist(), strict=True)]
+        return batch.select(["line"]).filter(pa.array(keep, pa.bool_()))
+
+    near = written(by_batch(pairs, verify, "line long").select(F.col("line").alias("whole")).distinct(), "near")
+    release(rows, some, linked)
+    return near
+
+
+def removals(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+    """(doc_id, line_no, check, near) of every line occurrence that goes."""
+    found = written(occurrences(docs, id_col, text_col), "lines")
+    at, name = F.struct(F.col("doc_id").isNull().alias("none"), "doc_id", "line_no"), ["whole", "check"]
+    distinct = written(found.groupBy(*name).agg(F.min(at).alias("at"), F.count("*").alias("n")), "distinct")
+    total = found.count()
+    near = near_lines(docs, total, distinct, text_col).withColumn("near", F.lit(True))
+    marked = distinct.join(near, "whole", "left").where("n > 1 or near").select(*name, "n", F.col("at").alias("kept"), F.coalesce("near", F.lit(False)).alias("near"))
+    marked = written(marked, "marked")
+    release(distinct, near)
+    common = F.broadcast(marked.where(F.col("n") > max(1.0, HOT * total)).drop("n"))  # at most 1 / HOT rows
+    rare = marked.where(F.col("n") <= max(1.0, HOT * total)).drop("n")
+    every = found.join(common, name).unionByName(found.join(common, name, "left_anti").join(rare, name))
+    return every.where(F.col("near") | (at > F.col("kept"))).select("doc_id", "line_no", "check", "near")
+
+
+def dedup_lines(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text", keep_empty: bool = True) -> DataFrame:
     """``docs`` without the lines that go, and how many there were: n_lines, n_exact, n_near.
 
     Case and punctuation count, the white space between words does not.  Blank lines stay.  Null texts stay null.
-    Rows of one id stand at one place: equal lines of theirs stay in each.  Null ids come last.
+    Rows of one id stand at one place: equal lines of theirs stay in each.  Null ids come last.  Columns of docs that are named
+    like the three counts are replaced; all others stay, whatever their names.
     Without ``keep_empty`` a document that loses all its lines goes too; one that had none stays.
     """
-    gone = removals(docs, near_words=near_words, id_col=id_col, text_col=text_col)
-    lists = gone.groupBy(F.col("doc_id").alias("__id")).agg(F.collect_list(F.struct("line_no", "digest", "near")).alias("__gone"))
-    joined = docs.join(lists, docs[id_col].eqNullSafe(F.col("__id")), "left").drop("__id")
+    gone = removals(docs, id_col=id_col, text_col=text_col)
+    own, listed = unused("__id", docs.columns), unused("__gone", docs.columns)
+    lists = gone.groupBy(F.col("doc_id").alias(own)).agg(F.collect_list(F.struct("line_no", "check", "near")).alias(listed))
+    joined = docs.join(lists, docs[id_col].eqNullSafe(F.col(own)), "left").drop(own)
     counts = ("n_lines", "n_exact", "n_near")
     names = [c for c in docs.columns if c not in counts]
 
-    def apply(batch: pa.RecordBatch) -> pa.RecordBatch:
-        texts, tally = [], ([], [], [])
-        for text, gone in zip(batch.column(text_col).to_pylist(), batch.column("__gone").to_pylist(), strict=True):
-            lines = (text or "").split("\n")
-            full = sum(1 for x in lines if words_of(x))
-            exact = near = 0
-            if gone:
-                listed = {(g["line_no"], g["digest"]): g["near"] for g in gone}
-                kept = []
-                for k, line in enumerate(lines):
-                    words = words_of(line)
-                    why = listed.get((k, digest(words))) if words else None
-                    if why is None:
-                        kept.append(line)
-                    elif why:
-                        near += 1
-                    else:
-                        exact += 1
-                text = "\n".join(kept) if exact or near else text
-            texts.append(text)
-            for to, n in zip(tally, (full, exact, near), strict=True):
-                to.append(n)
-        columns = [pa.array(texts, pa.string()) if c == text_col else batch.column(c) for c in names]
-        return pa.RecordBatch.from_arrays([*columns, *(pa.array(t, pa.int32()) for t in tally)], [*names, *counts])
+    def apply(batches):
+        for batch in batches:
+            for part in fitting(batch, text_col, AT_ONCE):
+                yield _without(part)
+
+    def _without(batch: pa.RecordBatch) -> pa.RecordBatch:
+        rows = batch.num_rows
+        texts, gone = batch.column(text_col), batch.column(listed)
+        found = lines_of(pa.compute.fill_null(texts, ""))
+        full = np.bincount(found.text, minlength=rows)
+        flat, of = gone.flatten(), np.repeat(np.arange(rows), pa.compute.list_value_length(gone).fill_null(0).to_numpy())
+        number = flat.field(0).to_numpy(zero_copy_only=False).astype(np.int64)
+        check, near = flat.field(1).to_numpy(zero_copy_only=False).view(np.uint64), flat.field(2).to_numpy(zero_copy_only=False).astype(bool)
+        here, there = found.text << 32 | found.number, of << 32 | number
+        at = np.minimum(np.searchsorted(here, there), max(len(here) - 1, 0))
+        # rows of one id share their list: an entry is for the row that has this very line there
+        true = np.flatnonzero((here[at] == there) & (found.check[at] == check)) if len(here) and len(there) else np.zeros(0, np.int64)
+        _, once = np.unique(there[true], return_index=True)
+        true = true[once]
+        exact, close = (np.bincount(of[true[near[true] == x]], minlength=rows) for x in (False, True))
+        out = texts.to_pylist()
+        edges = np.searchsorted(of[true], np.arange(rows + 1))
+        for r in np.flatnonzero(exact + close).tolist():
+            drop = set(number[true[edges[r] : edges[r + 1]]].tolist())
+            out[r] = "\n".join(line for k, line in enumerate(out[r].split("\n")) if k not in drop)
+        columns = [pa.array(out, pa.string()) if c == text_col else batch.column(c) for c in names]
+        return pa.RecordBatch.from_arrays([*columns, *(pa.array(t.astype(np.int32)) for t in (full, exact, close))], [*names, *counts])
 
     schema = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema if f.name in names) + ", n_lines int, n_exact int, n_near int"
-    done = by_batch(joined.select(*names, "__gone"), apply, schema, size_by=text_col)
+    done = joined.select(*names, listed).mapInArrow(apply, schema)
     return done if keep_empty else done.where("n_lines = 0 or n_exact + n_near < n_lines")
