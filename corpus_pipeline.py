@@ -15,8 +15,8 @@ from wsample.llm.common import written
 
 #: Jaccard similarity of their shingles at which documents are copies.
 SIMILARITY = 0.8
-
-
+#: Fingerprints that differ in so many bits name the pairs that are compared first; further ones are found by their shingles.
+FIRST_BITS = 6
 
 
 def keep_good(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -37,7 +37,7 @@ def drop_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
     Rows with a null id cannot be named and stay.
     """
-    found = simhash.near_duplicates(docs, shingle=5, max_bits=None, min_similarity=SIMILARITY)
+    found = simhash.near_duplicates(docs, shingle=5, max_bits=None, min_similarity=SIMILARITY, first_bits=FIRST_BITS)
     keep = found.where("doc_id = component_id").select("doc_id").distinct()
     named = docs.where("doc_id is not null").join(keep, "doc_id", "left_semi").dropDuplicates(["doc_id", "text"])
     return named.select(*docs.columns).unionByName(docs.where("doc_id is null"))

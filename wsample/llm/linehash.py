@@ -18,6 +18,8 @@ LEAST_CHARS = 5
 
 _BLANK = np.zeros(256, bool)
 _BLANK[[9, 10, 11, 12, 13, 32]] = True
+_LOWER = np.arange(256, dtype=np.uint8)
+_LOWER[65:91] += 32
 _TABLE = np.random.Generator(np.random.Philox(20)).integers(0, 2**64, 65536, np.uint64)  # by place in the word and byte
 _BASE = 0x9E3779B97F4A7C15
 _BACK = pow(_BASE, -1, 2**64)
@@ -110,9 +112,8 @@ def _bytes(texts: pa.Array) -> tuple[np.ndarray, np.ndarray]:
     return data[edges[0] : edges[-1]], edges - edges[0]
 
 
-def lines_of(texts: pa.Array) -> Lines:
-    """The lines of texts without nulls."""
-    data, edges = _bytes(texts)
+def _cut(data: np.ndarray, edges: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """(starts, lengths, hashes, text) of the words."""
     full = ~_BLANK[data]
     before = np.concatenate([[False], full[:-1]]) if len(data) else full
     inner = edges[:-1][edges[:-1] < len(data)]
@@ -127,8 +128,27 @@ def lines_of(texts: pa.Array) -> Lines:
     if len(place) and lengths.max() > 256:
         value = value * (2 * (place >> 8) + 1).astype(np.uint64)
     words = mixed(np.add.reduceat(value, rank), lengths) if len(rank) else np.zeros(0, np.uint64)
-    breaks = np.flatnonzero(data == 10)
     held = np.diff(np.searchsorted(starts, edges))
+    return starts, lengths, words, held
+
+
+def shingles_of(texts: pa.Array, k: int) -> tuple[np.ndarray, np.ndarray]:
+    """Hashes of the k-word shingles of texts with A-Z lower-cased, repeats included, and how many each text has; fewer words make one."""
+    data, edges = _bytes(texts)
+    _, _, words, held = _cut(_LOWER[data], edges)
+    powers, back = _powers(_BASE, len(words) + 1), _powers(_BACK, len(words) + 1)
+    sums = np.concatenate([np.zeros(1, np.uint64), np.cumsum(words * powers[:-1], dtype=np.uint64)])
+    counts = np.where(held > 0, np.maximum(held - k + 1, 1), 0)
+    at = np.repeat(np.cumsum(held) - held, counts) + within_runs(counts)
+    size = np.repeat(np.minimum(held, k), counts)
+    return mixed((sums[at + size] - sums[at]) * back[at], size), counts
+
+
+def lines_of(texts: pa.Array) -> Lines:
+    """The lines of texts without nulls."""
+    data, edges = _bytes(texts)
+    starts, lengths, words, held = _cut(data, edges)
+    breaks = np.flatnonzero(data == 10)
     text = np.repeat(np.arange(len(held)), held)
     passed = np.cumsum(np.bincount(np.searchsorted(starts, breaks), minlength=len(starts) + 1)[: len(starts)])
     number = passed - np.repeat(np.searchsorted(breaks, edges[:-1]), held)

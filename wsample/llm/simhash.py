@@ -8,8 +8,8 @@ which the bit counts of the whole corpus give.  Equal part values (and flips of
 buckets; every bucket is compared in blocks and leaves a spanning forest of its links, so that a group
 of n copies costs n rows, not n squared.
 
-Links by the Jaccard similarity of word shingles are not sought among fingerprints: texts that are similar enough share one
-of their rarest shingles, so all that share one are compared, but for those that are joined already.
+Links by the Jaccard similarity of word shingles are sought among fingerprints first.  Texts that are similar enough also share
+one of their rarest shingles, so then all that share one are compared, but for those that are joined already.
 """
 
 from __future__ import annotations
@@ -20,12 +20,14 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from wsample.llm.common import by_batch, text_of, written
 from wsample.llm.graph import components
+from wsample.llm.linehash import shingles_of
 
 BITS = 64
 #: Rows of a bucket that are compared at once; larger buckets are cut into blocks and compared block by block, each row
@@ -34,7 +36,7 @@ BLOCK = 16384
 #: A shuffled row costs about as much as this many comparisons.
 ROW_COST = 100
 #: Texts in which common shingles are counted, about, and how many of those are kept.
-SAMPLED, COMMON = 20_000, 1_000_000
+SAMPLED, COMMON = 8_000, 1_000_000
 #: For products of similarities and counts, which are rounded.
 SLACK = 1e-6
 _LANES = np.uint64(0x0101010101010101)
@@ -273,6 +275,17 @@ def links(nodes: DataFrame, max_bits: int) -> DataFrame:
     return cut.repartition(*place).sortWithinPartitions(*place).mapInArrow(compare, f"a {kind}, b {kind}, bits int")
 
 
+def each_set(texts: pa.Array, shingle: int):
+    """The distinct shingles of each text, sorted; texts are hashed some at a time."""
+    lengths = pa.compute.binary_length(texts).to_numpy()
+    cuts = np.flatnonzero(np.diff(np.cumsum(lengths) // 400_000, prepend=0))
+    for lo, hi in itertools.pairwise(dict.fromkeys([0, *cuts.tolist(), len(texts)])):
+        hashes, counts = shingles_of(texts.slice(lo, hi - lo), shingle)
+        ends = np.cumsum(counts)
+        for start, end in zip((ends - counts).tolist(), ends.tolist(), strict=True):
+            yield np.unique(hashes[start:end])
+
+
 def similar(pairs: DataFrame, texts: DataFrame, *, shingle: int, least: float, max_bits: int | None) -> DataFrame:
     """The pairs (a, b) whose texts share at least that part of their distinct word shingles (Jaccard), and whose fingerprints differ in at most max_bits bits if given; texts: (key, fp, text)."""
     some = texts.join(pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct(), "key", "left_semi")
@@ -283,9 +296,9 @@ def similar(pairs: DataFrame, texts: DataFrame, *, shingle: int, least: float, m
 
     def compare(batch: pa.RecordBatch) -> pa.RecordBatch:
         keep = []
-        for x, y in zip(batch.column(2).to_pylist(), batch.column(3).to_pylist(), strict=True):
-            s, t = set(shingle_hashes(x, shingle)), set(shingle_hashes(y, shingle))
-            keep.append(len(s & t) >= least * len(s | t) if s or t else True)
+        for s, t in zip(each_set(batch.column(2), shingle), each_set(batch.column(3), shingle), strict=True):
+            both = len(np.intersect1d(s, t, assume_unique=True))
+            keep.append(both >= least * (len(s) + len(t) - both))
         return batch.select(["a", "b"]).filter(pa.array(keep, pa.bool_()))
 
     return by_batch(pairs.select("a", "b", "ta", "tb"), compare, "a long, b long", size_by="ta")
@@ -297,8 +310,7 @@ def common_shingles(texts: DataFrame, shingle: int) -> tuple[np.ndarray, np.ndar
     some = texts.where(F.pmod(F.xxhash64("key"), F.lit(share)) == 0).select("text")
 
     def spread(batch: pa.RecordBatch) -> pa.RecordBatch:
-        found = [np.unique(np.array(shingle_hashes(t, shingle), np.uint64)) for t in batch.column(0).to_pylist()]
-        return pa.RecordBatch.from_arrays([pa.array(np.concatenate(found).view(np.int64))], ["h"])
+        return pa.RecordBatch.from_arrays([pa.array(np.concatenate([np.zeros(0, np.uint64), *each_set(batch.column(0), shingle)]).view(np.int64))], ["h"])
 
     counted = by_batch(some, spread, "h long", size_by="text").groupBy("h").agg(F.count("*").alias("n")).where("n > 1").orderBy(F.desc("n"), "h").limit(COMMON).toArrow()  # COMMON rows
     h, n = counted["h"].to_numpy().view(np.uint64), counted["n"].to_numpy()
@@ -317,8 +329,7 @@ def prefixes(texts: DataFrame, shingle: int, least: float) -> DataFrame:
     def make(batch: pa.RecordBatch) -> pa.RecordBatch:
         common, counts = shared.value
         tokens, rows, sizes, places = [np.zeros(0, np.uint64)], [], [], [np.zeros(0, np.int32)]
-        for text in batch.column(1).to_pylist():
-            h = np.unique(np.array(shingle_hashes(text, shingle), np.uint64))
+        for h in each_set(batch.column(1), shingle):
             n = np.zeros(len(h), np.int64)
             if len(common) and len(h):
                 at = np.minimum(np.searchsorted(common, h), len(common) - 1)
@@ -412,28 +423,33 @@ def _distinct(a: list[np.ndarray], b: list[np.ndarray]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(found[0]), pa.array(found[1])], ["a", "b"])
 
 
-def similar_roots(texts: DataFrame, *, shingle: int, least: float, max_bits: int | None) -> DataFrame:
+def similar_roots(texts: DataFrame, *, shingle: int, least: float, max_bits: int | None, first_bits: int) -> DataFrame:
     """(node, root) over all links of :func:`similar`; ``texts`` is a written table (key, fp, text), keys unique longs.
 
-    Every pair that may be similar is compared by its texts, but for those that links found before have joined: first each
-    token's rows with one of them, so that a group of n copies costs n pairs, then what is still apart.
+    First what the fingerprints name within ``first_bits`` is compared by its texts.  That alone would lose links: similar texts
+    may differ in more bits, and where many texts meet, a forest of few bits may pass by the pair that is similar.  So then
+    every pair that shares a rare shingle is compared, but for those that links found before have joined: first each token's rows
+    with one of them, so that a group of n copies costs n pairs, then what is still apart.
     """
-    rows = written(repeated(prefixes(texts, shingle, least)), "tokens")
     near = lambda pairs: written(similar(pairs, texts, shingle=shingle, least=least, max_bits=max_bits), "links")
-    tried = written(meeting(rows.withColumn("root", F.col("key")), least, star=True), "pairs")
+    rooted = lambda found: rows.join(components(found, "a", "b").withColumnRenamed("node", "key"), "key", "left").withColumn("root", F.coalesce("root", "key"))
+    named = links(texts.select("key", "fp"), first_bits if max_bits is None else min(first_bits, max_bits))
+    tried = written(named.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "pairs")
     found = near(tried)
-    roots = components(found, "a", "b").withColumnRenamed("node", "key")
-    apart = meeting(rows.join(roots, "key", "left").withColumn("root", F.coalesce("root", "key")), least, star=False)
-    more = near(written(apart.join(tried, ["a", "b"], "left_anti"), "pairs"))
-    return components(found.union(more), "a", "b")
+    rows = written(repeated(prefixes(texts, shingle, least)), "tokens")
+    for star in (True, False):
+        pairs = written(meeting(rooted(found), least, star=star).join(tried, ["a", "b"], "left_anti"), "pairs")
+        found, tried = found.union(near(pairs)), tried.union(pairs)
+    return components(found, "a", "b")
 
 
-def near_duplicates(docs: DataFrame, *, shingle: int = 3, max_bits: int | None = 2, min_similarity: float | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
+def near_duplicates(docs: DataFrame, *, shingle: int = 3, max_bits: int | None = 2, min_similarity: float | None = None, first_bits: int = 6, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """(doc_id, fingerprint, component_id): component_id is the smallest id that links reach, a document's own included.
 
     Without ``min_similarity`` fingerprints link at ``max_bits`` or fewer differing bits; with it, texts link that also have that
-    Jaccard similarity of their word shingles, and ``max_bits`` may be None.  Texts without words link with each other.  Null ids
-    get a component but name none, so a group of null ids alone has a null component.  One row an input row.
+    Jaccard similarity of their word shingles, and ``max_bits`` may be None: pairs within ``first_bits`` are tried first, and no
+    others are left out.  Texts without words link with each other.  Null ids get a component but name none, so a group of null
+    ids alone has a null component.  One row an input row.
     """
     by_text = min_similarity is not None
     made = written(fingerprints(docs, shingle=shingle, id_col=id_col, text_col=text_col, with_text=by_text), "fingerprints")
@@ -441,7 +457,7 @@ def near_duplicates(docs: DataFrame, *, shingle: int = 3, max_bits: int | None =
     classes = made.groupBy(F.col(name).alias("name")).agg(F.first("fp").alias("fp"), F.min("doc_id").alias("least"), *([F.first("text").alias("text")] if by_text else []))
     classes = written(classes.withColumn("key", F.monotonically_increasing_id() if by_text else F.col("fp")), "classes")
     if by_text:
-        roots = similar_roots(classes.select("key", "fp", "text"), shingle=shingle, least=min_similarity, max_bits=max_bits)
+        roots = similar_roots(classes.select("key", "fp", "text"), shingle=shingle, least=min_similarity, max_bits=max_bits, first_bits=first_bits)
     else:
         roots = components(links(classes.select("key", "fp"), max_bits), "a", "b")
     rooted = classes.select("name", "key", "least").join(roots.withColumnRenamed("node", "key"), "key", "left").withColumn("root", F.coalesce("root", "key"))
