@@ -33,6 +33,21 @@ def test_pieces_agree_with_the_libraries():
             assert got == (len(want) if kind == "count" else np.array(want, dtype="<u4").tobytes()), (kind, text)
 
 
+def test_every_character_below_250_and_marks():
+    """Every code point that the fast rules may see, alone and among others, and those whose lower case is beyond them."""
+    library = Tokenizer.from_file(WORD)
+    ids, count = tokens.encoder("word", WORD), tokens.encoder("count", WORD)
+    points = [chr(c) for c in [*range(1, 0x250), *range(0x300, 0x370)]]
+    moved = [c for c in points if any(ord(x) > 0x24F for x in c.lower())]
+    pick = random.Random(9)
+    texts = [f(c) for c in points for f in (lambda c: c, lambda c: f"ab{c}cd {c}{c}", lambda c: f"{c}'s 1{c}2", lambda c: f"e{c}\u0301 {c}")]
+    texts += ["".join(pick.choice([*moved, pick.choice(points), "a", "e", " ", "'s", "1"]) for _ in range(pick.randint(1, 14))) for _ in range(4000)]
+    assert len(moved) >= 23
+    for text in texts:
+        want = library.encode(text, add_special_tokens=False).ids
+        assert np.frombuffer(ids(text), "<u4").tolist() == want and count(text) == len(want), repr(text)
+
+
 def test_merges_stop_where_ranks_end():
     rank = {("a", "b"): 0, ("ab", "c"): 1, ("b", "c"): 2}
     assert tokens.count_after_merges(list("abc"), rank) == 1

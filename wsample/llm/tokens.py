@@ -72,6 +72,17 @@ def plain(text: str) -> bool:
     return "<|" not in text and not any(c in text for c in _ODD) and (text.isascii() or not _UNSURE(text))
 
 
+def lowered(text: str) -> str | None:
+    """The text in lower case where the rules above cut that as the word files' libraries do.
+
+    Some Latin capitals have their lower case beyond U+024F, so it is the lower-cased text that must be beyond doubt.
+    """
+    if not plain(text):
+        return None
+    low = text.lower()
+    return low if low.isascii() or not _UNSURE(low) else None
+
+
 class ByteLevelIds:
     """Ids of a byte-level vocabulary as little-endian unsigned 32-bit bytes."""
 
@@ -106,8 +117,8 @@ class WordIds(ByteLevelIds):
     """Ids of a lower-case vocabulary with word ends, white space being dropped."""
 
     def __call__(self, text: str) -> bytes:
-        if plain(text):
-            return b"".join(map(self.units.__getitem__, _WORD_UNITS(text.lower())))
+        if (low := lowered(text)) is not None:
+            return b"".join(map(self.units.__getitem__, _WORD_UNITS(low)))
         return b"".join([self.pieces[x] for x in words_of(text)])
 
 
@@ -134,8 +145,8 @@ class MergeCounter:
         self.units = _Pieces(self.count_unit)
 
     def __call__(self, text: str) -> int:
-        if plain(text):
-            return sum(map(self.units.__getitem__, _WORD_UNITS(text.lower())))
+        if (low := lowered(text)) is not None:
+            return sum(map(self.units.__getitem__, _WORD_UNITS(low)))
         return sum([self.pieces[x] for x in words_of(text)])
 
     def count_piece(self, piece: str) -> int:
