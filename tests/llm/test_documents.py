@@ -161,17 +161,45 @@ def test_language_odd(spark):
     assert {r.lang_pred for r in langid.identify(docs, langid.train(none(spark))).collect()} == {"und"}
 
 
-def test_linear_products_are_the_cosines():
+def slow_vector(text, dimensions, seed):
+    """A text's bundle, gram by gram from its letters."""
+    out = np.zeros(dimensions, np.int64)
+    low = f" {text.lower()} "
+    for i in range(len(low) - 2):
+        points = [ord(c) if c.isalpha() else 0 for c in low[i : i + 3]]
+        if any(points):
+            a, b, c = (langid.letter_vector(p, dimensions, seed).astype(np.int64) for p in points)
+            out += np.roll(a, 2) * np.roll(b, 1) * c
+    return out
+
+
+def test_linear_products_are_the_cosines(spark):
+    """Profiles and predictions against bundles made gram by gram."""
+    known = [(1, "the cat sat on the mat", "en"), (2, "der Hund lag auf dem Boden", "de"), (3, "кот сидел на окне", "ru"), (4, "η γάτα κάθισε εκεί", "el"), (5, "แมวนั่งบนเสื่อ", "th"), (6, "les chats étaient là", "fr"), (7, "the dog and the fish", "en")]
+    asked = [(10, "the cat and the dog", None), (11, "на окне сидел кот", None), (12, "η γάτα εκεί", None), (13, "แมวบนเสื่อ", None), (14, "là étaient les chats œuvre", None), (15, "1 2 3", None)]
+    docs = spark.createDataFrame(known, "doc_id long, text string, lang string").repartition(3)
+    profiles = langid.train(docs, dimensions=512, seed=4)
+    langs = sorted({x[2] for x in known})
+    want = np.array([sum(slow_vector(t, 512, 4) for _, t, l in known if l == lang) for lang in langs], float)
+    want /= np.linalg.norm(want, axis=1, keepdims=True)
+    assert profiles.languages == langs and np.allclose(profiles.prototypes, want, atol=1e-6)
+    got = {r.doc_id: (r.lang_pred, r.score) for r in langid.identify(spark.createDataFrame(asked, "doc_id long, text string, lang string"), profiles).collect()}
+    for key, text, _ in asked[:-1]:
+        dots = want @ slow_vector(text, 512, 4)
+        assert got[key][0] == langs[int(dots.argmax())] and abs(got[key][1] - dots.max() / np.maximum(dots, 0).sum()) < 1e-4
+    assert [got[k][0] for k in (11, 12, 13)] == ["ru", "el", "th"] and got[15] == ("und", 0.0)
+
+
+def test_products_are_forgotten_and_made_again(monkeypatch):
     rng = np.random.default_rng(2)
-    counts = np.zeros((2, langid.GRAMS), np.float32)
-    counts[:, rng.integers(1, langid.GRAMS, 50)] = rng.integers(1, 9, (2, 50))
-    table = langid.products(counts, 64, 1)
-    vectors = np.concatenate([langid.gram_vectors(a, 64, 1) for a in range(langid.SYMBOLS)])
-    prototypes = counts @ vectors
-    prototypes /= np.linalg.norm(prototypes, axis=1, keepdims=True)
-    text = np.zeros(langid.GRAMS, np.float32)
-    text[rng.integers(1, langid.GRAMS, 30)] = 2
-    assert np.allclose(text @ table, (text @ vectors) @ prototypes.T, atol=1e-2)
+    profiles = langid.Profiles(["a", "b"], rng.normal(size=(2, 64)).astype(np.float32), 1)
+    codes = np.unique(rng.integers(1, 1 << 60, 300))
+    want = langid.gram_vectors(codes, 64, 1).astype(np.float32) @ profiles.prototypes.T
+    monkeypatch.setattr(langid, "REMEMBERED", 50)
+    monkeypatch.setattr(langid, "AT_ONCE", 7)
+    held = langid.Products(profiles)
+    for lo, hi in ((0, 40), (20, 60), (0, 300), (100, 140)):
+        assert np.allclose(held.of(codes[lo:hi]), want[lo:hi], atol=1e-4)
 
 
 def test_long_texts_in_slices(monkeypatch):

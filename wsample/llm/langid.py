@@ -4,11 +4,13 @@ Every letter has a random vector of signs.  An n-gram's vector binds (multiplies
 permuted by its place; a text's vector bundles (adds) those of its n-grams; a language's prototype bundles its
 texts.  A text gets the language of the largest cosine.  Bundling is linear, so the product of a text with a
 prototype is the sum of its n-grams' products, which are taken once; the text's own norm is the same for all.
+Letters are those of any script, each with a vector of its own that its code point seeds.
 """
 
 from __future__ import annotations
 
 import functools
+import hashlib
 from dataclasses import dataclass
 
 import numpy as np
@@ -18,22 +20,37 @@ from pyspark.sql import functions as F
 
 from wsample.llm.common import by_batch, text_of
 
-#: Letters are told apart as 63 symbols: a-z, the lower-case Latin-1 letters, and four for all others; 0 is any other character.
-SYMBOLS = 64
-GRAMS = SYMBOLS**3
 DIMENSIONS = 2048
 #: Characters taken at once.
 SLICE = 1_000_000
+#: N-grams whose products a worker remembers, and n-grams whose vectors it makes at once.
+REMEMBERED, AT_ONCE = 500_000, 2048
+#: Parts into which a language's rows are dealt before the rows to learn from are picked.
+SALTS = 64
+#: Bits of a code point in an n-gram's code.
+POINT = 21
 
 
 @functools.lru_cache(maxsize=1)
 def _table() -> np.ndarray:
-    """Symbol of each code point; of letters only."""
-    table = np.zeros(0x110000, np.int32)
-    for c in range(0x110000):
-        if chr(c).isalpha():
-            table[c] = c - 96 if 97 <= c <= 122 else c - 0xDF + 27 if 0xDF <= c <= 0xFF else 60 + c % 4
-    return table
+    """Each code point that is a letter, as itself; 0 for any other character."""
+    return np.fromiter((c if chr(c).isalpha() else 0 for c in range(0x110000)), np.int64, 0x110000)
+
+
+@functools.lru_cache(maxsize=20_000)
+def letter_vector(point: int, dimensions: int, seed: int) -> np.ndarray:
+    """A letter's random signs, from the seed and its code point; 0 stands for what is between words."""
+    return np.random.Generator(np.random.Philox(np.random.SeedSequence([seed, point]))).choice(np.array([-1, 1], np.int8), dimensions)
+
+
+def gram_vectors(codes: np.ndarray, dimensions: int, seed: int) -> np.ndarray:
+    """Vectors of n-grams: their letters' vectors, permuted by place and bound."""
+    out = np.ones((len(codes), dimensions), np.int8)
+    for place in range(3):
+        points, of = np.unique(codes >> POINT * (2 - place) & (1 << POINT) - 1, return_inverse=True)
+        letters = np.stack([np.roll(letter_vector(int(c), dimensions, seed), 2 - place) for c in points]) if len(points) else out
+        out *= letters[of]
+    return out
 
 
 def _slices(text: str):
@@ -51,8 +68,8 @@ def _grams(parts: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     lengths = np.fromiter(map(len, parts), np.int64, len(parts))
     s = _table()[np.frombuffer("".join(parts).encode("utf-32-le", "surrogatepass"), "<u4")]
     starts = np.cumsum(lengths) - lengths
-    g = np.zeros(len(s), np.int32)
-    g[:-2] = (s[:-2] * SYMBOLS + s[1:-1]) * SYMBOLS + s[2:]
+    g = np.zeros(len(s), np.int64)
+    g[:-2] = (s[:-2] << POINT | s[1:-1]) << POINT | s[2:]
     g[starts + lengths - 1] = 0
     g[starts + lengths - 2] = 0
     return g, starts, np.add.reduceat((s > 0).astype(np.int64), starts)
@@ -75,8 +92,34 @@ def _packed(texts: list[str | None]):
 
 @dataclass(frozen=True)
 class Profiles:
+    """Unit prototypes, one row a language."""
+
     languages: list[str]
-    products: np.ndarray  # (grams, languages): n-gram vector times unit prototype
+    prototypes: np.ndarray
+    seed: int
+
+
+class Products:
+    """N-gram vectors times prototypes, each made once: (codes sorted, their products)."""
+
+    def __init__(self, profiles: Profiles):
+        self.profiles, self.forget = profiles, lambda: (np.zeros(0, np.int64), np.zeros((0, len(profiles.languages))))
+        self.codes, self.values = self.forget()
+
+    def of(self, codes: np.ndarray) -> np.ndarray:
+        """Products of distinct sorted codes; code 0, without letters, has none."""
+        new = np.setdiff1d(codes, self.codes, assume_unique=True)
+        if len(new):
+            if len(self.codes) + len(new) > REMEMBERED:
+                self.codes, self.values = self.forget()
+                new = codes
+            p = self.profiles
+            made = [gram_vectors(new[i : i + AT_ONCE], p.prototypes.shape[1], p.seed).astype(np.float32) @ p.prototypes.T for i in range(0, len(new), AT_ONCE)]
+            both, values = np.concatenate([self.codes, new]), np.concatenate([self.values, *made])
+            order = np.argsort(both, kind="stable")
+            self.codes, self.values = both[order], values[order]
+            self.values[self.codes == 0] = 0
+        return self.values[np.searchsorted(self.codes, codes)]
 
 
 def held_out(id_col: str = "doc_id"):
@@ -89,52 +132,49 @@ def train(docs: DataFrame, *, per_language: int = 2000, dimensions: int = DIMENS
     Null labels and texts, and null ids, teach nothing.  ``docs`` holds the rows that may be learned from.
     """
     known = docs.where(F.col(lang_col).isNotNull() & F.col(id_col).isNotNull()).select(F.col(id_col).alias("doc_id"), F.col(lang_col).alias("lang"))
-    pick = known.withColumn("k", F.row_number().over(Window.partitionBy("lang").orderBy(F.xxhash64("doc_id"), "doc_id"))).where(F.col("k") <= per_language)
+    by = [F.xxhash64("doc_id"), F.col("doc_id")]
+    for parts in (["lang", F.pmod(F.xxhash64("doc_id"), F.lit(SALTS))], ["lang"]):  # a part's first rows hold those of the whole
+        known = known.withColumn("k", F.row_number().over(Window.partitionBy(*parts).orderBy(*by))).where(F.col("k") <= per_language)
     some = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.col(lang_col).alias("lang")).where("lang is not null and text is not null")
-    some = some.join(F.broadcast(pick.select("doc_id").distinct()), "doc_id", "left_semi").select("lang", "text")  # per_language rows a language at most
+    some = some.join(F.broadcast(known.select("doc_id").distinct()), "doc_id", "left_semi").select("lang", "text")  # per_language rows a language at most
 
-    def count(batches):
-        seen: dict[str, np.ndarray] = {}
+    def bundle(batches):
+        sums: dict[str, np.ndarray] = {}
         for batch in batches:
             langs = batch.column(0).to_pylist()
             for rows, parts in _packed(batch.column(1).to_pylist()):
                 g, starts, _ = _grams(parts)
-                which = np.repeat(np.arange(len(parts)), np.diff([*starts, len(g)]))
-                of = np.array([hash_ for hash_ in map({x: i for i, x in enumerate(dict.fromkeys(langs))}.get, (langs[r] for r in rows))])[which]
-                for i, name in enumerate(dict.fromkeys(langs)):
-                    seen.setdefault(name, np.zeros(GRAMS, np.int64))
-                    seen[name] += np.bincount(g[of == i], minlength=GRAMS)
-        for name, n in seen.items():
-            at = np.flatnonzero(n)
-            yield pa.RecordBatch.from_arrays([pa.array([name] * len(at), pa.string()), pa.array(at.astype(np.int32)), pa.array(n[at])], ["lang", "gram", "n"])
-
-    table = some.mapInArrow(count, "lang string, gram int, n long").groupBy("lang", "gram").agg(F.sum("n").alias("n")).toArrow()  # GRAMS rows a language at most
+                names = list(dict.fromkeys(langs[r] for r in rows))
+                of = np.repeat(np.array([names.index(langs[r]) for r in rows]), np.diff([*starts, len(g)]))
+                codes, which = np.unique(g, return_inverse=True)
+                counts = np.bincount(of * len(codes) + which, minlength=len(names) * len(codes)).reshape(len(names), -1).astype(np.float64)
+                counts[:, codes == 0] = 0  # no letters, nothing told
+                for lo in range(0, len(codes), AT_ONCE):
+                    added = counts[:, lo : lo + AT_ONCE] @ gram_vectors(codes[lo : lo + AT_ONCE], dimensions, seed).astype(np.float64)
+                    for name, row in zip(names, added, strict=True):
+                        sums[name] = sums.get(name, 0) + row
+        for name, row in sums.items():
+            yield pa.RecordBatch.from_arrays([pa.array([name] * dimensions, pa.string()), pa.array(np.arange(dimensions, dtype=np.int32)), pa.array(np.rint(row).astype(np.int64))], ["lang", "i", "n"])
+
+    table = some.mapInArrow(bundle, "lang string, i int, n long").groupBy("lang", "i").agg(F.sum("n").alias("n")).toArrow()  # dimensions rows a language
     names = sorted(set(table["lang"].to_pylist()))
-    counts = np.zeros((len(names), GRAMS), np.float32)
+    prototypes = np.zeros((len(names), dimensions))
     place = {x: i for i, x in enumerate(names)}
-    counts[[place[x] for x in table["lang"].to_pylist()], table["gram"].to_numpy()] = table["n"].to_numpy()
-    counts[:, 0] = 0  # no letters, nothing told
-    return Profiles(names, products(counts, dimensions, seed))
+    prototypes[[place[x] for x in table["lang"].to_pylist()], table["i"].to_numpy()] = table["n"].to_numpy()
+    prototypes /= np.maximum(np.linalg.norm(prototypes, axis=1, keepdims=True), 1e-9)
+    return Profiles(names, prototypes.astype(np.float32), seed)
 
 
-def gram_vectors(first: int, dimensions: int, seed: int) -> np.ndarray:
-    """Vectors of all n-grams that begin with a symbol: bound permuted letter vectors."""
-    letters = np.random.default_rng(seed).choice(np.array([-1, 1], np.float32), (SYMBOLS, dimensions))
-    pair = np.roll(letters[first], 2)[None, :] * np.roll(letters, 1, axis=1)
-    return (pair[:, None, :] * letters[None, :, :]).reshape(-1, dimensions)
+_products: dict[bytes, Products] = {}
 
 
-def products(counts: np.ndarray, dimensions: int, seed: int) -> np.ndarray:
-    """Each n-gram's product with each unit prototype."""
-    step = SYMBOLS**2
-    prototypes = np.zeros((len(counts), dimensions), np.float32)
-    for a in range(SYMBOLS):
-        if counts[:, a * step : (a + 1) * step].any():
-            prototypes += counts[:, a * step : (a + 1) * step] @ gram_vectors(a, dimensions, seed)
-    prototypes /= np.maximum(np.linalg.norm(prototypes, axis=1, keepdims=True), 1e-9)
-    out = np.concatenate([gram_vectors(a, dimensions, seed) @ prototypes.T for a in range(SYMBOLS)])
-    out[0] = 0
-    return out.astype(np.float32)
+def remembered(profiles: Profiles) -> Products:
+    """A worker's products with these profiles, kept between tasks; those with others go."""
+    key = hashlib.sha256(profiles.prototypes.tobytes() + repr((profiles.languages, profiles.seed)).encode()).digest()
+    if key not in _products:
+        _products.clear()
+        _products[key] = Products(profiles)
+    return _products[key]
 
 
 def identify(docs: DataFrame, profiles: Profiles, *, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -143,16 +183,17 @@ def identify(docs: DataFrame, profiles: Profiles, *, id_col: str = "doc_id", tex
     ``score`` is the best language's share of the positive products.
     """
     spark, names = docs.sparkSession, profiles.languages
-    shared = spark.sparkContext.broadcast(profiles.products)  # GRAMS floats a language
+    shared = spark.sparkContext.broadcast(profiles)  # some thousand floats a language
 
     def tell(batch: pa.RecordBatch) -> pa.RecordBatch:
-        texts, table = batch.column(1).to_pylist(), shared.value
+        texts, products = batch.column(1).to_pylist(), remembered(shared.value)
         dots, letters = np.zeros((len(texts), max(len(names), 1))), np.zeros(len(texts), np.int64)
         for rows, parts in _packed(texts):
             g, starts, found = _grams(parts)
             np.add.at(letters, rows, found)
             if names:
-                np.add.at(dots, rows, np.add.reduceat(table[g], starts, axis=0, dtype=np.float64))
+                codes, which = np.unique(g, return_inverse=True)
+                np.add.at(dots, rows, np.add.reduceat(products.of(codes)[which], starts, axis=0, dtype=np.float64))
         best = dots.argmax(axis=1)
         up = np.maximum(dots, 0)
         share = np.divide(up[np.arange(len(texts)), best], up.sum(axis=1), out=np.zeros(len(texts)), where=up.sum(axis=1) > 0)
