@@ -88,6 +88,68 @@ def test_prefix_sums_over_partitions(spark):
     assert all(r.s == r.id * (r.id + 1) // 2 and r.top == r.id and r.k == r.id + 1 for r in got) and len(got) == 1000
 
 
+def test_prefix_sums_with_a_wide_payload(spark, sf):
+    """Every row, a number for each, and the total, whatever the partitions; neighbours' shares meet at one number."""
+    rows = spark.read.parquet(f"{sf.replace('0.001', '0.1')}/lineitem.parquet").limit(210_000).withColumn("id", F.monotonically_increasing_id()).withColumn("extra", F.repeat(F.lit("payload "), 9)).cache()
+    n, total = rows.agg(F.count("*"), F.sum("l_extendedprice")).first()
+    before = spark.conf.get("spark.sql.shuffle.partitions")
+    try:
+        for parts in ("4", "200"):
+            spark.conf.set("spark.sql.shuffle.partitions", parts)
+            got = prefix.running(rows, [F.col("l_extendedprice").desc(), F.col("id")], {"s": F.col("l_extendedprice"), "q": F.col("l_linenumber")}, largest={"top": F.col("l_quantity")}, number="k", lower=True).cache()
+            r = got.agg(F.count("*"), F.countDistinct("k"), F.max("k"), F.max("s"), F.max("top"), F.max("q"), F.min("s_lower")).first()
+            want = rows.agg(F.max("l_quantity"), F.sum("l_linenumber")).first()
+            assert r[:3] == (n, n, n) and r[3] == pytest.approx(total) and r[4] == want[0] and r[5] == want[1] and r[6] == 0
+            nxt = got.select((F.col("k") - 1).alias("k"), F.col("s_lower").alias("from"))
+            assert got.join(nxt, "k").where("s <> `from`").count() == 0
+            assert set(rows.columns) <= set(got.columns)
+            assert race.big_top_m(race.with_race_key(rows.select("id", "l_extendedprice"), weight="l_extendedprice", id_cols=["id"]), 70_000, ["id"]).agg(F.count("*"), F.max("position")).first()[:] == (70_000, 70_000)
+            got.unpersist()
+    finally:
+        spark.conf.set("spark.sql.shuffle.partitions", before)
+        rows.unpersist()
+
+
+def test_large_samples_of_strata(spark, sf):
+    """Above Spark's own rank cut every task cuts its strata; the sample is that of the plain ranks."""
+    rows = spark.read.parquet(f"{sf.replace('0.001', '0.01')}/lineitem.parquet").withColumn("id", F.monotonically_increasing_id()).repartition(5, "id")
+    got = race.race_by_group(rows, 1500, ["l_returnflag"], weight="l_quantity", id_cols=["id"])
+    keyed = race.with_race_key(rows, weight="l_quantity", id_cols=["id"])
+    cut = race.surviving(keyed, 1500, ["l_returnflag"])
+    assert cut.count() < rows.count() / 2
+    want = {}
+    for r in keyed.select("l_returnflag", "id", race.KEY).collect():
+        want.setdefault(r.l_returnflag, []).append((r[race.KEY], r.id))
+    assert {(r.l_returnflag, r.id, r.position) for r in got.collect()} == {(g, i, k) for g, v in want.items() for k, (_, i) in enumerate(sorted(v)[:1500], 1)}
+
+
+def test_first_items_hold_slots(spark):
+    """Two items of weights 100 and 1: the first has its share of the slots, by every method."""
+    df = items(spark, [100, 1])
+    for method in ("race_jump", "proportional_jump", "lookup", "race", "proportional"):
+        m = 400 if method in ("race", "proportional") else 3000
+        held = replacement.replacement_sample(df, m, weight="w", id_cols=["item"], method=method, seed=3).groupBy("item").count().collect()
+        n = {r.item: r["count"] for r in held}
+        assert n[0] + n.get(1, 0) == m and abs(n.get(1, 0) - m / 101) < 4.5 * (m / 101) ** 0.5 + 1, (method, n)
+
+
+def test_empty_tables(spark):
+    none = items(spark, [1]).limit(0)
+    assert baselines.systematic_sample(none.withColumn("c", F.lit(1)), 3, units=F.col("c"), id_cols=["item"]).count() == 0
+    assert baselines.sequential_draw(none, 2, weight="w", id_cols=["item"]).count() == 0
+    assert inclusion.draw_inclusion(none, 3, weight="w", id_cols=["item"]).count() == 0
+    assert replacement.single_slot_jump(none, weight="w", id_cols=["item"]).count() == 0
+    assert proportional.by_group(none, 2, ["item"], weight="w", id_cols=["item"]).count() == 0
+    for method in ("race_jump", "proportional_jump", "lookup", "proportional"):
+        assert replacement.replacement_sample(none, 5, weight="w", id_cols=["item"], method=method).count() == 0
+
+
+def test_trace_of_pins(spark):
+    """An item is overweight, and released by later ones."""
+    got = {r.k: r.n_overweight for r in inclusion.overweight_trace(items(spark, [1, 1, 1, 4, 3, 9]), 2, [3, 4, 5, 6], weight="w", order=["item"]).collect()}
+    assert got == {3: 0, 4: 1, 5: 0, 6: 0}
+
+
 def test_distributed_inclusion_frequencies(spark):
     w, m, n = [8.0, 1.0, 1.0, 1.0, 9.0, 2.0, 3.0, 3.0], 3, 60
     df = items(spark, w).repartition(4, "item").cache()
@@ -168,6 +230,23 @@ def test_stream_restart_duplicates_and_prefixes(spark, sf, tmp_path):
     assert reservoir.prefilter(keyed, bound).count() == 20
 
 
+def test_reservoir_goes_on_in_a_new_object(spark, sf, tmp_path):
+    """A new object a batch, a batch that was cut short, a batch again, and rows twice in a batch."""
+    events = spark.read.parquet(f"{sf}/events.parquet").where("value > 0")
+    make = lambda: reservoir.StreamingRace(spark, 20, weight="value", id_cols=["event_id"], folder=str(tmp_path / "state"))
+    parts = [events.where(F.col("event_id") % 4 == i) for i in range(4)]
+    for batch, rows in enumerate(parts):
+        make().foreach(rows.union(rows), batch)
+    broken = tmp_path / "state" / "reservoir" / "batch=9"
+    broken.mkdir()
+    make().foreach(parts[3], 3)
+    want = {(r.event_id, r.position) for r in race.race_sample(events, 20, weight="value", id_cols=["event_id"]).collect()}
+    assert {(r.event_id, r.position) for r in make().sample().collect()} == want and make().batches() == [0, 1, 2, 3]
+    make().read(3).withColumn("version", F.lit(reservoir.VERSION + 1)).write.parquet(make().path(5))
+    with pytest.raises(ValueError, match="layout"):
+        make().sample()
+
+
 def test_population_source_and_files(spark, tmp_path):
     population.register(spark)
     load = lambda parts: spark.read.format("weighted_population").option("rows", 150_000).option("partitions", parts).load()
@@ -200,5 +279,7 @@ def test_late_rows_do_not_reopen_windows(spark, tmp_path):
     stream = spark.readStream.schema(schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
     found = []
     out = reservoir.window_winner(stream, weight="value", id_col="event_id", time="ts", width="1 day").writeStream.outputMode("append").foreachBatch(lambda df, b: found.extend(df.collect()))
-    out.option("checkpointLocation", str(tmp_path / "log")).trigger(availableNow=True).start().awaitTermination()
+    run = out.option("checkpointLocation", str(tmp_path / "log")).trigger(availableNow=True).start()
+    run.awaitTermination()
+    assert reservoir.late_rows(run) >= 1
     assert {r.event_id for r in found} <= {1, 2, 3} and {r.event_id for r in found} & {1, 2}

@@ -30,7 +30,7 @@ def rows(df):
 
 
 def test_twins_name_queries():
-    assert set(oracles.SQL) <= set(workloads.QUERIES) and set(workloads.QUERIES) - set(oracles.SQL) == {"spark_sample_contrast", "weight_sketches"}
+    assert set(oracles.SQL) <= set(workloads.QUERIES) and set(workloads.QUERIES) - set(oracles.SQL) == {"spark_sample_contrast", "weight_sketches", "role_gap_m10"}
 
 
 @pytest.mark.parametrize("name", sorted(oracles.SQL))
@@ -57,13 +57,18 @@ def test_golden_winners(spark, sf):
 
 
 def test_frequencies_of_all_suppliers(spark, sf):
-    hits = {r.s_suppkey: r.hits for r in workloads.QUERIES["freq_all_suppliers"](spark, sf.replace("0.001", "0.01")).collect()}
+    hits = {r.s_suppkey: r.hits for r in workloads.QUERIES["freq_supplier"](spark, sf.replace("0.001", "0.01")).collect()}
     every = spark.read.parquet(f"{sf.replace('0.001', '0.01')}/supplier.parquet").where("s_acctbal > 0").collect()
     assert set(hits) == {r.s_suppkey for r in every} and max(hits) >= 20 and sum(hits.values()) == 2 * 500
 
 
 def test_trace_reaches_the_whole_table(spark, sf):
     sf = sf.replace("0.001", "0.1")
-    got = {r.k: r.n_overweight for r in workloads.QUERIES["overweight_trace_all_documents"](spark, sf).collect()}
+    got = {r.k: r.n_overweight for r in workloads.QUERIES["overweight_trace_documents"](spark, sf).collect()}
     n = spark.read.parquet(f"{sf}/documents.parquet").where("n_chars > 0").count()
     assert max(got) == n > 2000 and len([k for k in got if k > 2000]) >= 7
+
+
+def test_role_gap_at_ten_draws(spark, sf):
+    gaps = {r.n: r.gap_ppm for r in workloads.QUERIES["role_gap_m10"](spark, sf.replace("0.001", "0.01")).collect()}
+    assert len(gaps) == 3 and [gaps[n] for n in sorted(gaps)] == sorted(gaps.values(), reverse=True)

@@ -212,3 +212,46 @@ def test_expansion_is_not_replacement():
         for i in {a // 2, b // 2}:
             p[i] += chance
     assert abs(p[2] - (1 - (2 / 6) ** 2)) > 0.01
+
+
+def test_jumps_after_ageing():
+    """After ageing by c, an item that comes next is taken as often as the plain sampler takes it."""
+    for c, w in ((0.01, 1.0), (0.5, 3.0)):
+        taken = {}
+        for kind in (S.RaceSampler, S.RaceJumpSampler):
+            n = 0
+            for seed in range(1500):
+                s = kind(1, S.keyed_rng(seed, 5))
+                s.offer([0, 1], np.array([1.0, 1.0]))
+                s.age(c)
+                s.offer([2], np.array([w]))
+                n += s.snapshot()[0].item == 2
+            taken[kind.__name__] = n / 1500
+        p = w / (w + 2 * c)
+        assert all(abs(x - p) < 4.5 * (p * (1 - p) / 1500) ** 0.5 for x in taken.values()), (taken, p)
+
+
+def test_slots_with_jumps_follow_the_weights():
+    w, m = np.array([5.0, 1, 2, 8, 3, 3, 1e-3]), 20_000
+    slots = S.SlotRaces(m, S.keyed_rng(3))
+    slots.offer(w[:2])
+    slots.offer(w[2:2])
+    slots.offer(w[2:])
+    hits, p = np.bincount(slots.item, minlength=7), w / w.sum()
+    assert (abs(hits - m * p) < 4.5 * np.sqrt(m * p * (1 - p)) + 1).all() and slots.draws < m * 3 * 7
+
+
+def test_engines_of_the_bounded_chain_agree():
+    w = np.array([5.0, 1, 2, 8, 3])
+    counts = {}
+    for engine in ("race", "proportional"):
+        hits = np.zeros((3, 5))
+        for seed in range(3000):
+            s = S.BoundedSampler(3, 1, S.keyed_rng(seed, 1), engine=engine)
+            s.offer(range(5), w)
+            kept = [e.item for e in s.snapshot()]
+            assert len(set(kept)) == 3
+            for j, i in enumerate(kept):
+                hits[j, i] += 1
+        counts[engine] = hits / 3000
+    assert abs(counts["race"] - counts["proportional"]).max() < 0.06 and abs(counts["proportional"][0] - w / w.sum()).max() < 0.045

@@ -29,6 +29,7 @@ def sequential_draw(df: DataFrame, m: int, *, weight: Column | str, id_cols: Seq
             break
         sums = running(left, order_by or list(id_cols), {"__run": F.col("__w")})
         hit = sums.where(F.col("__run") > F.lit(u * total)).orderBy("__run").select(*id_cols).first()
+        hit = hit or sums.orderBy(F.desc("__run")).select(*id_cols).first()  # the product may round up to the total
         drawn.append((r, *hit))
         left = left.where(~_same(id_cols, hit))
     kinds = ", ".join(f"`{c}` {df.schema[c].dataType.simpleString()}" for c in id_cols)
@@ -48,9 +49,10 @@ def expanded_sample(df: DataFrame, m: int, *, weight: Column | str, id_cols: Seq
     return race_sample(many, m, weight=weight, id_cols=[*id_cols, "copy"], **kw).select(*id_cols, "copy", "position")
 
 
-def poisson_sample(df: DataFrame, m: int, *, weight: Column | str, id_cols: Sequence[str], seed: int = 0, tag: str = "poisson", source: str = "xxhash", on_bad_weight: str = "error") -> DataFrame:
-    """Items kept on their own with their inclusion chance: m of them on average; a filter once the threshold is known."""
-    tau, _ = threshold(df, m, weight=weight, on_bad_weight=on_bad_weight)
+def poisson_sample(df: DataFrame, m: int, *, weight: Column | str, id_cols: Sequence[str], seed: int = 0, tag: str = "poisson", source: str = "xxhash", on_bad_weight: str = "error", tau: float | None = None) -> DataFrame:
+    """Items kept on their own with their inclusion chance: m of them on average; a filter once the threshold is known (or given)."""
+    if tau is None:
+        tau, _ = threshold(df, m, weight=weight, on_bad_weight=on_bad_weight)
     good, w = positive_weight(df, weight, on_bad_weight=on_bad_weight)
     return good.where(keyed_uniform(list(id_cols), seed=seed, tag=tag, source=source) * F.lit(tau) < w)
 
@@ -58,6 +60,8 @@ def poisson_sample(df: DataFrame, m: int, *, weight: Column | str, id_cols: Sequ
 def systematic_sample(df: DataFrame, m: int, *, units: Column, id_cols: Sequence[str], order_by: Sequence[str] | None = None, seed: int = 0, tag: str = "grid") -> DataFrame:
     """Items over which the running sum of integer ``units`` crosses one of m evenly spaced points: exactly m, if none is overweight."""
     total = df.agg(F.sum(units)).first()[0]
+    if not total or m <= 0:
+        return df.limit(0)
     u = int(slot_uniforms(1, seed, tag)[0] * total)
     sums = running(df.withColumn("__c", units), order_by or list(id_cols), {"__csum": F.col("__c")})
     crossed = lambda c: F.floor((c.cast("decimal(20,0)") * F.lit(m) + F.lit(u).cast("decimal(20,0)")) / F.lit(total).cast("decimal(20,0)"))

@@ -15,6 +15,7 @@ from pyspark.sql import functions as F
 
 from wsample.functions.randomness import keyed_uniform
 from wsample.functions.weights import positive_weight
+from wsample.operators.race import group_limit, surviving
 from wsample.samplers import BoundedSampler
 
 
@@ -26,11 +27,15 @@ def slot_candidates(df: DataFrame, m: int, *, weight: Column | str, id_cols: Seq
     keyed = each.withColumn("e", -F.ln(keyed_uniform([*id_cols, "slot"], seed=seed, tag=tag, source=source)) / F.col("w"))
     ranked = keyed.withColumn("r", F.row_number().over(Window.partitionBy("slot").orderBy("e", *id_cols)))
     most = (m - 1) // least_k + 1
+    if most > group_limit(df):
+        keyed = surviving(keyed, most, ["slot"], key="e")
+        ranked = keyed.withColumn("r", F.row_number().over(Window.partitionBy("slot").orderBy("e", *id_cols)))
     return ranked.where(F.col("r") <= most).where(F.col("r") <= F.floor((F.col("slot") - 1) / least_k) + 1)
 
 
-def bounded_sample(df: DataFrame, m: int, *, weight: Column | str, id_cols: Sequence[str], k: int | Column = 2, method: str = "candidates", seed: int = 0, tag: str = "bound", source: str = "xxhash", on_bad_weight: str = "error") -> DataFrame:
-    """(slot, ids, copy_no).  ``candidates`` resolves at most m(m + 1) / 2 keys; ``pipeline`` runs the chain of samplers in one task.
+def bounded_sample(df: DataFrame, m: int, *, weight: Column | str, id_cols: Sequence[str], k: int | Column = 2, method: str = "candidates", seed: int = 0, tag: str = "bound", source: str = "xxhash", on_bad_weight: str = "error", engine: str = "race") -> DataFrame:
+    """(slot, ids, copy_no).  ``candidates`` resolves at most m(m + 1) / 2 keys; ``pipeline`` runs the chain of samplers in one task,
+    samplers of one by the ``engine``: race or proportional.
 
     With k of m it is sampling with replacement, with k of 1 the draw role.  Slots that nobody may take are left out.
     """
@@ -40,7 +45,9 @@ def bounded_sample(df: DataFrame, m: int, *, weight: Column | str, id_cols: Sequ
     if m <= 0 or least <= 0:
         return df.sparkSession.createDataFrame([], schema)
     if method == "pipeline":
-        return _pipeline(df, m, weight, list(id_cols), k, seed, tag, source, on_bad_weight, schema)
+        return _pipeline(df, m, weight, list(id_cols), k, seed, tag, source, on_bad_weight, schema, engine)
+    if engine != "race":
+        raise ValueError("other engines need the pipeline")
     found = slot_candidates(df, m, weight=weight, id_cols=id_cols, k=k, seed=seed, tag=tag, source=source, on_bad_weight=on_bad_weight, least_k=least)
 
     def resolve(batches):
@@ -63,13 +70,13 @@ def bounded_sample(df: DataFrame, m: int, *, weight: Column | str, id_cols: Sequ
     return found.select("slot", "e", "k", *id_cols).repartition(1).sortWithinPartitions("slot", "e", *id_cols).mapInArrow(resolve, schema)
 
 
-def _pipeline(df, m, weight, id_cols, k, seed, tag, source, on_bad_weight, schema):
+def _pipeline(df, m, weight, id_cols, k, seed, tag, source, on_bad_weight, schema, engine):
     good, w = positive_weight(df, weight, on_bad_weight=on_bad_weight)
     u = F.array(*[keyed_uniform([*id_cols, F.lit(j)], seed=seed, tag=tag, source=source) for j in range(1, m + 1)])
     rows = good.select(*id_cols, w.alias("__w"), (F.lit(k) if isinstance(k, int) else k).cast("int").alias("__k"), u.alias("__u"))
 
     def chain(batches):
-        sampler, kinds = BoundedSampler(m), None
+        sampler, kinds = BoundedSampler(m, engine=engine), None
         for batch in batches:
             kinds = [batch.schema.field(c).type for c in id_cols]
             ids = list(zip(*(batch.column(c).to_pylist() for c in id_cols), strict=True))

@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from wsample.functions.weights import positive_weight
+from wsample.operators.prefix import running
 
 
 def threshold(df: DataFrame, m: int, *, weight: Column | str, on_bad_weight: str = "error") -> tuple[float, int]:
@@ -101,6 +102,8 @@ def large_n_time(df: DataFrame, m: int, *, weight: Column | str, bins: int = 512
     """Time by which m items have finished on average, from a histogram of log weights: one aggregate of ``bins`` rows."""
     good, w = positive_weight(df, weight)
     span = good.agg(F.min(w), F.max(w)).first()
+    if span[0] is None:
+        return float("inf")
     lo, hi = np.log(span[0]), np.log(span[1])
     step = max((hi - lo) / bins, 1e-12)
     table = good.groupBy(F.floor((F.log(w) - F.lit(lo)) / F.lit(step)).alias("b")).agg(F.count("*").alias("n"), F.sum(w).alias("s")).collect()
@@ -137,13 +140,35 @@ def draw_inclusion(df: DataFrame, m: int, *, weight: Column | str, id_cols: list
     return df.sparkSession.createDataFrame(made, schema)
 
 
+def heavy_count(heaviest: list[float], rest: float, m: int) -> int:
+    """How many of the heaviest m weights, in falling order, are overweight; ``rest`` is the total of all."""
+    for pinned, x in enumerate(heaviest):
+        if (m - pinned) * x <= rest:
+            return pinned
+        rest -= x
+    return len(heaviest)
+
+
 def overweight_trace(df: DataFrame, m: int, ks: list[int], *, weight: Column | str, order: list[str]) -> DataFrame:
-    """(k, n_overweight): items overweight among the first k, for each given prefix; a heap of the m heaviest suffices a prefix."""
+    """(k, n_overweight): items overweight among the first k, for each given prefix.
+
+    The rows between two neighbouring prefixes give one total and their m heaviest weights, by aggregates; the prefixes then
+    follow from len(ks) totals and m * len(ks) weights.  No task sees the table, and no row is looked at for each prefix.
+    """
     good, w = positive_weight(df, weight)
-    numbered = good.select(F.row_number().over(Window.orderBy(*order)).alias("i"), w.alias("w"))
-    cut = good.sparkSession.createDataFrame([(k,) for k in ks], "k int")
-    pairs = numbered.join(F.broadcast(cut), F.col("i") <= F.col("k"))
-    by = Window.partitionBy("k").orderBy(F.desc("w"), "i")
-    ranked = pairs.select("k", "w", F.row_number().over(by).alias("r"), F.sum("w").over(Window.partitionBy("k")).alias("total"), F.sum("w").over(by.rowsBetween(Window.unboundedPreceding, -1)).alias("above"))
-    rest = F.col("total") - F.coalesce("above", F.lit(0.0))
-    return ranked.groupBy("k").agg(F.count(F.when((F.col("r") <= m) & ((m - F.col("r") + 1) * F.col("w") > rest), 1)).cast("int").alias("n_overweight"))
+    edges = sorted(set(ks))
+    numbered = running(good.select(*order, w.alias("__w")), order, {}, number="__i").where(F.col("__i") <= F.lit(edges[-1] if edges else 0))
+    block = F.lit(0)
+    for k in edges:
+        block = block + (F.col("__i") > F.lit(k)).cast("int")
+    rows = numbered.select(block.alias("b"), "__w")
+    totals = {r["b"]: r["t"] for r in rows.groupBy("b").agg(F.sum("__w").alias("t")).collect()}  # a row a prefix
+    ranked = rows.withColumn("r", F.row_number().over(Window.partitionBy("b").orderBy(F.desc("__w"))))
+    heavy: dict[int, list[float]] = {}
+    for r in ranked.where(F.col("r") <= m).select("b", "__w").collect():  # m rows a prefix
+        heavy.setdefault(r["b"], []).append(r["__w"])
+    made, top, total = [], [], 0.0
+    for b, k in enumerate(edges):
+        top, total = sorted([*top, *heavy.get(b, [])], reverse=True)[:m], total + totals.get(b, 0.0)
+        made.append((k, heavy_count(top, total, m)))
+    return good.sparkSession.createDataFrame(made, "k int, n_overweight int")

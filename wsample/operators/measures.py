@@ -6,12 +6,14 @@ import time
 from collections.abc import Callable, Sequence
 
 import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from wsample.functions.randomness import keyed_uniform
-from wsample.operators.inclusion import draw_inclusion_m2, inclusion_probabilities
+from wsample.operators.inclusion import draw_inclusion, draw_inclusion_m2, inclusion_probabilities
 from wsample.operators.prefix import running
+from wsample.samplers import keyed_rng
 
 
 def time_runs(make: Callable[[], DataFrame], runs: int = 100) -> dict:
@@ -38,15 +40,57 @@ def inclusion_frequency(df: DataFrame, m: int, reps: int, *, weight: Column | st
     return best.groupBy(*id_cols).agg(F.count(F.when(F.col("r") <= m, 1)).alias("hits"))
 
 
+def law_frequencies(df: DataFrame, m: int, reps: int, *, weight: Column | str, id_cols: Sequence[str], kinds: dict[str, Callable], seed: int = 0, tasks: int = 16) -> DataFrame:
+    """(sampler, item, hits): how often each of several samplers has each item over ``reps`` runs; for small tables.
+
+    ``kinds`` name functions of (weights, m, generator) that give the numbers of the sampled items.
+    """
+    w = F.col(weight) if isinstance(weight, str) else weight
+    rows = small(df).select(F.struct(*id_cols).alias("item"), w.cast("double").alias("w")).orderBy("item").toArrow()  # MOST_ITEMS rows
+    weights = rows["w"].to_numpy()
+    shared = df.sparkSession.sparkContext.broadcast(weights)
+
+    def run(batches):
+        for batch in batches:
+            names, reps_of = batch.column(0).to_pylist(), batch.column(1).to_pylist()
+            counts = {name: np.zeros(len(shared.value), np.int64) for name in names}
+            for name, rep in zip(names, reps_of, strict=True):
+                np.add.at(counts[name], np.asarray(kinds[name](shared.value, m, keyed_rng(seed, rep)), np.int64), 1)
+            for name, n in counts.items():
+                yield pa.RecordBatch.from_arrays([pa.array([name] * len(n)), pa.array(np.arange(len(n))), pa.array(n)], ["sampler", "i", "hits"])
+
+    each = df.sparkSession.range(reps, numPartitions=tasks).select(F.explode(F.array(*[F.lit(k) for k in kinds])).alias("sampler"), "id")
+    hits = each.mapInArrow(run, "sampler string, i long, hits long").groupBy("sampler", "i").agg(F.sum("hits").alias("hits"))
+    items = df.sparkSession.createDataFrame(pa.table({"i": pa.array(np.arange(len(weights))), "item": rows["item"].combine_chunks() if rows.num_rows else rows["item"]}))
+    return hits.join(items, "i").select("sampler", "item", "hits")
+
+
+def beyond(hits: Column | str, runs: int, p: Column | str, *, sigmas: float = 4.5, slack: float = 3.0) -> Column:
+    """Whether a count of hits is off its expectation by more than so many deviations and a few hits (for rare items)."""
+    hits, p = (F.col(x) if isinstance(x, str) else x for x in (hits, p))
+    return F.abs(hits - runs * p) > sigmas * F.sqrt(F.greatest(runs * p * (1 - p), F.lit(0.0))) + slack
+
+
 def z_scores(hits: DataFrame, reps: int, chance: Column | str = "inclusion_prob") -> DataFrame:
     p = F.col(chance) if isinstance(chance, str) else chance
     return hits.withColumn("z", (F.col("hits") - reps * p) / F.sqrt(F.greatest(reps * p * (1 - p), F.lit(1e-12))))
 
 
+#: Measures over all pairs of items are for small tables.
+MOST_ITEMS = 20_000
+
+
+def small(df: DataFrame) -> DataFrame:
+    """The frame, if it has at most MOST_ITEMS rows."""
+    if df.limit(MOST_ITEMS + 1).count() > MOST_ITEMS:
+        raise ValueError(f"a measure over all pairs takes at most {MOST_ITEMS} items")
+    return df
+
+
 def pair_order_rate(df: DataFrame, *, weight: Column | str, id_cols: Sequence[str], seed: int = 0, tag: str = "race", source: str = "xxhash") -> DataFrame:
     """(n_pairs, n_ordered, expected): pairs of items (for small tables), how many the first wins, and the law's sum of weight shares."""
     w = (F.col(weight) if isinstance(weight, str) else weight).cast("double")
-    keyed = df.select(F.struct(*id_cols).alias("i"), w.alias("w"), (-F.ln(keyed_uniform(list(id_cols), seed=seed, tag=tag, source=source)) / w).alias("e"))
+    keyed = small(df).select(F.struct(*id_cols).alias("i"), w.alias("w"), (-F.ln(keyed_uniform(list(id_cols), seed=seed, tag=tag, source=source)) / w).alias("e"))
     a, b = keyed.alias("a"), keyed.alias("b")
     return a.join(b, F.col("a.i") < F.col("b.i")).agg(F.count("*").alias("n_pairs"), F.count(F.when(F.col("a.e") < F.col("b.e"), 1)).alias("n_ordered"), F.sum(F.col("a.w") / (F.col("a.w") + F.col("b.w"))).alias("expected"))
 
@@ -59,6 +103,14 @@ def role_gap_m2(df: DataFrame, *, weight: Column | str, id_cols: list[str]) -> D
     return incl.join(draw, id_cols).agg(F.count("*").alias("n"), F.max(gap).alias("max_gap"), F.sum(gap).alias("total_gap"))
 
 
+def role_gap(df: DataFrame, m: int, *, weight: Column | str, id_cols: list[str], method: str) -> DataFrame:
+    """(n, max_gap, total_gap) between the two roles' chances at m draws; ``method`` is that of the draw role."""
+    incl = inclusion_probabilities(df, m, weight=weight).select(*id_cols, "inclusion_prob")
+    draw = draw_inclusion(df, m, weight=weight, id_cols=id_cols, method=method).select(*id_cols, F.col("inclusion_prob").alias("draw_prob"))
+    gap = F.abs(F.col("inclusion_prob") - F.col("draw_prob"))
+    return incl.join(draw, id_cols).agg(F.count("*").alias("n"), F.max(gap).alias("max_gap"), F.sum(gap).alias("total_gap"))
+
+
 def expected_insertions(df: DataFrame, m: int, *, weight: Column | str, order_by: Sequence[str]) -> DataFrame:
     """(n, expected): acceptances of the inclusion role over an order, the sum of min(1, m * weight / running weight)."""
     w = (F.col(weight) if isinstance(weight, str) else weight).cast("double")
@@ -67,10 +119,12 @@ def expected_insertions(df: DataFrame, m: int, *, weight: Column | str, order_by
 
 
 def plan_cost(df: DataFrame) -> dict:
-    """Exchanges, sorts, Python nodes and broadcasts of the physical plan, and its whole-stage spans."""
+    """Exchanges, sorts, Python nodes, broadcasts and whole-stage spans of the physical plan, and the optimizer's bytes and rows."""
+    stats = df._jdf.queryExecution().optimizedPlan().stats()
     text = df._jdf.queryExecution().executedPlan().toString()
     count = lambda *names: sum(text.count(x) for x in names)
-    return {"exchanges": count("Exchange "), "sorts": count("Sort ["), "python": count("InArrow", "InPandas", "PythonUDF"), "top_k": count("TakeOrderedAndProject"), "group_limits": count("WindowGroupLimit"), "broadcasts": count("BroadcastExchange"), "text": text}
+    return {"exchanges": count("Exchange "), "sorts": count("Sort ["), "python": count("InArrow", "InPandas", "PythonUDF"), "top_k": count("TakeOrderedAndProject"), "group_limits": count("WindowGroupLimit"), "broadcasts": count("BroadcastExchange"), "spans": text.count("WholeStageCodegen") or text.count("*("), "bytes": int(str(stats.sizeInBytes())), "rows": int(str(stats.rowCount().get())) if stats.rowCount().isDefined() else None, "text": text}
+
 
 
 def prefix_check(batches: DataFrame, population: DataFrame, sample: Callable[[DataFrame], DataFrame], *, batch: str, order: str, ids: Sequence[str], last: dict[int, object]) -> DataFrame:

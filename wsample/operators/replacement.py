@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import hashlib
 import zlib
 from collections.abc import Sequence
 
@@ -97,11 +98,13 @@ def _points(steps: DataFrame, points: np.ndarray, id_cols: list[str], *, closed:
     return steps.select("__run_lower", "__run", *id_cols).mapInArrow(search, f"slot int, {kinds}")
 
 
+def slot_uniform(j: int, seed: int, tag: str) -> float:
+    return (int(hashlib.md5(f"{seed}|{tag}|{j}".encode()).hexdigest()[:13], 16) + 0.5) / 2**52
+
+
 def slot_uniforms(m: int, seed: int, tag: str) -> list[float]:
     """The keyed uniforms of slots alone, as the md5 source gives them."""
-    import hashlib
-
-    return [(int(hashlib.md5(f"{seed}|{tag}|{j}".encode()).hexdigest()[:13], 16) + 0.5) / 2**52 for j in range(1, m + 1)]
+    return [slot_uniform(j, seed, tag) for j in range(1, m + 1)]
 
 
 def _ends(steps: DataFrame) -> tuple[float, float] | None:
@@ -145,3 +148,17 @@ def _proportional_jump(df, m, id_cols, order, seed, tag, source):
     if ends is None:
         return _none(df, id_cols)
     return _points(steps, jump_points(m, *ends, keyed_rng(seed, zlib.crc32(tag.encode()))), id_cols, closed="upper")
+
+
+def single_slot_jump(df: DataFrame, *, weight: Column | str, id_cols: Sequence[str], order_by: Sequence[Column | str] | None = None, seed: int = 0, tag: str = "jump", on_bad_weight: str = "error") -> DataFrame:
+    """(ids): the single-slot inclusion-role sampler with jumps, from keyed uniforms; the r-th jump divides by the r-th."""
+    good, w = positive_weight(df, weight, on_bad_weight=on_bad_weight)
+    ids = list(id_cols)
+    steps = _sums(good.withColumn("__w", w), ids, list(order_by or ids))
+    ends = _ends(steps)
+    if ends is None:
+        return df.select(*ids).limit(0)
+    at, r = ends[0], 1
+    while (more := at / slot_uniform(r, seed, tag)) <= ends[1]:
+        at, r = more, r + 1
+    return steps.where((F.col("__run_lower") < F.lit(at)) & (F.lit(at) <= F.col("__run"))).select(*ids)

@@ -61,11 +61,14 @@ SQL["race_props_weight"] = top("(SELECT event_id, 1 + CAST(json_extract_string(p
 SQL["race_embeddings"] = top("embeddings", "vec_id", "1 + label", 20)
 SQL["uniform_orders"] = top("orders", "o_orderkey", "1.0", 50)
 SQL["race_grid_counts"] = f"WITH p AS (SELECT o_orderkey, -ln({keyed('o_orderkey')}) / o_totalprice AS e, row_number() OVER (ORDER BY {hashed('o_orderkey', 'prefix')}, o_orderkey) AS k FROM orders) " + " UNION ALL ".join(
-    f"SELECT {m} AS m, {n} AS n, count(*) AS n_sample, CAST(sum(o_orderkey) AS BIGINT) AS id_checksum FROM (SELECT o_orderkey FROM p WHERE k <= {n} ORDER BY e, o_orderkey LIMIT {m})" for m, n in itertools.product((50, 150, 450, 750), (1000, 3000, 6000))
+    f"SELECT {m} AS m, {n} AS n, count(*) AS n_sample, CAST(sum(o_orderkey) AS BIGINT) AS id_checksum FROM (SELECT o_orderkey FROM p WHERE k <= {n} ORDER BY e, o_orderkey LIMIT {m})" for m, n in itertools.product(range(50, 751, 100), range(1000, 6001, 1000))
 )
 SQL["race_by_returnflag"] = grouped(LINES, "l_returnflag", LINE_IDS, "l_quantity", 20)
 SQL["ads_ranked_slots"] = grouped("customer", "c_mktsegment", "c_custkey", "c_acctbal", 5, POSITIVE_C)
 SQL["ads_uniform"] = grouped("customer", "c_mktsegment", "c_custkey", "1.0", 5, POSITIVE_C)
+SQL["ads_by_type"] = grouped("part", "p_type", "p_partkey", "p_retailprice", 5)
+SQL["ads_by_type_equal_slots"] = "SELECT p_type, least(5, count(*)) AS n, least(5, count(*)) AS n_distinct, least(5, count(*)) AS n_in_population FROM part GROUP BY p_type"
+SQL["range_race"] = top(LINES, LINE_IDS, "l_extendedprice", 50, where="l_quantity BETWEEN 10 AND 20")
 REGIONS = "(SELECT * FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey)"
 SQL["stratified_race_region"] = grouped(REGIONS, "r_name", "c_custkey", "c_acctbal", 10, POSITIVE_C)
 for name in ("race_jump_orders", "uniform_jump_orders", "prop_distributed_orders", "prop_sequential_orders", "prop_jump_orders"):
@@ -83,14 +86,9 @@ def thresholded(source: str, ids: str, weight: str, m: int) -> str:
 
 DOCS = "(SELECT * FROM documents WHERE n_chars > 0)"
 SQL["inclusion_documents"] = f"WITH {thresholded(DOCS, 'doc_id', 'n_chars', 50)} SELECT doc_id, CAST(round(CASE WHEN tau = 0 THEN 1 ELSE least(1.0, w / tau) END * 1e6) AS BIGINT) AS pi_ppm, w > tau AS is_overweight FROM r, t"
-SQL["overweight_documents"] = f"WITH {thresholded(DOCS, 'doc_id', 'n_chars', 50)} SELECT doc_id FROM r, t WHERE w > tau"
-SQL["prop_documents_pinned"] = f"WITH {thresholded(DOCS, 'doc_id', 'n_chars', 50)} SELECT least(50, any_value(n)) AS n, least(50, any_value(n)) AS n_distinct, count(*) FILTER (w > tau) AS n_pinned_present FROM r, t"
+SQL["overweight_documents"] = f"WITH {thresholded(DOCS, 'doc_id', 'n_chars', 200)} SELECT doc_id FROM r, t WHERE w > tau"
+SQL["prop_documents_pinned"] = f"WITH {thresholded(DOCS, 'doc_id', 'n_chars', 200)} SELECT least(200, any_value(n)) AS n, least(200, any_value(n)) AS n_distinct, count(*) FILTER (w > tau) AS n_pinned_present FROM r, t"
 SQL["overweight_trace_documents"] = f"""
-WITH d AS (SELECT CAST(n_chars AS DOUBLE) AS w, row_number() OVER (ORDER BY doc_id) AS i FROM {DOCS}), c AS (SELECT unnest([60, 100, 150, 200, 300, 500, 700, 900, 1000, 2000]) AS k),
-r AS (SELECT k, w, row_number() OVER (PARTITION BY k ORDER BY w DESC, i) AS r, sum(w) OVER (PARTITION BY k) - coalesce(sum(w) OVER (PARTITION BY k ORDER BY w DESC, i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS rest FROM d JOIN c ON i <= k)
-SELECT CAST(k AS INTEGER) AS k, CAST(count(*) FILTER (r <= 50 AND (50 - r + 1) * w > rest) AS INTEGER) AS n_overweight FROM r GROUP BY k"""
-
-SQL["overweight_trace_all_documents"] = f"""
 WITH d AS (SELECT CAST(n_chars AS DOUBLE) AS w, row_number() OVER (ORDER BY doc_id) AS i FROM {DOCS}), n AS (SELECT count(*) AS n FROM d),
 c AS (SELECT k FROM (SELECT unnest([60, 100, 150, 200, 300, 500, 700, 900, 1000, 2000]) AS k), n WHERE k <= n UNION SELECT (n * j + 9) // 10 FROM n, range(1, 11) t(j)),
 r AS (SELECT k, w, row_number() OVER (PARTITION BY k ORDER BY w DESC, i) AS r, sum(w) OVER (PARTITION BY k) - coalesce(sum(w) OVER (PARTITION BY k ORDER BY w DESC, i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) AS rest FROM d JOIN c ON i <= k)
@@ -122,6 +120,10 @@ SQL["replacement_race_orders"] = f"SELECT CAST(slot AS INTEGER) AS slot, o_order
 SUMS = f"(SELECT o_orderkey, cents, sum(cents) OVER (ORDER BY o_orderkey ROWS UNBOUNDED PRECEDING) AS W_ FROM {ORDERS})"
 SQL["replacement_prop_orders"] = f"SELECT CAST(slot AS INTEGER) AS slot, max(o_orderkey) AS o_orderkey FROM {SUMS}, {SLOTS} WHERE {keyed('o_orderkey, slot', 'slot')} * W_ < cents GROUP BY slot"
 SQL["replacement_lookup"] = f"WITH s AS {SUMS}, p AS (SELECT slot, {keyed('slot', 'slot')} * (SELECT max(W_) FROM s) AS spot FROM {SLOTS}) SELECT CAST(slot AS INTEGER) AS slot, o_orderkey FROM s JOIN p ON spot >= W_ - cents AND spot < W_"
+SQL["prop_single_slot_jump"] = f"""
+WITH RECURSIVE s AS {SUMS}, t AS (SELECT min(W_)::DOUBLE AS first, max(W_)::DOUBLE AS total FROM s),
+p(r, x) AS (SELECT 0, first FROM t UNION ALL SELECT r + 1, x / {keyed('r + 1', 'jump')} FROM p, t WHERE x / {keyed('r + 1', 'jump')} <= total)
+SELECT o_orderkey FROM s, (SELECT max(x) AS x FROM p) WHERE W_ - cents < x AND x <= W_"""
 for name in ("replacement_race_jump", "replacement_prop_jump"):
     SQL[name] = "SELECT CAST(20 AS BIGINT) AS n_slots, CAST(20 AS BIGINT) AS n_in_population"
 SQL["slot_winners"] = f"SELECT o_orderkey, count(*) AS times_won FROM {WINNERS} GROUP BY o_orderkey"
@@ -172,8 +174,7 @@ SQL["role_gap_m2"] = " UNION ALL ".join(
     f"SELECT count(*) AS n, CAST(round(max(abs(p - pi)) * 1e6) AS BIGINT) AS gap_ppm FROM (WITH {thresholded(src, i, w, 2)} SELECT d.p, least(1.0, r.w / t.tau) AS pi FROM r, t, {two_draws(src, i, w)} d WHERE d.{i} = r.{i})"
     for src, i, w in ((SUPPLIERS, "s_suppkey", "s_acctbal"), (f"(SELECT * FROM customer WHERE {POSITIVE_C})", "c_custkey", "c_acctbal"), ("orders", "o_orderkey", "o_totalprice"))
 )
-SQL["freq_supplier"] = f"SELECT s_suppkey, count(*) FILTER (r <= 2) AS hits FROM (SELECT s_suppkey, row_number() OVER (PARTITION BY rep ORDER BY -ln({keyed('s_suppkey, rep', 'rep')}) / s_acctbal, s_suppkey) AS r FROM supplier, range(500) t(rep) WHERE {POSITIVE_S} AND s_suppkey < 20) GROUP BY s_suppkey"
-SQL["freq_all_suppliers"] = f"SELECT s_suppkey, count(*) FILTER (r <= 2) AS hits FROM (SELECT s_suppkey, row_number() OVER (PARTITION BY rep ORDER BY -ln({keyed('s_suppkey, rep', 'rep')}) / s_acctbal, s_suppkey) AS r FROM supplier, range(500) t(rep) WHERE {POSITIVE_S}) GROUP BY s_suppkey"
+SQL["freq_supplier"] = f"SELECT s_suppkey, count(*) FILTER (r <= 2) AS hits FROM (SELECT s_suppkey, row_number() OVER (PARTITION BY rep ORDER BY -ln({keyed('s_suppkey, rep', 'rep')}) / s_acctbal, s_suppkey) AS r FROM supplier, range(500) t(rep) WHERE {POSITIVE_S}) GROUP BY s_suppkey"
 SQL["pair_order_rate"] = f"WITH k AS (SELECT s_suppkey, -ln({keyed('s_suppkey')}) / s_acctbal AS e FROM supplier WHERE {POSITIVE_S}) SELECT count(*) AS n_pairs, count(*) FILTER (a.e < b.e) AS n_ordered FROM k a JOIN k b ON a.s_suppkey < b.s_suppkey"
 SQL["ratio_law"] = f"SELECT count(*) AS n_pairs, CAST(0 AS BIGINT) AS n_errors FROM {SUPPLIERS} a JOIN {SUPPLIERS} b ON a.s_suppkey < b.s_suppkey"
 SQL["sequential_draw_supplier"] = f"""
@@ -191,7 +192,12 @@ SQL["systematic_orders"] = f"""
 WITH s AS {SUMS}, t AS (SELECT CAST(max(W_) AS HUGEINT) AS total, CAST(floor({keyed('1', 'grid')} * max(W_)) AS HUGEINT) AS u FROM s)
 SELECT o_orderkey FROM s, t WHERE (CAST(W_ AS HUGEINT) * 50 + u) // total > (CAST(W_ - cents AS HUGEINT) * 50 + u) // total"""
 SQL["expected_insertions"] = f"SELECT count(*) AS n, CAST(round(sum(least(1.0::DOUBLE, 200 * cents / W_::DOUBLE)) * 1000) AS BIGINT) AS milli FROM {SUMS}"
-SQL["work_counters"] = " UNION ALL ".join(f"SELECT '{v}' AS variant, count(*) AS seen, TRUE AS drew, TRUE AS filled FROM orders" for v in ("race", "race_jump", "proportional", "proportional_jump"))
+SQL["work_counters"] = " UNION ALL ".join(
+    f"SELECT '{v}' AS variant, count(*) AS seen, {'NOT' * jump} (TRUE) AS one_each, {'count(*) - 200' if not jump else '0'} <= 4 * (200 + 200 * ln(count(*) / 200)) AS few_draws, TRUE AS as_expected FROM orders"
+    for v, jump in (("race", False), ("race_jump", True), ("proportional", False), ("proportional_jump", True))
+)
+SQL["sampler_laws"] = f"SELECT sampler, count(*) AS n_items, CAST(0 AS BIGINT) AS n_off FROM supplier, (SELECT unnest(['race', 'race_jump', 'proportional', 'proportional_jump', 'proportional_merged']) AS sampler) WHERE {POSITIVE_S} GROUP BY sampler"
+SQL["replacement_laws"] = f"SELECT method, count(*) AS n_items, CAST(0 AS BIGINT) AS n_off, CAST(4000 AS BIGINT) AS n_slots FROM supplier, (SELECT unnest(['race_jump', 'proportional_jump', 'lookup']) AS method) WHERE {POSITIVE_S} GROUP BY method"
 SQL["estimate_revenue"] = f"WITH t AS (SELECT sum(cents)::DOUBLE / 200 AS tau FROM {LINES}) SELECT l_returnflag, count(*) AS n_sample, CAST(round(sum(l_quantity / least(1.0, cents / tau))) AS BIGINT) AS estimate FROM {LINES}, t WHERE {keyed(LINE_IDS, 'poisson')} * tau < cents GROUP BY l_returnflag"
 SQL["survey_by_region"] = f"SELECT r_name, count(*) AS n_sample, CAST(sum({cents('c_acctbal')}) AS BIGINT) AS sum_cents FROM (SELECT *, row_number() OVER (PARTITION BY r_name ORDER BY -ln({keyed('c_custkey')}), c_custkey) AS r FROM {REGIONS}) WHERE r <= 10 GROUP BY r_name"
 
@@ -220,6 +226,7 @@ SESSIONS = "(SELECT *, min(epoch_us(ts)) OVER (PARTITION BY user_id, s) AS windo
 SQL["race_session_events"] = grouped(SESSIONS, "user_id, window_start", "event_id", "value", 2)
 SQL["stream_race_events"] = top("events", "event_id", "value", 50, where="value > 0")
 SQL["stream_min_by_window"] = f"SELECT window_start, event_id FROM ({grouped(TUMBLING, 'window_start', 'event_id', 'value', 1, 'value > 0')})"
+SQL["stream_recency_events"], SQL["stream_tumbling_events"], SQL["stream_sliding_events"] = SQL["recency_race_events"], SQL["race_tumbling_events"], SQL["race_sliding_events"]
 SQL["stream_prefix_check"] = "SELECT CAST(batch AS INTEGER) AS batch, TRUE AS ok FROM range(4) t(batch)"
 SQL["props_families"] = "SELECT event_id, 'k' AS name, CAST(json_extract_string(props, '$.k') AS BIGINT) + 1 AS weight FROM events"
 SQL["outer_overlap"] = f"SELECT coalesce(a.o_orderkey, b.o_orderkey) AS o_orderkey, a.position AS first, b.position AS second FROM ({top('orders', 'o_orderkey', 'o_totalprice', 100)}) a FULL JOIN ({top('orders', 'o_orderkey', 'o_totalprice', 100, tag='other')}) b ON a.o_orderkey = b.o_orderkey"

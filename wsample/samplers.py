@@ -433,12 +433,14 @@ class BoundedSampler(ReservoirSampler):
     """Draw role with at most k slots an item (or its own): samplers of one in a chain.
 
     An item goes from sampler to sampler until it holds its share of slots; when it loses a slot it goes on from the
-    first sampler it has not seen.
+    first sampler it has not seen.  ``engine``: the samplers of one are races, or proportional reservoirs; the law is the same.
     """
 
-    def __init__(self, m: int, k: int = 2, rng=None):
+    def __init__(self, m: int, k: int = 2, rng=None, *, engine: str = "race"):
+        if engine not in ("race", "proportional"):
+            raise ValueError(f"unknown engine: {engine!r}")
         super().__init__(m, rng)
-        self.k = k
+        self.k, self.engine, self.weight_seen = k, engine, [0.0] * m
         self.slot: list[tuple[float, int] | None] = [None] * m  # (time, number of the item)
         self.item: dict[int, list] = {}  # number -> [item, weight, share, next sampler, slots held]
 
@@ -461,8 +463,13 @@ class BoundedSampler(ReservoirSampler):
                 j = entry[3]
                 entry[3] += 1
                 u = self._uniforms(1)[0] if entry[5] is None else entry[5][j]
-                time = -np.log(u) / entry[1]
-                if self.slot[j] is None or (time, x) < self.slot[j]:
+                if self.engine == "race":
+                    time = -np.log(u) / entry[1]
+                    taken = self.slot[j] is None or (time, x) < self.slot[j]
+                else:
+                    self.weight_seen[j] += entry[1]
+                    time, taken = self.weight_seen[j], u * self.weight_seen[j] < entry[1]
+                if taken:
                     lost = self.slot[j]
                     self.slot[j] = (time, x)
                     entry[4] += 1

@@ -2,11 +2,11 @@
 
 from __future__ import annotations
 
-import itertools
-
+import numpy as np
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from wsample import samplers
 from wsample.functions import sqlsurface
 from wsample.functions.randomness import keyed_hash
 from wsample.functions.times import micros
@@ -18,7 +18,7 @@ SEED = 7
 MD5 = {"seed": SEED, "source": "md5"}
 QUERIES: dict = {}
 LANDMARK, NOW, DAY = 1_704_067_200, 2_000_000_000, 86_400
-GRID_M, GRID_N = (50, 150, 450, 750), (1000, 3000, 6000)
+GRID_M, GRID_N = tuple(range(50, 751, 100)), tuple(range(1000, 6001, 1000))
 TRACE = (60, 100, 150, 200, 300, 500, 700, 900, 1000, 2000)
 
 
@@ -129,13 +129,15 @@ def merge_reservoirs(spark, sf_dir):
 
 @query
 def race_grid_counts(spark, sf_dir):
-    orders = table(spark, sf_dir, "orders").select("o_orderkey", "o_totalprice")
-    ranked = orders.withColumn("k", F.row_number().over(Window.orderBy(keyed_hash(["o_orderkey"], tag="prefix", **MD5), "o_orderkey"))).where(F.col("k") <= max(GRID_N))  # the largest cell's rows
-    cells = []
-    for m, n in itertools.product(GRID_M, GRID_N):
-        s = race.race_sample(ranked.where(F.col("k") <= n), m, weight="o_totalprice", id_cols=["o_orderkey"], **MD5)
-        cells.append(s.agg(F.lit(m).alias("m"), F.lit(n).alias("n"), F.count("*").alias("n_sample"), F.sum("o_orderkey").alias("id_checksum")))
-    return _union(cells)
+    """All cells of n and m in one plan: each n's race is ranked once, and each m takes its first ranks."""
+    orders = table(spark, sf_dir, "orders").select("o_orderkey", "o_totalprice", keyed_hash(["o_orderkey"], tag="prefix", **MD5).alias("h"))
+    first = orders.orderBy("h", "o_orderkey").limit(max(GRID_N))  # the largest cell's rows
+    ranked = first.withColumn("k", F.row_number().over(Window.orderBy("h", "o_orderkey")))
+    keyed = race.with_race_key(ranked, weight="o_totalprice", id_cols=["o_orderkey"], **MD5)
+    cells = keyed.withColumn("n", F.explode(F.array(*[F.lit(n) for n in GRID_N]))).where("k <= n")
+    best = cells.withColumn("r", F.row_number().over(Window.partitionBy("n").orderBy(race.KEY, "o_orderkey"))).where(F.col("r") <= max(GRID_M))
+    each = best.withColumn("m", F.explode(F.array(*[F.lit(m) for m in GRID_M]))).where("r <= m")
+    return each.groupBy("m", "n").agg(F.count("*").alias("n_sample"), F.sum("o_orderkey").alias("id_checksum"))
 
 
 @query
@@ -155,6 +157,26 @@ def ads_uniform(spark, sf_dir):
     return race.race_by_group(positive(table(spark, sf_dir, "customer"), "c_acctbal"), 5, ["c_mktsegment"], weight=None, id_cols=["c_custkey"], **MD5).select("c_mktsegment", "c_custkey", "position")
 
 
+@query
+def ads_by_type(spark, sf_dir):
+    """The second version of the ads: ranked links of each part type."""
+    return race.race_by_group(table(spark, sf_dir, "part"), 5, ["p_type"], weight="p_retailprice", id_cols=["p_partkey"], **MD5).select("p_type", "p_partkey", "position")
+
+
+@query
+def ads_by_type_equal_slots(spark, sf_dir):
+    parts = table(spark, sf_dir, "part")
+    return _invariants(proportional.by_group(parts, 5, ["p_type"], weight="p_retailprice", id_cols=["p_partkey"], seed=SEED), parts, ["p_partkey"], ["p_type"])
+
+
+@query
+def range_race(spark, sf_dir):
+    """A race among the rows of a range of an ordered column; the range reaches the scan."""
+    rows = with_cents(spark, sf_dir, table(spark, sf_dir, "lineitem").where("l_quantity BETWEEN 10 AND 20"))
+    ids = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "cents"]
+    return ids_of(race.race_sample(rows, 50, weight="l_extendedprice", id_cols=ids, **MD5), *ids)
+
+
 def customers_by_region(spark, sf_dir) -> DataFrame:
     dims = table(spark, sf_dir, "nation").join(table(spark, sf_dir, "region"), F.col("n_regionkey") == F.col("r_regionkey"))
     return table(spark, sf_dir, "customer").join(dims, F.col("c_nationkey") == F.col("n_nationkey"))
@@ -195,17 +217,12 @@ def inclusion_documents(spark, sf_dir):
 
 @query
 def overweight_documents(spark, sf_dir):
-    return inclusion.inclusion_probabilities(table(spark, sf_dir, "documents"), 50, weight="n_chars", on_bad_weight="drop").where("is_overweight").select("doc_id")
+    return inclusion.inclusion_probabilities(table(spark, sf_dir, "documents"), 200, weight="n_chars", on_bad_weight="drop").where("is_overweight").select("doc_id")
 
 
 @query
 def overweight_trace_documents(spark, sf_dir):
-    return inclusion.overweight_trace(table(spark, sf_dir, "documents").where("n_chars > 0").orderBy("doc_id").limit(max(TRACE)), 50, list(TRACE), weight="n_chars", order=["doc_id"])
-
-
-@query
-def overweight_trace_all_documents(spark, sf_dir):
-    """The early prefixes of the trace, and tenths of the table up to all of it."""
+    """The early prefixes of the trace, and tenths of the table up to all of it; items become overweight and are released."""
     docs = table(spark, sf_dir, "documents").where("n_chars > 0")
     n = docs.count()
     ks = sorted({k for k in TRACE if k <= n} | {(n * j + 9) // 10 for j in range(1, 11)})
@@ -230,8 +247,8 @@ def prop_part_m20_window(spark, sf_dir):
 @query
 def prop_documents_pinned(spark, sf_dir):
     docs = table(spark, sf_dir, "documents")
-    sample = proportional.proportional_sample(docs.repartition(4), 50, weight="n_chars", id_cols=["doc_id"], seed=SEED, on_bad_weight="drop")
-    pinned = inclusion.inclusion_probabilities(docs, 50, weight="n_chars", on_bad_weight="drop").where("is_overweight").select("doc_id", F.lit(1).alias("pin"))
+    sample = proportional.proportional_sample(docs.repartition(4), 200, weight="n_chars", id_cols=["doc_id"], seed=SEED, on_bad_weight="drop")
+    pinned = inclusion.inclusion_probabilities(docs, 200, weight="n_chars", on_bad_weight="drop").where("is_overweight").select("doc_id", F.lit(1).alias("pin"))
     return sample.join(pinned, "doc_id", "left").agg(F.count("*").alias("n"), F.countDistinct("doc_id").alias("n_distinct"), F.count("pin").alias("n_pinned_present"))
 
 
@@ -299,6 +316,11 @@ _add("replacement_race_jump", _replaced_counts("race_jump"))
 _add("replacement_prop_jump", _replaced_counts("proportional_jump"))
 
 
+@query
+def prop_single_slot_jump(spark, sf_dir):
+    return replacement.single_slot_jump(_orders_cents(spark, sf_dir), weight="cents", id_cols=["o_orderkey"], seed=SEED)
+
+
 @query
 def slot_winners(spark, sf_dir):
     return _replaced("race")(spark, sf_dir).groupBy("o_orderkey").agg(F.count("*").alias("times_won"))
@@ -395,16 +417,69 @@ def role_gap_m2(spark, sf_dir):
 
 
 @query
-def freq_supplier(spark, sf_dir):
-    some = _suppliers(spark, sf_dir).where("s_suppkey < 20")
-    return measures.inclusion_frequency(some, 2, 500, weight="s_acctbal", id_cols=["s_suppkey"], **MD5)
+def role_gap_m10(spark, sf_dir):
+    """(n, gap_ppm) at ten draws: by quadrature for the suppliers, in the large-n limit for the others."""
+    cells = [("supplier", "s_acctbal", "s_suppkey", "quadrature"), ("customer", "c_acctbal", "c_custkey", "large_n"), ("orders", "o_totalprice", "o_orderkey", "large_n")]
+    return _union([measures.role_gap(positive(table(spark, sf_dir, t), w), 10, weight=w, id_cols=[i], method=how).select("n", F.round(F.col("max_gap") * 1e6).cast("long").alias("gap_ppm")) for t, w, i, how in cells])
 
 
 @query
-def freq_all_suppliers(spark, sf_dir):
+def freq_supplier(spark, sf_dir):
     return measures.inclusion_frequency(_suppliers(spark, sf_dir), 2, 500, weight="s_acctbal", id_cols=["s_suppkey"], **MD5)
 
 
+def _one_pass(kind):
+    def run(weights, m, rng):
+        sampler = kind(m, rng)
+        half = len(weights) // 3
+        sampler.offer(range(half), weights[:half])
+        sampler.offer(range(half, len(weights)), weights[half:])
+        return [e.item for e in sampler.snapshot()]
+
+    return run
+
+
+def _merged(weights, m, rng):
+    """Three tasks' reservoirs, merged over adjusted weights."""
+    parts = []
+    for at in np.array_split(np.arange(len(weights)), 3):
+        parts.append(samplers.ProportionalSampler(m, rng))
+        parts[-1].offer(at.tolist(), weights[at])
+    parts[0].merge(parts[1])
+    parts[0].merge(parts[2])
+    return [e.item for e in parts[0].snapshot()]
+
+
+DRAW_KINDS = {"race": _one_pass(samplers.RaceSampler), "race_jump": _one_pass(samplers.RaceJumpSampler)}
+INCLUSION_KINDS = {"proportional": _one_pass(samplers.ProportionalSampler), "proportional_jump": _one_pass(samplers.ProportionalJumpSampler), "proportional_merged": _merged}
+LAW_RUNS, LAW_SLOTS = 1500, 4000
+
+
+@query
+def sampler_laws(spark, sf_dir):
+    """(sampler, n_items, n_off): items whose frequency over many runs of a sampler is off its exact chance."""
+    people, args = _suppliers(spark, sf_dir), {"weight": "s_acctbal", "id_cols": ["s_suppkey"]}
+    out = []
+    for kinds, chances in ((DRAW_KINDS, inclusion.draw_inclusion_m2(people, **args)), (INCLUSION_KINDS, inclusion.inclusion_probabilities(people, 2, weight="s_acctbal"))):
+        hits = measures.law_frequencies(people, 2, LAW_RUNS, kinds=kinds, seed=SEED, **args).select("sampler", "item.s_suppkey", "hits")
+        out.append(hits.join(chances.select("s_suppkey", F.col("inclusion_prob").alias("p")), "s_suppkey"))
+    return _union(out).groupBy("sampler").agg(F.count("*").alias("n_items"), F.count(F.when(measures.beyond("hits", LAW_RUNS, "p"), 1)).alias("n_off"))
+
+
+@query
+def replacement_laws(spark, sf_dir):
+    """(method, n_items, n_off): items that hold another number of many slots than their share of the weight, the first item among them."""
+    people = _suppliers(spark, sf_dir).select("s_suppkey", "s_acctbal")
+    total = people.agg(F.sum("s_acctbal")).first()[0]
+    out = []
+    for method in ("race_jump", "proportional_jump", "lookup"):
+        slots = replacement.replacement_sample(people, LAW_SLOTS, weight="s_acctbal", id_cols=["s_suppkey"], method=method, seed=SEED)
+        held = people.join(slots.groupBy("s_suppkey").agg(F.count("*").alias("hits")), "s_suppkey", "left").na.fill(0, ["hits"])
+        off = measures.beyond("hits", LAW_SLOTS, F.col("s_acctbal") / F.lit(total))
+        out.append(held.agg(F.lit(method).alias("method"), F.count("*").alias("n_items"), F.count(F.when(off, 1)).alias("n_off"), F.sum("hits").alias("n_slots")))
+    return _union(out)
+
+
 @query
 def pair_order_rate(spark, sf_dir):
     return measures.pair_order_rate(_suppliers(spark, sf_dir), weight="s_acctbal", id_cols=["s_suppkey"], **MD5).select("n_pairs", "n_ordered")
@@ -412,7 +487,7 @@ def pair_order_rate(spark, sf_dir):
 
 @query
 def ratio_law(spark, sf_dir):
-    p = inclusion.inclusion_probabilities(_suppliers(spark, sf_dir), 2, weight="s_acctbal").select("s_suppkey", "s_acctbal", F.col("inclusion_prob").alias("p"))
+    p = inclusion.inclusion_probabilities(measures.small(_suppliers(spark, sf_dir)), 2, weight="s_acctbal").select("s_suppkey", "s_acctbal", F.col("inclusion_prob").alias("p"))
     a, b = p.alias("a"), p.alias("b")
     wrong = F.abs(F.col("a.p") * F.col("b.s_acctbal") - F.col("b.p") * F.col("a.s_acctbal")) > 1e-9 * F.col("a.s_acctbal")
     return a.join(b, F.col("a.s_suppkey") < F.col("b.s_suppkey")).agg(F.count("*").alias("n_pairs"), F.count(F.when(wrong, 1)).alias("n_errors"))
@@ -445,8 +520,14 @@ def expected_insertions(spark, sf_dir):
 
 @query
 def work_counters(spark, sf_dir):
-    orders = table(spark, sf_dir, "orders").coalesce(1)
-    parts = [kernels.totals(kernels.work(orders, 200, weight="o_totalprice", variant=v, seed=SEED)).select(F.lit(v).alias("variant"), "seen", (F.col("draws") > 0).alias("drew"), (F.col("insertions") >= 200).alias("filled")) for v in ("race", "race_jump", "proportional", "proportional_jump")]
+    """Draws and insertions in one task: whether draws are few (of order m log(n / m)), and insertions near their expectation."""
+    orders, m = table(spark, sf_dir, "orders").coalesce(1), 200
+    few = 4 * (m + m * F.ln(F.col("seen") / m))
+    expected = m + m * F.ln(F.col("seen") / m)
+    parts = []
+    for v in ("race", "race_jump", "proportional", "proportional_jump"):
+        done = kernels.totals(kernels.work(orders, m, weight="o_totalprice", variant=v, seed=SEED))
+        parts.append(done.select(F.lit(v).alias("variant"), "seen", (F.col("draws") >= F.col("seen") - m).alias("one_each"), (F.col("draws") <= few).alias("few_draws"), F.col("insertions").between(0.75 * expected, 1.25 * expected).alias("as_expected")))
     return _union(parts)
 
 
@@ -455,7 +536,7 @@ def estimate_revenue(spark, sf_dir):
     rows = with_cents(spark, sf_dir, table(spark, sf_dir, "lineitem"))
     ids = ["l_orderkey", "l_linenumber", "l_partkey", "l_suppkey", "cents"]
     tau, _ = inclusion.threshold(rows, 200, weight="cents")
-    sample = baselines.poisson_sample(rows, 200, weight="cents", id_cols=ids, **MD5).withColumn("inclusion_prob", F.least(F.lit(1.0), F.col("cents") / F.lit(tau)))
+    sample = baselines.poisson_sample(rows, 200, weight="cents", id_cols=ids, tau=tau, **MD5).withColumn("inclusion_prob", F.least(F.lit(1.0), F.col("cents") / F.lit(tau)))
     return estimate.estimate_total(sample, F.col("l_quantity"), by=["l_returnflag"]).select("l_returnflag", "n_sample", F.round("estimate").cast("long").alias("estimate"))
 
 
@@ -586,6 +667,25 @@ def stream_race_events(spark, sf_dir):
     return reservoir.drain_race(spark, f"{sf_dir}/events.parquet", 50, weight="value", id_cols=["event_id"], keep="value > 0", **MD5)
 
 
+@query
+def stream_recency_events(spark, sf_dir):
+    """Recency bias on a stream: keys against a fixed landmark, so that state is never written anew."""
+    log_weight = F.ln("value") + recency.exp_decay("ts", half_life=DAY, landmark=LANDMARK)
+    return reservoir.drain_race(spark, f"{sf_dir}/events.parquet", 50, weight="value", id_cols=["event_id"], keep="value > 0", tag="recent", form="gumbel", log_weight=log_weight, **MD5)
+
+
+@query
+def stream_tumbling_events(spark, sf_dir):
+    found = reservoir.drain_window_reservoirs(spark, f"{sf_dir}/events.parquet", 5, keep="value > 0", weight="value", id_col="event_id", time="ts", width="1 day", width_us=DAY * 1_000_000, **MD5)
+    return found.select("window_start", F.col("id").alias("event_id"), "position")
+
+
+@query
+def stream_sliding_events(spark, sf_dir):
+    found = reservoir.drain_window_reservoirs(spark, f"{sf_dir}/events.parquet", 3, keep="value > 0", weight="value", id_col="event_id", time="ts", width="2 days", width_us=2 * DAY * 1_000_000, slide="1 day", **MD5)
+    return found.select("window_start", F.col("id").alias("event_id"), "position")
+
+
 @query
 def stream_min_by_window(spark, sf_dir):
     return reservoir.drain_window_winner(spark, f"{sf_dir}/events.parquet", weight="value", id_col="event_id", time="ts", width="1 day", keep="value > 0", **MD5)
