@@ -25,8 +25,8 @@ DIMENSIONS = 2048
 SLICE = 1_000_000
 #: N-grams whose products a worker remembers, and n-grams whose vectors it makes at once.
 REMEMBERED, AT_ONCE = 500_000, 2048
-#: Parts into which a language's rows are dealt before the rows to learn from are picked.
-SALTS = 64
+#: Rows expected beyond twice those wanted, where few are wanted.
+SPARE = 200
 #: Bits of a code point in an n-gram's code.
 POINT = 21
 
@@ -132,9 +132,12 @@ def train(docs: DataFrame, *, per_language: int = 2000, dimensions: int = DIMENS
     Null labels and texts, and null ids, teach nothing.  ``docs`` holds the rows that may be learned from.
     """
     known = docs.where(F.col(lang_col).isNotNull() & F.col(id_col).isNotNull()).select(F.col(id_col).alias("doc_id"), F.col(lang_col).alias("lang"))
-    by = [F.xxhash64("doc_id"), F.col("doc_id")]
-    for parts in (["lang", F.pmod(F.xxhash64("doc_id"), F.lit(SALTS))], ["lang"]):  # a part's first rows hold those of the whole
-        known = known.withColumn("k", F.row_number().over(Window.partitionBy(*parts).orderBy(*by))).where(F.col("k") <= per_language)
+    # first a share of each language by hash, in which twice the rows wanted are expected; then exactly those of the least hashes
+    counts = F.broadcast(known.groupBy("lang").agg(F.count("*").alias("n")))  # a row a language, as the prototypes
+    share = F.shiftrightunsigned(F.xxhash64("doc_id"), 11) / F.lit(2.0**53)
+    known = known.join(counts, "lang").where(share <= F.lit(2.0 * per_language + SPARE) / F.col("n"))
+    rank = F.row_number().over(Window.partitionBy("lang").orderBy(F.xxhash64("doc_id").bitwiseXOR(F.lit(-(2**63)).cast("long")), "doc_id"))
+    known = known.withColumn("k", rank).where(F.col("k") <= per_language)
     some = docs.select(F.col(id_col).alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.col(lang_col).alias("lang")).where("lang is not null and text is not null")
     some = some.join(F.broadcast(known.select("doc_id").distinct()), "doc_id", "left_semi").select("lang", "text")  # per_language rows a language at most
 
