@@ -1,5 +1,5 @@
+import hashlib
 import random
-import zlib
 
 from tests.llm.frames import ROWS, none, odd
 from wsample.llm import lines
@@ -116,8 +116,8 @@ def test_odd(spark):
 def test_query(spark, sf):
     docs = [(r.doc_id, r.text) for r in spark.read.parquet(f"{sf}/documents.parquet").collect()]
     want = slow(docs)
-    got = {r.doc_id: (r.text_crc32, r.n_lines, r.n_exact, r.n_near) for r in QUERIES["op1_line_dedup"](spark, sf).collect()}
-    assert got == {k: (zlib.crc32((t or "").encode()), *rest) for k, (t, *rest) in want.items()}
+    got = {r.doc_id: (r.text_md5, r.n_lines, r.n_exact, r.n_near) for r in QUERIES["op1_line_dedup"](spark, sf).collect()}
+    assert got == {k: (hashlib.md5((t or "").encode()).hexdigest(), *rest) for k, (t, *rest) in want.items()}
 
 
 def test_one_edit():

@@ -7,9 +7,11 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from wsample.llm import avi, decontaminate, langid, lines, packing, pii, quality, simhash, store, tokens
+from wsample.llm.twins import SQL
+
+__all__ = ["QUERIES", "SQL"]
 
 QUERIES: dict = {}
-SQL: dict[str, str] = {}
 
 
 def query(f):
@@ -24,7 +26,7 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 @query
 def op1_line_dedup(spark, sf_dir):
     done = lines.dedup_lines(documents(spark, sf_dir))
-    return done.select("doc_id", "n_lines", "n_exact", "n_near", F.crc32(F.coalesce("text", F.lit(""))).alias("text_crc32"))
+    return done.select("doc_id", "n_lines", "n_exact", "n_near", F.md5(F.coalesce("text", F.lit("")).cast("binary")).alias("text_md5"))
 
 
 @query
