@@ -134,6 +134,17 @@ def test_pack_odd(spark):
     assert packing.pack_documents(none(spark), BYTE).count() == 0
 
 
+def test_runs_are_bounded_and_ranks_whole(spark, monkeypatch):
+    """Many small runs of one hot length give every piece a place of its own, and runs stay few however many pieces there are."""
+    monkeypatch.setattr(packing, "RUN_PIECES", 7)
+    pieces = spark.range(500).selectExpr("id AS doc_id", "0 AS piece", "0L AS start", "if(id % 3 = 0, 5L, 64L) AS length", "id AS ids_crc32")
+    rows = packing.pack(pieces, capacity=64).collect()
+    assert len({(r.sequence_id, r.offset) for r in rows}) == len({r.doc_id for r in rows}) == 500
+    assert len({r.sequence_id for r in rows}) == 333 + -(-167 // 12)
+    runs = packing.runs_of({1024: 25 * 10**9, 3: 1, 7: 10**6})
+    assert runs[3] == 1 and sum(runs.values()) <= packing.MOST_RUNS + 3
+
+
 def test_fullest_is_optimal():
     pick = random.Random(5)
     for _ in range(200):

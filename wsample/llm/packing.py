@@ -18,8 +18,9 @@ from pyspark.sql import functions as F
 from wsample.llm.common import by_batch, text_of, written
 from wsample.llm.tokens import crc, encoder
 
-#: Ranks within a length are taken in this many salted runs, so that a length that a third of all pieces share is no hot key.
-RANK_RUNS = 64
+#: Ranks within a length are taken in salted runs of about ``RUN_PIECES`` pieces, so that a length that most pieces share is no hot
+#: key.  Runs grow with the table once there would be more than ``MOST_RUNS`` of them (and one a length).
+RUN_PIECES, MOST_RUNS = 4_096, 50_000
 
 
 def fullest(counts: Mapping[int, int], room: int) -> list[tuple[int, int]]:
@@ -114,6 +115,12 @@ def token_pieces(docs: DataFrame, path: str, *, capacity: int = 1024, end_id: in
     return by_batch(docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text")), cut, schema, size_by="text")
 
 
+def runs_of(counts: Mapping[int, int]) -> dict[int, int]:
+    """length -> salted runs; ``MOST_RUNS`` and one a length in all at most, whatever the counts."""
+    size = max(RUN_PIECES, -(-sum(counts.values()) // MOST_RUNS))
+    return {length: -(-n // size) for length, n in counts.items()}
+
+
 def pack(pieces: DataFrame, *, capacity: int = 1024) -> DataFrame:
     """``pieces`` (doc_id, piece, start, length, ids_crc32, ...) with ``sequence_id`` and ``offset``.
 
@@ -124,11 +131,13 @@ def pack(pieces: DataFrame, *, capacity: int = 1024) -> DataFrame:
     if counts and max(counts) > capacity:
         raise ValueError("a piece is longer than a sequence")
     table = places(plan_bins(counts, capacity))
-    salted = pieces.withColumn("__run", F.pmod(F.xxhash64("doc_id", "piece", "start", "ids_crc32"), F.lit(RANK_RUNS)).cast("int"))
+    many = pieces.sparkSession.createDataFrame([*runs_of(counts).items()], "length long, __runs long")  # at most ``capacity`` rows
+    salt = F.pmod(F.xxhash64("doc_id", "piece", "start", "ids_crc32"), F.col("__runs")).cast("int")
+    salted = pieces.join(F.broadcast(many), "length").withColumn("__run", salt).drop("__runs")
     before = Window.partitionBy("length").orderBy("__run").rowsBetween(Window.unboundedPreceding, -1)
     runs = salted.groupBy("length", "__run").agg(F.count("*").alias("__n")).select("length", "__run", F.coalesce(F.sum("__n").over(before), F.lit(0)).alias("__before"))
     order = Window.partitionBy("length", "__run").orderBy("doc_id", "piece", "start", "ids_crc32")
-    # capacity * RANK_RUNS rows at most, however many pieces there are
+    # MOST_RUNS + capacity rows at most, however many pieces there are
     ranked = salted.withColumn("__k", F.row_number().over(order) - 1).join(F.broadcast(runs), ["length", "__run"]).withColumn("__rank", F.col("__k") + F.col("__before"))
     kept = [c for c in pieces.columns]
     ranked = ranked.select(*kept, "__rank")
