@@ -286,6 +286,31 @@ def test_media_odd(spark):
     assert avi.media_features(avi.to_media(none(spark))).count() == avi.clips(avi.to_media(none(spark))).count() == 0
 
 
+def test_media_clips_of_the_query(spark, sf):
+    """The query's clips are the clip rows of the same files, and cover every frame once in order."""
+    media = avi.to_media(spark.read.parquet(f"{sf}/documents.parquet"))
+    rows = {}
+    for r in sorted(avi.clips(media).collect(), key=lambda r: (r.doc_id, r.clip_no)):
+        rows.setdefault(r.doc_id, []).append(f"{r.first_frame}:{r.n_frames}:{round(1000 * r.start_s)}:{round(1000 * r.end_s)}")
+    for r in QUERIES["op9_motion_jpeg"](spark, sf).collect():
+        assert r.clips.split(",") == rows[r.doc_id]
+        spans = [tuple(map(int, x.split(":"))) for x in rows[r.doc_id]]
+        assert [x[0] for x in spans] == [sum(x[1] for x in spans[:k]) for k in range(len(spans))]
+        assert f"frames={sum(x[1] for x in spans)};shots={len(spans)};" in r.feature
+
+
+def test_damaged_media(spark):
+    whole = avi.write_avi(b"some text" + bytes(55))
+    rng = np.random.default_rng(3)
+    files = [whole, None, b"", b"RIFF", whole[:40], whole[: len(whole) // 2], b"not a movie at all", *(bytes(x ^ int(y) for x, y in zip(whole, rng.integers(0, 256, len(whole)) * (rng.random(len(whole)) < 0.05), strict=True)) for _ in range(60))]
+    media = spark.createDataFrame([(i, 9, x) for i, x in enumerate(files)], "doc_id long, n_bytes long, media binary")
+    rows = {r.doc_id: r for r in avi.media_features(media).collect()}
+    assert len(rows) == len(files) and rows[0].payload_bytes == 64 and rows[1].media_bytes is None
+    for i in range(2, 7):
+        assert rows[i].media_bytes == len(files[i]) and rows[i].payload_sha256 is None and rows[i].clips is None
+    assert {r.doc_id for r in avi.clips(media).collect()} == {i for i, r in rows.items() if r.clips}
+
+
 def test_frames_round_trip_and_general_decoder():
     rng = np.random.default_rng(0)
     for n in (64, 4096, 64 * 65, 64 * 150):

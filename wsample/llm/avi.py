@@ -95,6 +95,8 @@ def _bit_by_bit(data: bytes, counts: bytes, values: bytes, n: int) -> np.ndarray
             if length > 16:
                 raise ValueError("no such code")
         size = codes[length, code]
+        if size > 15:
+            raise ValueError("no such category")
         value = 0
         for b in bits[p : p + size]:
             value = value << 1 | b
@@ -110,7 +112,10 @@ def decode_frame(jpeg: bytes) -> np.ndarray:
     if precision != 8 or parts != 1 or found[0xDA][-3] != 1:
         raise ValueError("only 8-bit frames of one component with the left predictor")
     n, table = rows * columns, found[0xC4]
-    if table[1:17] == _COUNTS and table[17:26] == _VALUES:
+    usual = table[1:17] == _COUNTS and table[17:26] == _VALUES
+    if not 0 < n * (9 if usual else 1) <= 8 * len(data):
+        raise ValueError("fewer bits than samples")
+    if usual:
         bits = np.unpackbits(np.frombuffer(data, np.uint8), count=9 * n).reshape(n, 9)
         wide = np.zeros((n, 16), np.uint8)
         wide[:, 7:] = bits
@@ -177,7 +182,7 @@ def parse_avi(data: bytes) -> Movie:
     found: dict[bytes, tuple[int, int]] = {}
 
     def walk(at: int, end: int) -> None:
-        while at + 8 <= end:
+        while at + 8 <= min(end, len(data)):
             name, size = data[at : at + 4], int.from_bytes(data[at + 4 : at + 8], "little")
             if name == b"LIST":
                 kind = data[at + 8 : at + 12]
@@ -188,7 +193,7 @@ def parse_avi(data: bytes) -> Movie:
                 found[name] = (at + 8, size)
             at += 8 + size + size % 2
 
-    walk(12, min(len(data), 8 + int.from_bytes(data[4:8], "little")))
+    walk(12, 8 + int.from_bytes(data[4:8], "little"))
     main = struct.unpack_from("<14I", data, found[b"avih"][0])
     base, size = found[b"movi"]
     frames: list[tuple[int, int]] = []
@@ -200,7 +205,7 @@ def parse_avi(data: bytes) -> Movie:
         frames = [((int(x) if whole else base - 4 + int(x)) + 8, int(k)) for tag, _, x, k in table if int(tag).to_bytes(4, "little")[2:] in (b"dc", b"db")]
     else:
         at = base
-        while at + 8 <= base + size:
+        while at + 8 <= min(base + size, len(data)):
             k = int.from_bytes(data[at + 4 : at + 8], "little")
             if data[at + 2 : at + 4] in (b"dc", b"db"):
                 frames.append((at + 8, k))
@@ -252,39 +257,61 @@ def to_media(docs: DataFrame, *, id_col: str = "doc_id", text_col: str = "text")
     return by_batch(docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text")), make, f"doc_id {kind}, n_bytes long, media binary", size_by="text")
 
 
+def _read(data: bytes | None) -> tuple[Movie, np.ndarray] | None:
+    """A file and its frames, none if the file is damaged, has no frame or is of another kind."""
+    try:
+        movie = parse_avi(data or b"")
+        images = decode(movie)
+    except (ValueError, IndexError, KeyError, RecursionError, struct.error):
+        return None
+    return (movie, images) if images.size else None
+
+
+def _spans(movie: Movie, images: np.ndarray) -> list[tuple[int, int, int, float, float]]:
+    """(clip, first frame, frames, start and end in seconds) of each shot."""
+    starts, s = shot_starts(images), movie.micros / 1e6
+    return [(k, lo, hi - lo, lo * s, hi * s) for k, (lo, hi) in enumerate(zip(starts, [*starts[1:], len(images)], strict=True))]
+
+
 def media_features(media: DataFrame) -> DataFrame:
-    """Digests of the payload that the stored bytes hold and a feature string, one row a file."""
+    """Digests of the payload that the stored bytes hold, a feature string and the timed clips, one row a file.
+
+    ``clips`` has ``first frame:frames:start:end`` a shot, times in milliseconds, comma-joined.  A null or damaged file has its
+    size and digest (null for a null) and null for all that would be read from its frames.
+    """
 
     def read(batch: pa.RecordBatch) -> pa.RecordBatch:
         rows = []
         for data in batch.column(2).to_pylist():
-            movie = parse_avi(data)
-            images = decode(movie)
-            payload, starts = payload_of(movie, images), shot_starts(images)
+            stored = (None, None) if data is None else (len(data), hashlib.sha256(data).hexdigest())
+            found = _read(data)
+            if found is None:
+                rows.append((None, None, None, *stored, None, None))
+                continue
+            movie, images = found
+            payload, shots = payload_of(movie, images), _spans(movie, images)
             mean = int(images.sum(dtype=np.int64) * 1000 // images.size)
-            rows.append((len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]), len(data), hashlib.sha256(data).hexdigest(), f"{movie.width}x{movie.height};frames={len(images)};shots={len(starts)};cuts={','.join(map(str, starts[1:]))};mean={mean}"))
+            feature = f"{movie.width}x{movie.height};frames={len(images)};shots={len(shots)};cuts={','.join(str(x[1]) for x in shots[1:])};mean={mean}"
+            timed = ",".join(f"{first}:{n}:{round(1000 * lo)}:{round(1000 * hi)}" for _, first, n, lo, hi in shots)
+            rows.append((len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-64:]), *stored, feature, timed))
         columns = list(zip(*rows, strict=True))
-        kinds = [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string()]
-        return pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(c, k) for c, k in zip(columns, kinds, strict=True))], ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature"])
+        kinds = [pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.string()]
+        return pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), *(pa.array(c, k) for c, k in zip(columns, kinds, strict=True))], ["doc_id", "n_bytes", "payload_bytes", "payload_sha256", "tail_crc32", "media_bytes", "media_sha256", "feature", "clips"])
 
     kind = media.schema["doc_id"].dataType.simpleString()
-    return by_batch(media.select("doc_id", "n_bytes", "media"), read, f"doc_id {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string", size_by="media")
+    schema = f"doc_id {kind}, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, clips string"
+    return by_batch(media.select("doc_id", "n_bytes", "media"), read, schema, size_by="media")
 
 
 def clips(media: DataFrame) -> DataFrame:
-    """(doc_id, clip_no, first_frame, n_frames, start_s, end_s): one row a shot of each file."""
+    """(doc_id, clip_no, first_frame, n_frames, start_s, end_s): one row a shot of each file; none of a null or damaged one."""
 
     def cut(batch: pa.RecordBatch) -> pa.RecordBatch:
-        row, rest = [], []
-        for i, data in enumerate(batch.column(1).to_pylist()):
-            movie = parse_avi(data)
-            starts, s = shot_starts(decode(movie)), movie.micros / 1e6
-            for k, (lo, hi) in enumerate(zip(starts, [*starts[1:], len(movie.frames)], strict=True)):
-                row.append(i)
-                rest.append((k, lo, hi - lo, lo * s, hi * s))
+        found = [(i, _read(data)) for i, data in enumerate(batch.column(1).to_pylist())]
+        shots = [(i, x) for i, one in found if one for x in _spans(*one)]
         kinds = [pa.int32(), pa.int32(), pa.int32(), pa.float64(), pa.float64()]
-        columns = list(zip(*rest, strict=True)) or [[]] * 5
-        return pa.RecordBatch.from_arrays([batch.column(0).take(pa.array(row, pa.int64())), *(pa.array(c, k) for c, k in zip(columns, kinds, strict=True))], ["doc_id", "clip_no", "first_frame", "n_frames", "start_s", "end_s"])
+        columns = list(zip(*(x for _, x in shots), strict=True)) or [[]] * 5
+        return pa.RecordBatch.from_arrays([batch.column(0).take(pa.array([i for i, _ in shots], pa.int64())), *(pa.array(c, k) for c, k in zip(columns, kinds, strict=True))], ["doc_id", "clip_no", "first_frame", "n_frames", "start_s", "end_s"])
 
     kind = media.schema["doc_id"].dataType.simpleString()
     return by_batch(media.select("doc_id", "media"), cut, f"doc_id {kind}, clip_no int, first_frame int, n_frames int, start_s double, end_s double", size_by="media")
