@@ -20,6 +20,18 @@ def test_quality_query(spark, sf):
     assert len(rows) == spark.read.parquet(f"{sf}/documents.parquet").count()
 
 
+def test_quality_of_unseen_labels(spark, sf):
+    """Fitted to half of the labelled rows and held against the other half."""
+    sf = sf.replace("0.001", "0.1")
+    docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
+    mine = "pmod(xxhash64(doc_id), 2) = 0"
+    judged = quality.classify(docs, labels.where(mine)).select("doc_id", "keep", "p_good")
+    rows = judged.join(labels.where(f"not ({mine})").selectExpr("doc_id", "quality = 1 and toxic = 0 AS good", "toxic"), "doc_id").where("good is not null").collect()
+    good, bad, toxic = ([r.keep for r in rows if x(r)] for x in (lambda r: r.good, lambda r: not r.good, lambda r: r.toxic == 1))
+    print(len(rows), len(good), sum(good) / len(good), len(bad), sum(bad) / len(bad), len(toxic), sum(toxic) / max(1, len(toxic)))
+    assert len(rows) > 1500 and sum(good) >= 0.97 * len(good) and sum(bad) <= 0.2 * len(bad) and sum(toxic) <= 0.2 * len(toxic)
+
+
 def test_quality_odd(spark):
     labels = spark.createDataFrame([(6, 1, 0), (7, 1, 0), (4, 0, 0), (3, None, 0), (None, 1, 0), (5, 0, 1)], "doc_id long, quality int, toxic int")
     judged = quality.classify(odd(spark), labels)
