@@ -20,7 +20,7 @@ from wsample.llm.tokens import crc, encoder
 
 #: Ranks within a length are taken in salted runs of about ``RUN_PIECES`` pieces, so that a length that most pieces share is no hot
 #: key.  Runs grow with the table once there would be more than ``MOST_RUNS`` of them (and one a length).
-RUN_PIECES, MOST_RUNS = 4_096, 50_000
+RUN_PIECES, MOST_RUNS = 512, 50_000
 
 
 def fullest(counts: Mapping[int, int], room: int) -> list[tuple[int, int]]:
