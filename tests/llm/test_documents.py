@@ -139,6 +139,37 @@ def test_copies_in_a_family_of_one_template(spark):
     assert got == want and 60 <= len(set(want.values())) < 90
 
 
+def test_sketches_bound_what_sets_do_not_share():
+    rng = np.random.default_rng(3)
+    hashes = rng.integers(0, 2**64, 40_000, np.uint64)
+    sets = [rng.choice(hashes[:most], n, replace=False) for n, most in ((0, 10), (1, 10), (40, 60), (300, 350), (510, 600), (520, 600), (4000, 4400), (4200, 4400), (20_000, 40_000))]
+    made = [simhash.sketch_of(np.concatenate([x, x[:5]])) for x in sets]
+    assert [n for n, _ in made] == [len(x) for x in sets] and max(len(b) for _, b in made) < 20_000
+    for (x, (_, a)), (y, (_, b)) in itertools.product(zip(sets, made, strict=True), repeat=2):
+        assert simhash.apart(a, b) <= len(np.setxor1d(x, y)) and (simhash.apart(a, b) == 0 or len(np.setxor1d(x, y)))
+    few = np.arange(1000, dtype=np.uint64)  # one bucket holds them all
+    assert simhash.sketch_of(few) == (1000, b"") and simhash.apart(b"", made[3][1]) == 0
+
+
+def test_few_pairs_fetch_their_texts(spark, monkeypatch):
+    """Every two of ten texts share a rare passage; only copies are compared by their texts."""
+    passage = {p: [f"{'-'.join(map(str, p))}w{k}" for k in range(60)] for p in itertools.combinations(range(10), 2)}
+    texts = {i: [w for p in passage if i in p for w in passage[p]] for i in range(10)}
+    for i in range(3):
+        texts[10 + i] = [*texts[i][:200], "other", *texts[i][201:]]
+    texts, compared, plain = {i: " ".join(t) for i, t in texts.items()}, [], simhash.similar
+
+    def counted(pairs, *args, **kw):
+        compared.append(pairs.select("a", "b").distinct().count())
+        return plain(pairs, *args, **kw)
+
+    monkeypatch.setattr(simhash, "similar", counted)
+    df = spark.createDataFrame(list(texts.items()), "doc_id long, text string").repartition(3)
+    got = {r.doc_id: r.component_id for r in simhash.near_duplicates(df, shingle=5, max_bits=None, min_similarity=0.8).collect()}
+    assert got == similar_components(texts) == {i: i % 10 for i in texts}
+    assert 3 <= sum(compared) <= 6, compared
+
+
 def test_components_of_a_path(spark):
     df = spark.createDataFrame([(i, i + 1) for i in range(50)] + [(100, 100)], "a long, b long")
     assert {r.node: r.root for r in graph.components(df, "a", "b").collect()} == {i: 0 for i in range(1, 51)}

@@ -9,7 +9,9 @@ buckets; every bucket is compared in blocks and leaves a spanning forest of its
 of n copies costs n rows, not n squared.
 
 Links by the Jaccard similarity of word shingles are sought among fingerprints first.  Texts that are similar enough also share
-one of their rarest shingles, so then all that share one are compared, but for those that are joined already.
+one of their rarest shingles, so then all that share one are compared, but for those that are joined already.  The pairs that
+share a shingle grow faster than the texts, so texts are only fetched for those whose sketches (counts of distinct shingles by
+leading hash bits, some fortieth of a text) leave room for the similarity; a sketch never rules out a similar pair.
 """
 
 from __future__ import annotations
@@ -25,7 +27,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from wsample.llm.common import by_batch, text_of, written
+from wsample.llm.common import by_batch, release, small_enough, text_of, written
 from wsample.llm.graph import components
 from wsample.llm.linehash import shingles_of
 
@@ -37,6 +39,10 @@ BLOCK = 16384
 ROW_COST = 100
 #: Texts in which common shingles are counted, about, and how many of those are kept.
 SAMPLED, COMMON = 8_000, 1_000_000
+#: Fewest buckets of a sketch, and distinct shingles a bucket, about.
+BUCKETS, FILL = 64, 8
+#: Up to so many keys are broadcast to fetch their texts; more are joined by a shuffle.
+MOST_KEYS = 200_000
 #: For products of similarities and counts, which are rounded.
 SLACK = 1e-6
 _LANES = np.uint64(0x0101010101010101)
@@ -73,8 +79,25 @@ def fingerprints_of(hashes: np.ndarray, counts: np.ndarray) -> np.ndarray:
     return out
 
 
+def sketch_of(hashes: np.ndarray) -> tuple[int, bytes]:
+    """(distinct hashes, how many of them have each value of their leading bits); no counts, which rule nothing out, if a byte is too small for one."""
+    distinct = np.unique(hashes)
+    bits = max(BUCKETS.bit_length() - 1, (len(distinct) // FILL).bit_length())
+    counts = np.bincount((distinct >> np.uint64(64 - bits)).astype(np.int64), minlength=1 << bits)
+    return len(distinct), counts.astype(np.uint8).tobytes() if counts.max() <= 255 else b""
+
+
+def apart(a: bytes, b: bytes) -> int:
+    """A lower bound, from their sketches, of how many hashes two sets do not share."""
+    if not a or not b:
+        return 0
+    x, y = np.frombuffer(a, np.uint8).astype(np.int64), np.frombuffer(b, np.uint8).astype(np.int64)
+    few = min(len(x), len(y))
+    return int(np.abs(x.reshape(few, -1).sum(axis=1) - y.reshape(few, -1).sum(axis=1)).sum())
+
+
 def fingerprints(docs: DataFrame, *, shingle: int = 3, id_col: str = "doc_id", text_col: str = "text", with_text: bool = False) -> DataFrame:
-    """(doc_id, fp, text_key): fingerprint as a long and a digest of the lower-cased words, and the text if asked for.  Null texts are empty."""
+    """(doc_id, fp, text_key): fingerprint as a long and a digest of the lower-cased words, and the text and its sketch (size, sketch) if asked for.  Null texts are empty."""
 
     def make(batch: pa.RecordBatch) -> pa.RecordBatch:
         hashes, counts, keys = [], [], []
@@ -83,11 +106,16 @@ def fingerprints(docs: DataFrame, *, shingle: int = 3, id_col: str = "doc_id", t
             hashes += found
             counts.append(len(found))
             keys.append(xxhash.xxh128_hexdigest(b" ".join(text.encode().lower().split())))
-        fp = fingerprints_of(np.array(hashes, np.uint64), np.array(counts, np.int64))
-        return pa.RecordBatch.from_arrays([batch.column(0), pa.array(fp.view(np.int64)), pa.array(keys), *([batch.column(1)] if with_text else [])], ["doc_id", "fp", "text_key", *(["text"] if with_text else [])])
+        all_, ends = np.array(hashes, np.uint64), np.cumsum(counts)
+        more = []
+        if with_text:
+            sketches = [sketch_of(all_[end - n : end]) for n, end in zip(counts, ends.tolist(), strict=True)]
+            more = [batch.column(1), pa.array([n for n, _ in sketches], pa.int32()), pa.array([x for _, x in sketches], pa.binary())]
+        fp = fingerprints_of(all_, np.array(counts, np.int64))
+        return pa.RecordBatch.from_arrays([batch.column(0), pa.array(fp.view(np.int64)), pa.array(keys), *more], ["doc_id", "fp", "text_key", *(["text", "size", "sketch"] if with_text else [])])
 
     kind = docs.schema[id_col].dataType.simpleString()
-    return by_batch(docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text")), make, f"doc_id {kind}, fp long, text_key string" + ", text string" * with_text, size_by="text")
+    return by_batch(docs.select(F.col(id_col).alias("doc_id"), text_of(text_col).alias("text")), make, f"doc_id {kind}, fp long, text_key string" + ", text string, size int, sketch binary" * with_text, size_by="text")
 
 
 @dataclass(frozen=True)
@@ -286,13 +314,32 @@ def each_set(texts: pa.Array, shingle: int):
             yield np.unique(hashes[start:end])
 
 
-def similar(pairs: DataFrame, texts: DataFrame, *, shingle: int, least: float, max_bits: int | None) -> DataFrame:
-    """The pairs (a, b) whose texts share at least that part of their distinct word shingles (Jaccard), and whose fingerprints differ in at most max_bits bits if given; texts: (key, fp, text)."""
-    some = texts.join(pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct(), "key", "left_semi")
-    side = lambda k: some.select(F.col("key").alias(k), F.col("fp").alias(f"f{k}"), F.col("text").alias(f"t{k}"))
+def possible(pairs: DataFrame, texts: DataFrame, *, least: float, max_bits: int | None) -> DataFrame:
+    """The pairs (a, b), once each, that may be similar for all that their sketches tell; texts: (key, fp, size, sketch).
+
+    Of sets of x and y shingles of that Jaccard similarity, at most (1 - least) / (1 + least) * (x + y) are not shared.
+    """
+    side = lambda k: texts.select(F.col("key").alias(k), F.col("fp").alias(f"f{k}"), F.col("size").alias(f"n{k}"), F.col("sketch").alias(f"s{k}"))
     pairs = pairs.select("a", "b").distinct().join(side("a"), "a").join(side("b"), "b")
     if max_bits is not None:
         pairs = pairs.where(F.bit_count(F.col("fa").bitwiseXOR(F.col("fb"))) <= max_bits)
+    share = (1 - least) / (1 + least)
+    pairs = pairs.where(F.abs(F.col("na") - F.col("nb")) <= share * (F.col("na") + F.col("nb")) + SLACK)
+
+    def keep(batch: pa.RecordBatch) -> pa.RecordBatch:
+        room = share * (batch.column("na").to_numpy() + batch.column("nb").to_numpy()) + SLACK
+        lost = np.array([apart(x, y) for x, y in zip(batch.column("sa").to_pylist(), batch.column("sb").to_pylist(), strict=True)])
+        return batch.select(["a", "b"]).filter(pa.array(lost <= room))
+
+    return by_batch(pairs.select("a", "b", "na", "nb", "sa", "sb"), keep, "a long, b long")
+
+
+def similar(pairs: DataFrame, texts: DataFrame, *, shingle: int, least: float) -> DataFrame:
+    """The pairs (a, b) whose texts share at least that part of their distinct word shingles (Jaccard); pairs is a written table, texts: (key, text)."""
+    keys = pairs.select(F.explode(F.array("a", "b")).alias("key")).distinct()
+    some = texts.join(F.broadcast(keys) if small_enough(keys, MOST_KEYS) else keys, "key", "left_semi")  # MOST_KEYS rows
+    side = lambda k: some.select(F.col("key").alias(k), F.col("text").alias(f"t{k}"))
+    pairs = pairs.select("a", "b").join(side("a"), "a").join(side("b"), "b")
 
     def compare(batch: pa.RecordBatch) -> pa.RecordBatch:
         keep = []
@@ -424,14 +471,20 @@ def _distinct(a: list[np.ndarray], b: list[np.ndarray]) -> pa.RecordBatch:
 
 
 def similar_roots(texts: DataFrame, *, shingle: int, least: float, max_bits: int | None, first_bits: int) -> DataFrame:
-    """(node, root) over all links of :func:`similar`; ``texts`` is a written table (key, fp, text), keys unique longs.
+    """(node, root) over all links of :func:`similar`; ``texts`` is a written table (key, fp, text, size, sketch), keys unique longs.
 
     First what the fingerprints name within ``first_bits`` is compared by its texts.  That alone would lose links: similar texts
     may differ in more bits, and where many texts meet, a forest of few bits may pass by the pair that is similar.  So then
     every pair that shares a rare shingle is compared, but for those that links found before have joined: first each token's rows
     with one of them, so that a group of n copies costs n pairs, then what is still apart.
     """
-    near = lambda pairs: written(similar(pairs, texts, shingle=shingle, least=least, max_bits=max_bits), "links")
+
+    def near(pairs: DataFrame) -> DataFrame:
+        left = written(possible(pairs, texts, least=least, max_bits=max_bits), "possible")
+        kept = written(similar(left, texts, shingle=shingle, least=least), "links")
+        release(left)
+        return kept
+
     rooted = lambda found: rows.join(components(found, "a", "b").withColumnRenamed("node", "key"), "key", "left").withColumn("root", F.coalesce("root", "key"))
     named = links(texts.select("key", "fp"), first_bits if max_bits is None else min(first_bits, max_bits))
     tried = written(named.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct(), "pairs")
@@ -454,10 +507,15 @@ def near_duplicates(docs: DataFrame, *, shingle: int = 3, max_bits: int | None =
     by_text = min_similarity is not None
     made = written(fingerprints(docs, shingle=shingle, id_col=id_col, text_col=text_col, with_text=by_text), "fingerprints")
     name = "text_key" if by_text else "fp"
-    classes = made.groupBy(F.col(name).alias("name")).agg(F.first("fp").alias("fp"), F.min("doc_id").alias("least"), *([F.first("text").alias("text")] if by_text else []))
+    whole = ["text", "size", "sketch"] if by_text else []
+    classes = made.groupBy(F.col(name).alias("name")).agg(F.first("fp").alias("fp"), F.min("doc_id").alias("least"), *[F.first(c).alias(c) for c in whole])
     classes = written(classes.withColumn("key", F.monotonically_increasing_id() if by_text else F.col("fp")), "classes")
-    if by_text:
-        roots = similar_roots(classes.select("key", "fp", "text"), shingle=shingle, least=min_similarity, max_bits=max_bits, first_bits=first_bits)
+    if by_text:  # what holds texts goes as soon as nothing reads it any more
+        texted, made = made, written(made.select("doc_id", "fp", "text_key"), "fingerprints")
+        release(texted)
+        roots = similar_roots(classes.select("key", "fp", *whole), shingle=shingle, least=min_similarity, max_bits=max_bits, first_bits=first_bits)
+        texted, classes = classes, written(classes.select("name", "key", "least"), "classes")
+        release(texted)
     else:
         roots = components(links(classes.select("key", "fp"), max_bits), "a", "b")
     rooted = classes.select("name", "key", "least").join(roots.withColumnRenamed("node", "key"), "key", "left").withColumn("root", F.coalesce("root", "key"))
