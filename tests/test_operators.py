@@ -247,6 +247,19 @@ def test_reservoir_goes_on_in_a_new_object(spark, sf, tmp_path):
         make().sample()
 
 
+def wide(spark, n, seed=4):
+    w = np.random.default_rng(seed).uniform(0.5, 9999, n)
+    return spark.createDataFrame([(i, float(x)) for i, x in enumerate(w)], "item int, w double").repartition(3)
+
+
+def test_quadrature_of_more_than_5000_items(spark):
+    df = wide(spark, 9001)
+    p, q = ({r.item: r.inclusion_prob for r in inclusion.draw_inclusion(df, 2, weight="w", id_cols=["item"], method=how).collect()} for how in ("quadrature", "m2"))
+    assert len(p) == 9001 and max(abs(p[i] / q[i] - 1) for i in q) < 1e-10
+    uneven = np.random.default_rng(1).pareto(0.7, 300) + 1e-3
+    assert abs(inclusion.quadrature_draws(uneven, 10).sum() - 10) < 1e-9 and (inclusion.quadrature_draws(uneven, 10) <= 1).all()
+
+
 def test_population_source_and_files(spark, tmp_path):
     population.register(spark)
     load = lambda parts: spark.read.format("weighted_population").option("rows", 150_000).option("partitions", parts).load()
