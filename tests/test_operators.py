@@ -260,6 +260,15 @@ def test_quadrature_of_more_than_5000_items(spark):
     assert abs(inclusion.quadrature_draws(uneven, 10).sum() - 10) < 1e-9 and (inclusion.quadrature_draws(uneven, 10) <= 1).all()
 
 
+def test_role_gap_of_more_than_5000_items(spark):
+    """Against the chances of both roles worked out apart from Spark."""
+    df = wide(spark, 5400)
+    w = np.array([r.w for r in df.orderBy("item").collect()])
+    want = np.abs(inclusion.quadrature_draws(w, 10) - 10 * w / w.sum())
+    got = measures.role_gap(df, 10, weight="w", id_cols=["item"], method="quadrature").first()
+    assert got.n == 5400 and got.max_gap == pytest.approx(want.max(), rel=1e-9) and got.total_gap == pytest.approx(want.sum(), rel=1e-9)
+
+
 def test_population_source_and_files(spark, tmp_path):
     population.register(spark)
     load = lambda parts: spark.read.format("weighted_population").option("rows", 150_000).option("partitions", parts).load()
