@@ -269,6 +269,22 @@ def test_role_gap_of_more_than_5000_items(spark):
     assert got.n == 5400 and got.max_gap == pytest.approx(want.max(), rel=1e-9) and got.total_gap == pytest.approx(want.sum(), rel=1e-9)
 
 
+def test_pairs_in_rising_order(spark, monkeypatch):
+    """Against all pairs, with equal ids, equal times and nulls, over many buckets; and more items than all pairs allow."""
+    monkeypatch.setattr(measures, "BUCKET", 40)
+    rng = np.random.default_rng(6)
+    made = [[(int(i), None if rng.random() < 0.05 else float(y)) for i, y in zip(rng.integers(0, 150, n), rng.integers(0, 60, n), strict=True)] for n in (300, 260)]
+    points, queries = (spark.createDataFrame(x, "i int, y double").repartition(3) for x in made)
+    want = sum(i < j and y is not None and z is not None and y < z for i, y in made[0] for j, z in made[1])
+    assert measures.dominated(points, queries) == want and measures.dominated(points.limit(0), queries) == 0
+    assert measures.pair_count(points, F.col("i")) == sum(i < j for i, _ in made[0] for j, _ in made[0])
+    monkeypatch.setattr(measures, "MOST_ITEMS", 100)
+    df = wide(spark, 900)
+    e = {r.item: r.e for r in df.select("item", (-F.ln(keyed_uniform(["item"], seed=1, tag="race", source="md5")) / F.col("w")).alias("e")).collect()}
+    got = measures.pair_order_counts(df, weight="w", id_cols=["item"], seed=1, source="md5").first()
+    assert tuple(got) == (900 * 899 // 2, sum(e[i] < e[j] for i in e for j in e if i < j))
+
+
 def test_population_source_and_files(spark, tmp_path):
     population.register(spark)
     load = lambda parts: spark.read.format("weighted_population").option("rows", 150_000).option("partitions", parts).load()

@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 from wsample.functions.randomness import keyed_uniform
 from wsample.operators.inclusion import draw_inclusion, draw_inclusion_m2, inclusion_probabilities
 from wsample.operators.prefix import running
+from wsample.plans.shared import written
 from wsample.samplers import keyed_rng
 
 
@@ -87,12 +88,83 @@ def small(df: DataFrame) -> DataFrame:
     return df
 
 
-def pair_order_rate(df: DataFrame, *, weight: Column | str, id_cols: Sequence[str], seed: int = 0, tag: str = "race", source: str = "xxhash") -> DataFrame:
-    """(n_pairs, n_ordered, expected): pairs of items (for small tables), how many the first wins, and the law's sum of weight shares."""
+#: Rows of a bucket in :func:`dominated`, about, and the most buckets on a side.
+BUCKET, MOST_BUCKETS = 8192, 256
+
+
+def rising(x: np.ndarray, y: np.ndarray, point: np.ndarray) -> int:
+    """Pairs of a point and a query (not ``point``) that is larger in x and in y, by merging."""
+    order = np.lexsort((-y, x))  # among equal x, no later y is larger
+    y, point = y[order], point[order]
+
+    def count(lo: int, hi: int) -> tuple[int, np.ndarray, np.ndarray]:
+        """The pairs among these rows, and the sorted y of their points and queries."""
+        if hi - lo <= 64:
+            v, p = y[lo:hi], point[lo:hi]
+            found = int(np.count_nonzero(np.triu((v[:, None] < v[None, :]) & p[:, None] & ~p[None, :], 1)))
+            return found, np.sort(v[p]), np.sort(v[~p])
+        mid = (lo + hi) // 2
+        n, a, b = count(lo, mid)
+        k, c, d = count(mid, hi)
+        return n + k + int(np.searchsorted(a, d, side="left").sum()), np.sort(np.concatenate([a, c]), kind="stable"), np.sort(np.concatenate([b, d]), kind="stable")
+
+    return count(0, len(y))[0] if len(y) else 0
+
+
+def dominated(points: DataFrame, queries: DataFrame) -> int:
+    """How many pairs of a point and a query (i, y) have point.i < query.i and point.y < query.y; y is a double, rows of a null y have no pairs.
+
+    Rows are dealt into ranges of i and of y.  Pairs of other ranges in both follow from the counts of rows in each cell; those of one
+    range of i, and those of one range of y and different ranges of i, are counted by merging.  No pair is ever made.
+    """
+    rows = points.select("i", "y", F.lit(True).alias("point")).union(queries.select("i", "y", F.lit(False).alias("point"))).where("y is not null")
+    n = rows.count()
+    sides = min(MOST_BUCKETS, n // BUCKET + 1)
+    rows = written(rows.repartitionByRange(sides, "i").withColumn("k", F.spark_partition_id()), "ranges")
+    cuts = sorted(set(rows.approxQuantile("y", [j / sides for j in range(1, sides)], 1 / (4 * sides)))) if sides > 1 else []
+    place = F.size(F.filter(F.array(*map(F.lit, cuts)), lambda c: c < F.col("y"))) if cuts else F.lit(0)
+    x = F.dense_rank().over(Window.partitionBy("k").orderBy("i")).cast("long")
+    rows = written(rows.withColumns({"x": x, "p": place}).drop("i"), "ranges")
+    cells = rows.groupBy("k", "p").agg(F.count_if("point").alias("a"), F.count_if(~F.col("point")).alias("b")).collect()  # MOST_BUCKETS squared rows
+    a, b = (np.zeros((sides + 1, len(cuts) + 2), np.int64) for _ in range(2))
+    for r in cells:
+        a[r["k"] + 1, r["p"] + 1], b[r["k"] + 1, r["p"] + 1] = r["a"], r["b"]
+    before = a.cumsum(axis=0).cumsum(axis=1)
+    found = sum(int(u) * int(v) for u, v in zip(before[:-1, :-1].ravel(), b[1:, 1:].ravel(), strict=True))
+
+    def within(column: str):
+        def count(table):
+            return pa.table({"n": [rising(table[column].to_numpy(), table["y"].to_numpy(), table["point"].to_numpy())]})
+
+        return count
+
+    for by, column in (("k", "x"), ("p", "k")):
+        both = rows.groupBy(by).agg(F.count_if("point").alias("a"), F.count_if(~F.col("point")).alias("b")).where("a > 0 and b > 0").select(by)
+        some = rows.join(F.broadcast(both), by, "left_semi")  # MOST_BUCKETS rows
+        found += some.groupBy(by).applyInArrow(within(column), "n long").agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    return found
+
+
+def pair_count(df: DataFrame, ids: Column) -> int:
+    """How many pairs of rows have ids in rising order."""
+    n, same = df.groupBy(ids.alias("i")).agg(F.count("*").cast("decimal(38,0)").alias("n")).agg(F.sum("n"), F.sum(F.col("n") * F.col("n"))).first()
+    return (int(n) ** 2 - int(same)) // 2 if n is not None else 0
+
+
+def pair_order_counts(df: DataFrame, *, weight: Column | str, id_cols: Sequence[str], seed: int = 0, tag: str = "race", source: str = "xxhash") -> DataFrame:
+    """(n_pairs, n_ordered): pairs of items, and how many of them the first wins; sorts and merges, for tables of any size."""
+    w = (F.col(weight) if isinstance(weight, str) else weight).cast("double")
+    keyed = df.select(F.struct(*id_cols).alias("i"), (-F.ln(keyed_uniform(list(id_cols), seed=seed, tag=tag, source=source)) / w).alias("y"))
+    return df.sparkSession.createDataFrame([(pair_count(keyed, F.col("i")), dominated(keyed, keyed))], "n_pairs long, n_ordered long")
+
+
+def pair_order_rate(df: DataFrame, *, weight: Column | str, id_cols: Sequence[str], **keys) -> DataFrame:
+    """(n_pairs, n_ordered, expected): those counts and the law's sum of weight shares, which takes all pairs (for small tables)."""
     w = (F.col(weight) if isinstance(weight, str) else weight).cast("double")
-    keyed = small(df).select(F.struct(*id_cols).alias("i"), w.alias("w"), (-F.ln(keyed_uniform(list(id_cols), seed=seed, tag=tag, source=source)) / w).alias("e"))
-    a, b = keyed.alias("a"), keyed.alias("b")
-    return a.join(b, F.col("a.i") < F.col("b.i")).agg(F.count("*").alias("n_pairs"), F.count(F.when(F.col("a.e") < F.col("b.e"), 1)).alias("n_ordered"), F.sum(F.col("a.w") / (F.col("a.w") + F.col("b.w"))).alias("expected"))
+    each = small(df).select(F.struct(*id_cols).alias("i"), w.alias("w"))
+    a, b = each.alias("a"), each.alias("b")
+    expected = a.join(b, F.col("a.i") < F.col("b.i")).agg(F.sum(F.col("a.w") / (F.col("a.w") + F.col("b.w"))).alias("expected"))
+    return pair_order_counts(df, weight=weight, id_cols=id_cols, **keys).crossJoin(expected)
 
 
 def role_gap_m2(df: DataFrame, *, weight: Column | str, id_cols: list[str]) -> DataFrame:
