@@ -285,6 +285,19 @@ def test_pairs_in_rising_order(spark, monkeypatch):
     assert tuple(got) == (900 * 899 // 2, sum(e[i] < e[j] for i in e for j in e if i < j))
 
 
+def test_ratio_errors_of_many_items(spark, monkeypatch):
+    """Against all pairs, with some chances off; more items than all pairs allow."""
+    monkeypatch.setattr(measures, "MOST_ITEMS", 100)
+    monkeypatch.setattr(measures, "BUCKET", 64)
+    rng = np.random.default_rng(8)
+    w = rng.uniform(1, 9, 400)
+    p = w / w.sum() * np.where(rng.random(400) < 0.1, rng.choice([0.5, 1 + 1e-7, 1 - 1e-8, 2.0], 400), 1.0)
+    df = spark.createDataFrame([(i, float(x), float(y)) for i, (x, y) in enumerate(zip(w, p, strict=True))], "item int, w double, p double").repartition(3)
+    off = np.triu(np.abs(p[:, None] * w[None, :] - p[None, :] * w[:, None]) > 1e-9 * w[:, None], 1).sum()
+    got = measures.ratio_errors(df, weight="w", chance="p", id_cols=["item"]).first()
+    assert tuple(got) == (400 * 399 // 2, off) and 0 < off < got.n_pairs
+
+
 def test_population_source_and_files(spark, tmp_path):
     population.register(spark)
     load = lambda parts: spark.read.format("weighted_population").option("rows", 150_000).option("partitions", parts).load()

@@ -167,6 +167,20 @@ def pair_order_rate(df: DataFrame, *, weight: Column | str, id_cols: Sequence[st
     return pair_order_counts(df, weight=weight, id_cols=id_cols, **keys).crossJoin(expected)
 
 
+def ratio_errors(df: DataFrame, *, weight: Column | str, chance: Column | str, id_cols: Sequence[str], tolerance: float = 1e-9) -> DataFrame:
+    """(n_pairs, n_errors): pairs of items, and those whose chances are not in the ratio of their weights: |p1 w2 - p2 w1| > tolerance * w1.
+
+    That is so where the first one's chance a unit of weight is off the second one's by more than tolerance / w2, so errors are
+    counted as pairs below or above that span; no pair is made.
+    """
+    w, p = ((F.col(x) if isinstance(x, str) else x).cast("double") for x in (weight, chance))
+    each = df.select(F.struct(*id_cols).alias("i"), (p / w).alias("q"), (F.lit(tolerance) / w).alias("span"))
+    points = lambda sign: each.select("i", (sign * F.col("q")).alias("y"))
+    bounds = lambda sign: each.select("i", (sign * F.col("q") - F.col("span")).alias("y"))
+    wrong = sum(dominated(points(sign), bounds(sign)) for sign in (1, -1))
+    return df.sparkSession.createDataFrame([(pair_count(each, F.col("i")), wrong)], "n_pairs long, n_errors long")
+
+
 def role_gap_m2(df: DataFrame, *, weight: Column | str, id_cols: list[str]) -> DataFrame:
     """(n, max_gap, total_gap) between the two roles' chances at two draws."""
     incl = inclusion_probabilities(df, 2, weight=weight).select(*id_cols, "inclusion_prob")
