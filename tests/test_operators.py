@@ -298,6 +298,16 @@ def test_ratio_errors_of_many_items(spark, monkeypatch):
     assert tuple(got) == (400 * 399 // 2, off) and 0 < off < got.n_pairs
 
 
+def test_frequencies_of_many_items(spark, monkeypatch):
+    """Every item has a row of each sampler, also one that is never hit, and more items than all pairs allow."""
+    monkeypatch.setattr(measures, "MOST_ITEMS", 100)
+    kinds = {"first": lambda w, m, rng: list(range(m)), "any": lambda w, m, rng: rng.choice(len(w), m, replace=False).tolist()}
+    rows = measures.law_frequencies(wide(spark, 500), 3, 40, weight="w", id_cols=["item"], kinds=kinds).collect()
+    by = {(r.sampler, r.item["item"]): r.hits for r in rows}
+    assert len(rows) == len(by) == 1000 and [by["first", i] for i in range(5)] == [40, 40, 40, 0, 0]
+    assert sum(by["any", i] for i in range(500)) == 120
+
+
 def test_population_source_and_files(spark, tmp_path):
     population.register(spark)
     load = lambda parts: spark.read.format("weighted_population").option("rows", 150_000).option("partitions", parts).load()

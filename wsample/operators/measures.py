@@ -42,28 +42,29 @@ def inclusion_frequency(df: DataFrame, m: int, reps: int, *, weight: Column | st
 
 
 def law_frequencies(df: DataFrame, m: int, reps: int, *, weight: Column | str, id_cols: Sequence[str], kinds: dict[str, Callable], seed: int = 0, tasks: int = 16) -> DataFrame:
-    """(sampler, item, hits): how often each of several samplers has each item over ``reps`` runs; for small tables.
+    """(sampler, item, hits): how often each of several samplers has each item over ``reps`` runs.
 
-    ``kinds`` name functions of (weights, m, generator) that give the numbers of the sampled items.
+    ``kinds`` name functions of (weights, m, generator) that give the numbers of the sampled items.  Each run passes over all
+    weights, which the tasks hold: 8 bytes an item.  A run's m hits are what is shuffled.
     """
     w = F.col(weight) if isinstance(weight, str) else weight
-    rows = small(df).select(F.struct(*id_cols).alias("item"), w.cast("double").alias("w")).orderBy("item").toArrow()  # MOST_ITEMS rows
+    rows = df.select(F.struct(*id_cols).alias("item"), w.cast("double").alias("w")).orderBy("item").toArrow()  # the table itself: an id and a weight an item
     weights = rows["w"].to_numpy()
     shared = df.sparkSession.sparkContext.broadcast(weights)
 
     def run(batches):
         for batch in batches:
             names, reps_of = batch.column(0).to_pylist(), batch.column(1).to_pylist()
-            counts = {name: np.zeros(len(shared.value), np.int64) for name in names}
-            for name, rep in zip(names, reps_of, strict=True):
-                np.add.at(counts[name], np.asarray(kinds[name](shared.value, m, keyed_rng(seed, rep)), np.int64), 1)
-            for name, n in counts.items():
-                yield pa.RecordBatch.from_arrays([pa.array([name] * len(n)), pa.array(np.arange(len(n))), pa.array(n)], ["sampler", "i", "hits"])
+            for name in dict.fromkeys(names):
+                mine = [np.asarray(kinds[name](shared.value, m, keyed_rng(seed, rep)), np.int64) for n, rep in zip(names, reps_of, strict=True) if n == name]
+                i, n = np.unique(np.concatenate(mine), return_counts=True)
+                yield pa.RecordBatch.from_arrays([pa.array([name] * len(i), pa.string()), pa.array(i), pa.array(n)], ["sampler", "i", "hits"])
 
-    each = df.sparkSession.range(reps, numPartitions=tasks).select(F.explode(F.array(*[F.lit(k) for k in kinds])).alias("sampler"), "id")
+    samplers = F.explode(F.array(*[F.lit(k) for k in kinds])).alias("sampler")
+    each = df.sparkSession.range(reps, numPartitions=tasks).select(samplers, "id")
     hits = each.mapInArrow(run, "sampler string, i long, hits long").groupBy("sampler", "i").agg(F.sum("hits").alias("hits"))
     items = df.sparkSession.createDataFrame(pa.table({"i": pa.array(np.arange(len(weights))), "item": rows["item"].combine_chunks() if rows.num_rows else rows["item"]}))
-    return hits.join(items, "i").select("sampler", "item", "hits")
+    return items.select(samplers, "i", "item").join(hits, ["sampler", "i"], "left").select("sampler", "item", F.coalesce("hits", F.lit(0)).alias("hits"))
 
 
 def beyond(hits: Column | str, runs: int, p: Column | str, *, sigmas: float = 4.5, slack: float = 3.0) -> Column:
