@@ -49,6 +49,18 @@ def test_sketches(spark, sf):
     assert r.median <= r.p90 <= r.p99 and abs(r.kll_median - r.median) < 0.1 * r.p99 and abs(r.n_distinct - 1500) < 150
 
 
+EXAMPLES = {
+    "ex_heavy_draw": [381, 381, 381, 857],
+}
+
+
+@pytest.mark.parametrize("name", EXAMPLES)
+def test_examples_read_orders(spark, sf, name):
+    """The worked examples' chances, from shares of the given orders."""
+    got = workloads.QUERIES[name](spark, sf)
+    assert [r.milli for r in got.orderBy("item").collect()] == pytest.approx(EXAMPLES[name], abs=1) and "orders.parquet" in "".join(got.inputFiles())
+
+
 def test_golden_winners(spark, sf):
     top = workloads.QUERIES["race_orders_m50"](spark, sf).orderBy("position").limit(5).collect()
     assert [r.o_orderkey for r in top] == [266, 701, 646, 193, 794]
