@@ -54,6 +54,7 @@ EXAMPLES = {
     "ex_infeasible_prefix": [333, 333, 333, 1000],
     "ex_infeasible_recovered": [200, 200, 200, 800, 600],
     "ex_mild_draw": [433, 433, 433, 700],
+    "ex_mild_inclusion": [400, 400, 400, 800],
 }
 
 
