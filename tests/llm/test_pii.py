@@ -4,6 +4,7 @@ import re
 
 from tests.llm.frames import ROWS, none, odd
 from wsample.llm import pii
+from wsample.llm.common import written
 from wsample.llm.queries import QUERIES
 
 RULES = {
@@ -92,6 +93,20 @@ def test_recall_of_added_spans(spark):
     assert found["phone"] >= 90 and found["email"] >= 90, found
 
 
+def test_every_cell_teaches(spark, monkeypatch):
+    """Cells beyond those that the driver takes are fitted by sums over their table, to the same models."""
+    pick = random.Random(9)
+    number = lambda n: "".join(str(pick.randint(1, 9)) for _ in range(n))
+    texts = [f"please call the phone +{pick.choice(['1 212', '49 (30)', '44-20', '7.495'])} 555 {number(pick.randint(3, 5))} now" for _ in range(200)] + [f"lot {number(pick.randint(7, 12))} of {i % 7}: {number(4)}-{number(4)} the stock" for i in range(200)]
+    found = written(pii.scan(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")), "personal")
+    want = pii.fit(found)
+    monkeypatch.setattr(pii, "MOST_CELLS", 3)
+    got = pii.fit(found)
+    assert [m.kind for m in got] == [m.kind for m in want] == ["phone"]
+    splits = lambda t: (t.feature, t.cut, splits(t.left), splits(t.right)) if isinstance(t, pii.Tree) else None
+    assert [splits(t) for t in got[0].trees[:6]] == [splits(t) for t in want[0].trees[:6]] and abs(got[0].cut - want[0].cut) < 1e-6
+
+
 def test_boosting_learns_and_calibrates():
     blank = dict.fromkeys(pii.FEATURES, 0)
     cells = [({**blank, "digits": d, "dots": b}, 90.0 if (d > 9 and b > 0) else 1.0, 1.0 if (d > 9 and b > 0) else 90.0) for d in range(20) for b in (0, 1)]

@@ -4,7 +4,8 @@ High-recall generators propose spans that may overlap.  A proposal that meets a
 address parts, digit counts and check digits) is a positive for that kind; one that does not, and has no word of the kind
 before it, is a negative.  Format and context are its features, but neither the checks, nor what the kind's rule demands
 anyway (trees would learn the rule and add nothing), nor the kind's own words.  Boosted trees are fitted to the counts of
-each cell of feature values over all documents (one aggregate, of which at most MOST_CELLS cells teach), become SQL
+each cell of feature values over all documents (one aggregate; up to MOST_CELLS cells are fitted on the driver, more of them
+by sums over their table), become SQL
 expressions, and get a threshold for each kind at which the proposals of a second half of the documents are positive often
 enough.  A proposal above it that has a word of the kind before it and meets no base span is added.
 """
@@ -12,12 +13,13 @@ enough.  A proposal above it that has a word of the kind before it and meets no
 from __future__ import annotations
 
 import math
+from collections.abc import Iterable
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from wsample.llm.common import text_of, written
+from wsample.llm.common import small_enough, text_of, written
 
 KINDS = ("email", "ip", "card", "phone")
 #: Each matches what the plain rule matches from left to right; possessive loops and the look-behind keep long runs linear.
@@ -34,7 +36,7 @@ ADDRESS = r"(?:^|[^A-Za-z0-9._%+-])[A-Za-z0-9._%+-]++\x20?(?:@|[\[(]\x20?(?:at|A
 NUMBER = r"(?:^|[^0-9A-Za-z])[+(]?[0-9](?:[\x20().:-]{0,2}[0-9]){6,}+"
 #: How the proposals proper begin.
 BEGINS = {ADDRESS: "^[A-Za-z0-9._%+-]", NUMBER: "^[+(]?[0-9]"}
-#: Cells of feature values that the trees are fitted to, the fullest first.
+#: Up to so many cells of feature values are fitted on the driver; more stay a table, of which it gets sums by node, feature and value.
 MOST_CELLS = 100_000
 CONTEXT = 16
 HINTS = {"email": r"mail|contact|write", "ip": r"\bip\b|host|server|addr", "card": r"card|visa|credit|pay", "phone": r"tel|phone|call|fax|mobil"}
@@ -150,6 +152,19 @@ class Tree:
         return t.of(row) if isinstance(t, Tree) else t
 
 
+def best_split(sums: dict[str, dict[int, list[float]]], names: tuple[str, ...], g: float, h: float, least: float) -> tuple[str, int] | None:
+    """Feature and cut of most gain over none; sums: feature -> value -> gradients, curvatures and number."""
+    best = (g * g / (h + 1) + 1e-6, None)
+    for f in names:
+        by = sums[f]
+        total, a, b, n = sum(x[2] for x in by.values()), 0.0, 0.0, 0.0
+        for cut in sorted(by)[:-1]:
+            a, b, n = a + by[cut][0], b + by[cut][1], n + by[cut][2]
+            if min(n, total - n) >= least and (gain := a * a / (b + 1) + (g - a) ** 2 / (h - b + 1)) > best[0]:
+                best = (gain, (f, cut))
+    return best[1]
+
+
 def fit_trees(cells: list[tuple[dict, float, float]], *, names: tuple[str, ...] = FEATURES, rounds: int = 24, depth: int = 2, rate: float = 0.4, least: float = 4.0) -> tuple[float, list[Tree]]:
     """Start score and trees by Newton boosting of the logistic loss; cells: (features, positives, negatives)."""
     pos, neg = sum(p for _, p, _ in cells), sum(n for _, _, n in cells)
@@ -166,22 +181,17 @@ def fit_trees(cells: list[tuple[dict, float, float]], *, names: tuple[str, ...]
         leaf = rate * g / (h + 1)
         if not level:
             return leaf
-        best = (g * g / (h + 1) + 1e-6, None)
+        sums: dict[str, dict[int, list[float]]] = {f: {} for f in names}
         for f in names:
-            by: dict[int, list[float]] = {}
             for k, i in enumerate(rows):
-                s = by.setdefault(cells[i][0][f], [0.0, 0.0, 0.0])
+                s = sums[f].setdefault(cells[i][0][f], [0.0, 0.0, 0.0])
                 s[0] += grad[k]
                 s[1] += hess[k]
                 s[2] += cells[i][1] + cells[i][2]
-            total, a, b, n = sum(x[2] for x in by.values()), 0.0, 0.0, 0.0
-            for cut in sorted(by)[:-1]:
-                a, b, n = a + by[cut][0], b + by[cut][1], n + by[cut][2]
-                if min(n, total - n) >= least and (gain := a * a / (b + 1) + (g - a) ** 2 / (h - b + 1)) > best[0]:
-                    best = (gain, (f, cut))
-        if best[1] is None:
+        found = best_split(sums, names, g, h, least)
+        if found is None:
             return leaf
-        f, cut = best[1]
+        f, cut = found
         return Tree(f, cut, grow([i for i in rows if cells[i][0][f] <= cut], level - 1), grow([i for i in rows if cells[i][0][f] > cut], level - 1))
 
     for _ in range(rounds):
@@ -193,10 +203,73 @@ def fit_trees(cells: list[tuple[dict, float, float]], *, names: tuple[str, ...]
     return start, trees
 
 
+def score_of(start: float, trees: list[Tree], value) -> Column:
+    out = F.lit(start)
+    for t in trees:
+        out = out + t.sql(value)
+    return out
+
+
+def fit_table(cells: DataFrame, *, names: tuple[str, ...] = FEATURES, rounds: int = 24, depth: int = 2, rate: float = 0.4, least: float = 4.0) -> tuple[float, list[Tree]] | None:
+    """:func:`fit_trees` of a written table of cells (features, pos, neg) of any number; None without positives or negatives.
+
+    A level of a tree takes one aggregate, which gives a row a node, feature and value.
+    """
+    pos, neg = cells.agg(F.coalesce(F.sum("pos"), F.lit(0.0)), F.coalesce(F.sum("neg"), F.lit(0.0))).first()
+    if not pos or not neg:
+        return None
+    start, trees = math.log((pos + 1) / (neg + 1)), []
+    for _ in range(rounds):
+        p, n = 1 / (1 + F.exp(-score_of(start, trees, F.col))), F.col("pos") + F.col("neg")
+        each = cells.select(*names, n.alias("__n"), (F.col("pos") - n * p).alias("__g"), (n * p * (1 - p)).alias("__h"))
+        leaves, splits, level = {}, {}, [()]
+        for _ in range(depth):
+            node = F.lit(None).cast("int")
+            for k, path in enumerate(level):
+                inside = F.lit(True)
+                for f, cut, left in path:
+                    inside = inside & (F.col(f) <= cut if left else F.col(f) > cut)
+                node = F.when(inside, k).otherwise(node)
+            values = F.explode(F.array(*[F.struct(F.lit(j).alias("f"), F.col(f).cast("int").alias("v")) for j, f in enumerate(names)])).alias("x")
+            rows = each.select(node.alias("node"), values, "__g", "__h", "__n").where("node is not null").groupBy("node", "x.f", "x.v").agg(F.sum("__g"), F.sum("__h"), F.sum("__n")).collect()  # nodes x features x their few values
+            sums: list[dict] = [{f: {} for f in names} for _ in level]
+            for k, j, v, *total in rows:
+                sums[k][names[j]][v] = total
+            below = []
+            for path, of in zip(level, sums, strict=True):
+                g, h = (sum(x[i] for x in of[names[0]].values()) for i in (0, 1))
+                leaves[path] = rate * g / (h + 1)
+                if (found := best_split(of, names, g, h, least)) is None:
+                    continue
+                splits[path] = found
+                for left in (True, False):
+                    side = [x for v, x in of[found[0]].items() if (v <= found[1]) == left]
+                    below.append((*path, (*found, left)))
+                    leaves[below[-1]] = rate * sum(x[0] for x in side) / (sum(x[1] for x in side) + 1)
+            level = below
+            if not level:
+                break
+        if () not in splits:
+            break
+
+        def grown(path: tuple) -> Tree | float:
+            if path not in splits:
+                return leaves[path]  # noqa: B023
+            return Tree(*splits[path], *(grown((*path, (*splits[path], left))) for left in (True, False)))  # noqa: B023
+
+        trees.append(grown(()))
+    return start, trees
+
+
 def threshold(scored: list[tuple[float, float, float]], precision: float) -> float | None:
     """Least score such that the proposals from it up are positive at that rate, at every score above too; (score, positives, negatives)."""
+    return threshold_of(sorted(scored, reverse=True), precision)
+
+
+def threshold_of(ordered: Iterable[tuple[float, float, float]], precision: float) -> float | None:
+    """:func:`threshold` of what comes in falling order of its score."""
     cut, pos, neg = None, 0.0, 0.0
-    for s, p, n in sorted(scored, reverse=True):
+    for s, p, n in ordered:
         pos, neg = pos + p, neg + n
         if (pos + 0.5) / (pos + neg + 1) < precision:
             if pos + neg > 20:
@@ -214,10 +287,28 @@ class Model:
     cut: float
 
     def score(self, value) -> Column:
-        out = F.lit(self.start)
-        for t in self.trees:
-            out = out + t.sql(value)
-        return out
+        return score_of(self.start, self.trees, value)
+
+
+def seen_by(kind: str) -> tuple[str, ...]:
+    """The features that a kind's trees see."""
+    return tuple(f for f in FEATURES if f not in DEMANDED[kind] and f != f"hint_{kind}")
+
+
+def fit_large(cells: DataFrame, *, precision: float) -> list[Model]:
+    """:func:`fit` where the cells stay a table."""
+    models = []
+    for kind in KINDS:
+        negative = F.when(F.col(f"hint_{kind}") == 1, 0.0).otherwise(F.col("n") - F.col(kind))
+        mine = cells.where(F.col("g") == (0 if kind == "email" else 1)).select("half", *FEATURES, F.col(kind).cast("double").alias("pos"), negative.cast("double").alias("neg"))
+        fitted = fit_table(mine.where("half"), names=seen_by(kind))
+        if fitted is None:
+            continue
+        scored = mine.where("not half").groupBy(score_of(*fitted, F.col).alias("s")).agg(F.sum("pos").alias("p"), F.sum("neg").alias("n")).orderBy(F.desc("s"))
+        cut = threshold_of((tuple(r) for r in scored.toLocalIterator()), precision)
+        if cut is not None:
+            models.append(Model(kind, *fitted, cut))
+    return models
 
 
 def fit(found: DataFrame, *, precision: float = 0.95) -> list[Model]:
@@ -225,7 +316,10 @@ def fit(found: DataFrame, *, precision: float = 0.95) -> list[Model]:
     each = found.select("half", F.explode("proposals").alias("x"))
     wanted = [F.sum(F.col(f"x.is_{k}").cast("long")).alias(k) for k in KINDS]
     cells = each.groupBy("half", "x.g", *[F.col(f"x.{f}").alias(f) for f in FEATURES]).agg(F.count("*").alias("n"), *wanted)
-    cells = cells.orderBy(F.desc("n"), "half", "g", *FEATURES).limit(MOST_CELLS).collect()  # MOST_CELLS rows
+    cells = written(cells, "cells")
+    if not small_enough(cells, MOST_CELLS):
+        return fit_large(cells, precision=precision)
+    cells = cells.orderBy(F.desc("n"), "half", "g", *FEATURES).collect()  # MOST_CELLS rows
     models = []
     for kind in KINDS:
         rows = [r for r in cells if r["g"] == (0 if kind == "email" else 1)]
@@ -233,7 +327,7 @@ def fit(found: DataFrame, *, precision: float = 0.95) -> list[Model]:
         train = part(True)
         if not sum(c[1] for c in train) or not sum(c[2] for c in train):
             continue
-        start, trees = fit_trees(train, names=tuple(f for f in FEATURES if f not in DEMANDED[kind] and f != f"hint_{kind}"))
+        start, trees = fit_trees(train, names=seen_by(kind))
         cut = threshold([(start + sum(t.of(c[0]) for t in trees), c[1], c[2]) for c in part(False)], precision)
         if cut is not None:
             models.append(Model(kind, start, trees, cut))
